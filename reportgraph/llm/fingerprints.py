@@ -30,30 +30,18 @@ LANE_MASK = (1 << LANES * LANE_BITS) - 1
 PHRASE_END = r"\n+|(?<=[^b-mp-z\s])[ \t]+"
 
 
-def _total(values: Column, part, mask: int) -> Column:
-    """Sum of ``part(value)`` modulo ``mask + 1``; both stay below 2**62, so a sum never overflows."""
-    return F.aggregate(values, F.lit(0).cast("bigint"), lambda a, x: (a + part(x)).bitwiseAND(F.lit(mask)))
+def vector(text: str) -> Column:
+    """The fingerprint of a text column as ``array<bigint>``; null counts as the empty text, which has one empty paragraph.
 
-
-def vector(text: Column) -> Column:
-    """The fingerprint of a text as ``array<bigint>``; null counts as the empty text, which has one empty paragraph."""
-    text = F.coalesce(text, F.lit(""))
-    paragraphs, phrases = F.split(text, "\n"), F.split(text, PHRASE_END)
-    phrases = F.transform(F.filter(phrases, lambda p: p != ""), lambda p: F.xxhash64(p))
-
-    def with_lists(lists: Column) -> Column:
-        paragraphs, hashes = lists["paragraphs"], lists["hashes"]
-        exact = [_total(paragraphs, lambda p, k=k: F.xxhash64(p, F.lit(k)).bitwiseAND(F.lit(EXACT_MASK)), EXACT_MASK) for k in range(EXACT_WORDS)]
-
-        def lane(h: Column, g: int) -> Column:
-            at = F.pmod(F.shiftright(h, 8), F.lit(LANES)).cast("int")
-            one = F.element_at(F.array(*[F.lit(1 << LANE_BITS * i) for i in range(LANES)]).cast("array<bigint>"), at + 1)
-            return F.when(h.bitwiseAND(F.lit(LANE_WORDS - 1)) == g, one).otherwise(F.lit(0).cast("bigint"))
-
-        return F.array(*exact, *[_total(hashes, lambda h, g=g: lane(h, g), LANE_MASK) for g in range(LANE_WORDS)])
-
-    # The lists are bound to a variable, so each text is split once.
-    return F.transform(F.array(F.struct(paragraphs.alias("paragraphs"), phrases.alias("hashes"))), with_lists)[0]
+    Sums are masked at each step; both sides stay below 2**62, so none overflows. The lists are bound to a variable,
+    so each text is split once.
+    """
+    t = f"coalesce(`{text}`, '')"
+    exact = [f"aggregate(s.paragraphs, 0L, (a, p) -> (a + (xxhash64(p, {k}) & {EXACT_MASK}L)) & {EXACT_MASK}L)" for k in range(EXACT_WORDS)]
+    one = f"shiftleft(1L, {LANE_BITS} * cast(pmod(shiftright(h, 8), {LANES}) as int))"
+    lanes = [f"aggregate(s.phrases, 0L, (a, h) -> if((h & {LANE_WORDS - 1}) = {g}, (a + {one}) & {LANE_MASK}L, a))" for g in range(LANE_WORDS)]
+    lists = f"named_struct('paragraphs', split({t}, r'\n'), 'phrases', transform(filter(split({t}, r'{PHRASE_END}'), p -> p != ''), p -> xxhash64(p)))"
+    return F.expr(f"transform(array({lists}), s -> array({', '.join(exact + lanes)}))[0]")
 
 
 def _masks() -> Column:
@@ -135,11 +123,11 @@ def document_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str
 
     Null texts count as empty. Rows of equal id are ordered by text; null ids come last; an empty table gives no rows.
     """
-    base = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("print", vector(F.col("text")))
+    base = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("print", vector("text"))
     rows = with_next(base, "doc_id", ["text", "print"])
     rows = rows.withColumn("n_chars", F.length("text").cast("bigint"))
     cut = F.floor(F.col("n_chars") / 3).cast("int")
     rows = rows.withColumn("edited", F.concat(F.substring("text", F.lit(1), F.col("n_chars").cast("int") - cut), F.substring("next_text", F.lit(1), cut)))
-    rows = rows.select("doc_id", "n_chars", "print", "next_print", F.sha2("edited", 256).alias("edited_sha256"), vector(F.col("edited")).alias("edited_print"))
+    rows = rows.select("doc_id", "n_chars", "print", "next_print", F.sha2("edited", 256).alias("edited_sha256"), vector("edited").alias("edited_print"))
     rows = likeness(rows, {"near_edited": ("print", "edited_print"), "near_next": ("print", "next_print")})
     return rows.select("doc_id", "n_chars", "edited_sha256", as_text(F.col("print")).alias("fingerprint"), as_text(F.col("edited_print")).alias("edited_fingerprint"), "near_edited", "near_next")
