@@ -22,9 +22,11 @@ from reportgraph.operators.ranges import range_edges, range_of
 WINDOW = 4096
 END_ID = 2
 CUT_PENALTY = 4
-CUT_GAP = 8
-MEMO_WORDS = 400_000
+CUT_GAP = 16
+MEMO_WORDS = 900_000
 SEGMENT_TOKENS = 1 << 18
+#: A special token of the vocabulary, put between pieces.
+BORDER = "<|endoftext|>"
 #: Signs that a word before them is parted from; a run of them is a word of its own.
 SIGNS = ".,;:!?%&*#$|)\"-"
 
@@ -48,6 +50,8 @@ class WordIds:
             self.sentence_end[i] = token.removesuffix("</w>")[-1:] in (".", "!", "?")
         self.pieces: dict[str, bytes] = {"": b""}
         self.words: dict[str, bytes] = {}
+        self.signs: dict[str, bytes] = {}
+        self.border = self.tokenizer.token_to_id(BORDER)
 
     def encode(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
@@ -65,27 +69,50 @@ class WordIds:
             self.words[w] = raw[at:e]
             at = e
 
-    def learn(self, pieces: set[str]) -> None:
+    def _learn_pieces(self, pieces: list[str]) -> None:
+        """Pieces of any signs, parted by a special token that the library finds between them."""
+        plain = [p for p in pieces if "<|" not in p and "|>" not in p]
+        for p in set(pieces).difference(plain):
+            self.pieces[p] = self.encode(p)
+        if not plain:
+            return
+        ids = np.frombuffer(self.encode(BORDER.join(plain)), "<u4")
+        ends = np.append(np.flatnonzero(ids == self.border), len(ids))
+        raw, at = ids.tobytes(), 0
+        for p, e in zip(plain, (4 * ends).tolist()):
+            self.pieces[p] = raw[at:e]
+            at = e + 4
+
+    def learn(self, pieces: list[str]) -> None:
         """Adds pieces to those known."""
-        parted = []
-        for p in pieces:
-            low = p.lower()
-            core = low.rstrip(SIGNS)
-            if max(p, default="") < "\u0130" and core.isalpha():
-                parted.append((p, core, low[len(core) :]))
-            elif p:  # other signs, or letters that may be composed or have a longer lower case
-                self.pieces[p] = self.encode(p)
-        self._learn_words(list({w for _, w, _ in parted if w not in self.words}))
-        for sign in {x for _, _, x in parted if x and x not in self.words}:
-            self.words[sign] = self.encode(sign)
-        for p, w, sign in parted:
-            self.pieces[p] = self.words[w] + self.words[sign] if sign else self.words[w]
+        blob = "\n".join(pieces)
+        if max(blob, default="") >= "\u0130":  # some may have to be composed, or their lower case is more than one letter
+            self._learn_pieces([p for p in pieces if max(p) >= "\u0130"])
+            pieces = [p for p in pieces if max(p) < "\u0130"]
+            blob = "\n".join(pieces)
+        lows = blob.lower().split("\n") if pieces else []
+        cores = [x.rstrip(SIGNS) for x in lows]
+        words = self.words
+        self._learn_words([w for w in set(cores).difference(words) if w.isalpha()])
+        odd, known = [], self.pieces
+        for p, low, core in zip(pieces, lows, cores):
+            ids = words.get(core)
+            if ids is None:
+                odd.append(p)
+            elif len(low) == len(core):
+                known[p] = ids
+            else:
+                sign = low[len(core) :]
+                if sign not in self.signs:
+                    self.signs[sign] = self.encode(sign)
+                known[p] = ids + self.signs[sign]
+        self._learn_pieces(odd)
 
     def documents(self, texts: list[str]) -> list[bytes]:
         cut = [t.replace("\n", " ").split(" ") for t in texts]
         if len(self.pieces) > MEMO_WORDS or len(self.words) > MEMO_WORDS:
             self.pieces, self.words = {"": b""}, {}
-        self.learn(set().union(*cut).difference(self.pieces))
+        self.learn(list(set().union(*cut).difference(self.pieces)))
         known = self.pieces
         return [b"".join(map(known.__getitem__, c)) for c in cut]
 
