@@ -2,6 +2,6 @@
 
 from __future__ import annotations
 
-from reportgraph.plans import mining
+from reportgraph.plans import mining, surrounding
 
-QUERIES: dict[str, tuple] = {**mining.QUERIES}
+QUERIES: dict[str, tuple] = {**mining.QUERIES, **surrounding.QUERIES}
