@@ -92,8 +92,8 @@ add("dialogs", corpus.dialogs, "SELECT conv_id AS report_id, count(*) AS turns,
 add("report_word_stats", lambda s, d: rounded(T.sentences(read_table(s, d, "documents"), "text", "doc_id", clean=False).select("report_id", F.size(F.split("text", " ")).alias("w")).groupBy("report_id").agg(F.sum("w").alias("w"), F.count("*").alias("n")).agg(F.avg("w").alias("mean_words"), F.avg("n").alias("mean_sentences"), F.count("*").alias("reports"))),
     "WITH l AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS s FROM documents), t AS (SELECT doc_id, trim(regexp_replace(s, ' +', ' ', 'g')) AS s FROM l), g AS (SELECT doc_id, sum(len(string_split(s, ' '))) AS w, count(*) AS n FROM t WHERE s <> '' GROUP BY doc_id) SELECT round(avg(w), 6) AS mean_words, round(avg(n), 6) AS mean_sentences, count(*) AS reports FROM g")
 
-add("clean_wide_tables", lambda s, d: corpus.order_reports(s, d).where("report_id % 28 in (3, 17)").select("report_id", T.drop_wide_tables(F.col("description")).alias("text")),
-    f"WITH {corpus.REPORTS_SQL} SELECT report_id, replace(description, '{corpus.WIDE_TABLE}', '') AS text FROM reports WHERE report_id % 28 IN (3, 17)")
+add("clean_wide_tables", lambda s, d: corpus.order_reports(s, d).select("report_id", T.drop_wide_tables(F.col("description")).alias("text")),
+    f"WITH {corpus.REPORTS_SQL} SELECT report_id, replace(description, '{corpus.WIDE_TABLE}', '') AS text FROM reports")
 add("clean_two_column_rows", lambda s, d: corpus.order_reports(s, d).select("report_id", F.inline(T.two_column_rows(F.col("description")))),
     chain("SELECT report_id, name, value FROM candidates WHERE pattern = 'table'"))
 add("clean_strip_markup", lambda s, d: read_table(s, d, "pages").select("page_id", T.squeeze(T.strip_markup(F.col("html"))).alias("text")),

@@ -31,8 +31,8 @@ add("join_broadcast", lambda t: t("customer").join(F.broadcast(t("nation")), F.c
 add("join_sort_merge", lambda t: t("lineitem").hint("merge").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 add("join_shuffled_hash", lambda t: t("orders").join(t("customer").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n")), "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
 for kind, word in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
-    add(f"join_{kind}", lambda t, kind=kind: t("customer").where("c_custkey % 3 = 0").join(t("orders").where("o_orderkey % 5 = 0"), F.col("c_custkey") == F.col("o_custkey"), kind).select(F.coalesce("c_custkey", F.lit(-1)).alias("c_custkey"), F.coalesce("o_orderkey", F.lit(-1)).alias("o_orderkey")),
-        f"SELECT coalesce(c_custkey, -1) AS c_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 = 0) {word} JOIN (SELECT * FROM orders WHERE o_orderkey % 5 = 0) ON c_custkey = o_custkey")
+    add(f"join_{kind}", lambda t, kind=kind: t("customer").where("c_acctbal > 5000").join(t("orders").where("o_orderstatus = 'F'"), F.col("c_custkey") == F.col("o_custkey"), kind).select(F.coalesce("c_custkey", F.lit(-1)).alias("c_custkey"), F.coalesce("o_orderkey", F.lit(-1)).alias("o_orderkey")),
+        f"SELECT coalesce(c_custkey, -1) AS c_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM (SELECT * FROM customer WHERE c_acctbal > 5000) {word} JOIN (SELECT * FROM orders WHERE o_orderstatus = 'F') ON c_custkey = o_custkey")
 add("join_semi", lambda t: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
 add("join_anti", lambda t: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
 add("join_cross", lambda t: t("nation").crossJoin(t("region")).select("n_name", "r_name"), "SELECT n_name, r_name FROM nation, region")

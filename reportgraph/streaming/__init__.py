@@ -1 +1 @@
-
+"""Report events as streams."""
