@@ -1,6 +1,6 @@
 """WARC archives: writing with revisits, reading back, and merging of the capture index.
 
-Records are uncompressed, so an index of offsets is possible. Each archive read gives a run of index
+Archives are compressed whole; an index entry's offset and length are those in the plain archive. Each archive read gives a run of index
 entries sorted by URL key and time; entries are dealt by ranges of that key, and each range merges its
 runs with a loser tree, so the whole index is in order, each URL's captures following each other.
 """
@@ -8,6 +8,7 @@ runs with a loser tree, so the whole index is in order, each URL's captures foll
 from __future__ import annotations
 
 import base64
+import gzip
 import hashlib
 import uuid
 from collections.abc import Iterator
@@ -84,7 +85,7 @@ def write_archives(pages: DataFrame, path: str, min_bytes: int = MIN_BYTES, id_c
         line("Content-Type", F.lit("application/http; msgtype=response")), line("Content-Length", (F.octet_length(block)).cast("string")), F.lit(CRLF),
     )
     # A record ends with two line ends, which the text writer puts after each row.
-    rows.select(F.concat(head, block).alias("value")).write.option("maxRecordsPerFile", RECORDS_PER_FILE).text(path, lineSep=CRLF + CRLF)
+    rows.select(F.concat(head, block).alias("value")).write.option("maxRecordsPerFile", RECORDS_PER_FILE).text(path, compression="gzip", lineSep=CRLF + CRLF)
 
 
 def records(data: bytes) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
@@ -116,7 +117,8 @@ def read_index(spark, path: str) -> DataFrame:
         for b in batches:
             for name, data in zip(b.column(0).to_pylist(), b.column(1)):
                 rows = []
-                for offset, length, h, block in records(data.as_py()):
+                raw = data.as_py()
+                for offset, length, h, block in records(gzip.decompress(raw) if raw[:2] == b"\x1f\x8b" else raw):
                     head, _, payload = block.partition(b"\r\n\r\n")
                     http = dict(x.lower().split(b": ", 1) for x in head.split(b"\r\n")[1:])
                     digest = h["warc-payload-digest"].removeprefix("sha1:")
