@@ -145,14 +145,16 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
     Rows of equal id and text come as one row with what is taken from all of them.
     """
-    m = mix(docs, **options).where("taken > 0").groupBy(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__th")).agg(
-        F.sum("passes").alias("__p"), F.flatten(F.collect_list("spans")).alias("__spans")
+    m = mix(docs, **options).where("taken > 0").groupBy(F.col("doc_id").alias("mid"), F.col("text_hash").alias("mth")).agg(
+        F.sum("passes").alias("times"), F.flatten(F.collect_list("spans")).alias("spans")
     )
-    text = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.withColumn("__own", F.xxhash64(text)).dropDuplicates(["doc_id", "__own"])
-    rows = rows.join(m, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__own") == F.col("__th"))).drop("__own")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("d"))
+    text = F.coalesce(F.col("d.text"), F.lit(""))
+    rows = rows.withColumns({"id": F.col("d.doc_id"), "th": F.xxhash64(text)}).dropDuplicates(["id", "th"])
+    rows = rows.join(m, F.col("id").eqNullSafe(F.col("mid")) & (F.col("th") == F.col("mth")))
     words = F.regexp_extract_all(text, F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))
-    whole = F.array_repeat(text, F.col("__p").cast("int"))
-    some = F.when(F.size("__spans") > 0, F.transform("__spans", lambda s: F.array_join(F.slice(words, (s["start"] + 1).cast("int"), (s["end"] - s["start"]).cast("int")), " "))).otherwise(F.array().cast("array<string>"))
-    rows = rows.withColumn("text", F.array_join(F.concat(whole, some), "\n")).drop("__id", "__th", "__p", "__spans")
-    return rows.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else rows
+    whole = F.array_repeat(text, F.col("times").cast("int"))
+    some = F.when(F.size("spans") > 0, F.transform("spans", lambda s: F.array_join(F.slice(words, (s["start"] + 1).cast("int"), (s["end"] - s["start"]).cast("int")), " "))).otherwise(F.array().cast("array<string>"))
+    rows = rows.select("d", F.array_join(F.concat(whole, some), "\n").alias("taken"))
+    new = {"text": F.col("taken"), "n_chars": F.length("taken").cast("bigint")}
+    return rows.select(*[new.get(c, F.col(f"d.`{c}`")).alias(c) for c in docs.columns])

@@ -21,7 +21,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: in
     Several labels of a document count as their largest, null labels as none; only the chosen ids are broadcast.
     """
     ids = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    ids = ids.groupBy(F.col("doc_id").alias("__id")).agg(F.max(label).cast("int").alias("label"))
-    ids = ids.orderBy(F.xxhash64("__id"), "__id").limit(max_rows)
-    rows = docs.join(F.broadcast(ids), docs[id_col] == ids["__id"])
-    return rows.select(F.col("__id").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), "label").dropDuplicates(["doc_id"])
+    ids = ids.groupBy(F.col("doc_id").alias("lid")).agg(F.max(label).cast("int").alias("label"))
+    ids = ids.orderBy(F.xxhash64("lid"), "lid").limit(max_rows)
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return rows.join(F.broadcast(ids), F.col("doc_id") == F.col("lid")).select("doc_id", "text", "label").dropDuplicates(["doc_id"])
