@@ -144,40 +144,56 @@ def _forest(words: np.ndarray, homes: np.ndarray, threshold: int, cells: int = 1
 
 
 def _nearest(words: np.ndarray, homes: np.ndarray, threshold: int, cells: int = 1 << 26) -> list[tuple[int, int]]:
-    """For each home its nearest member and its nearest earlier member; in very large groups a forest besides."""
+    """Candidates among the members of one anchor, which lie in order of their first document.
+
+    All pairs of a home and a member within the threshold, if they are at most four times the members. In
+    denser groups each home has its three nearest, its nearest earlier and its earliest one; very large groups a forest.
+    """
     n, which = len(words), np.flatnonzero(homes)
-    out: list[tuple[int, int]] = []
     if len(which) * n > cells:
         return _forest(words, homes, threshold)
+    far = 1 << 20
+    every: list[tuple[int, int]] | None = []
+    some: set[tuple[int, int]] = set()
     step = max(1, (1 << 20) // n)
     for k in range(0, len(which), step):
         part = which[k : k + step]
+        rows = np.arange(len(part))
         d = np.bitwise_count(words[part, None, :] ^ words[None, :, :]).sum(-1).astype(np.int64)
-        d[np.arange(len(part)), part] = 1 << 20
-        for m in (d, np.where(np.arange(n)[None, :] < part[:, None], d, 1 << 20)):
-            best = m.argmin(1)
-            ok = m[np.arange(len(part)), best] <= threshold
-            out.extend(zip(part[ok].tolist(), best[ok].tolist()))
-    return list(set(out))
+        d[rows, part] = far
+        near = d <= threshold
+        if every is not None:
+            i, j = np.nonzero(near)
+            every.extend(zip(part[i].tolist(), j.tolist()))
+            if len(every) > 4 * n:
+                every = None
+        three = np.argpartition(d, min(3, n - 1), axis=1)[:, :3]
+        earlier = np.where(np.arange(n)[None, :] < part[:, None], d, far).argmin(1)
+        for c in (*three.T, earlier, near.argmax(1)):
+            ok = near[rows, c]
+            some.update(zip(part[ok].tolist(), c[ok].tolist()))
+    return every if every is not None else list(some)
 
 
 def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int, int, int]], threshold: int, nearest: bool = False) -> DataFrame:
-    """``(src, dst)`` row numbers ``node`` of linked fingerprints; ``prints`` has a distinct ``node`` and the word columns.
+    """``(src, dst)`` nodes of linked fingerprints; ``prints`` has a distinct ``node`` and the word columns.
+
+    With ``nearest`` it also has ``place``, by which the members of an anchor are ordered, and links are candidates.
 
     Replicas are dealt by anchor; a task reads its anchors one after another.
     """
     k = len(words)
-    names = ["anchor", "node", "home", *words]
+    names = ["anchor", "node", "home", *words, "place"]
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for start in range(0, whole.num_rows, 4096):
                 b = whole.slice(start, 4096)
-                node = b.column(0).to_numpy(zero_copy_only=False)
+                node, place = (b.column(i).to_numpy(zero_copy_only=False) for i in (0, 1 + k))
                 fp = np.stack([b.column(1 + i).to_numpy(zero_copy_only=False) for i in range(k)], 1).view(np.uint64)
                 for number, values, bits in cut(fp, segments):
                     at, anchor, home = segment_anchors(values, bits)
-                    yield pa.RecordBatch.from_arrays([pa.array(anchor | number << 40), pa.array(node[at]), pa.array(home), *[pa.array(fp[at, i].view(np.int64)) for i in range(k)]], names=names)
+                    yield pa.RecordBatch.from_arrays([pa.array(anchor | number << 40), pa.array(node[at]), pa.array(home), *[pa.array(fp[at, i].view(np.int64)) for i in range(k)], pa.array(place[at])], names=names)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         link = _nearest if nearest else _forest
@@ -213,9 +229,10 @@ def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int,
                 src, dst = [], []
         yield pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64())], names=["src", "dst"])
 
-    rows = prints.select("node", *words).mapInArrow(spread, "anchor long, node long, home boolean, " + ", ".join(f"{w} long" for w in words))
+    order = F.col("place") if nearest else F.col("node")
+    rows = prints.select("node", *words, order.alias("place")).mapInArrow(spread, "anchor long, node long, home boolean, " + ", ".join(f"{w} long" for w in words) + ", place long")
     n = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = rows.repartition(n, "anchor").sortWithinPartitions("anchor", "node")
+    rows = rows.repartition(n, "anchor").sortWithinPartitions("anchor", "place", "node").drop("place")
     links = rows.mapInArrow(compare, "src long, dst long")
     return links.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).where("src <> dst").distinct()
 
@@ -272,7 +289,7 @@ def similarity(a: str, b: str, size: int = SHINGLE) -> float:
 def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(row, first)``: each row's digest of its words and the smallest id in its group of near-duplicates.
 
-    Texts of equal words are one node. Candidates are the nearest fingerprints at each anchor (192 bits in nine
+    Texts of equal words are one node. Candidates are near fingerprints at each anchor (192 bits in nine
     segments with one bit to spare each); a candidate is a link if the shingles' similarity is ``similarity_least``.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -290,7 +307,9 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"))
     prints = checkpointed(rows.mapInArrow(run, f"doc {kind}, node long, " + ", ".join(f"{w} long" for w in words)))
     nodes = prints.groupBy("node").agg(F.min("doc").alias("first"), *[F.first(w).alias(w) for w in words])
-    links = checkpointed(anchor_links(nodes, words, even_segments(WIDE_WORDS, WIDE_SEGMENT), WIDE_THRESHOLD, nearest=True))
+    number = F.col("first") if kind in ("bigint", "int", "smallint", "tinyint") else F.xxhash64("first")
+    placed = nodes.withColumn("place", F.coalesce(number.cast("bigint"), F.lit((1 << 63) - 1)))
+    links = checkpointed(anchor_links(placed, words, even_segments(WIDE_WORDS, WIDE_SEGMENT), WIDE_THRESHOLD, nearest=True))
     wanted = links.select(F.col("src").alias("node")).union(links.select(F.col("dst"))).distinct().join(nodes.select("node", "first"), "node")
     # The text of a node is that of its first document.
     texts = checkpointed(
