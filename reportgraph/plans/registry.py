@@ -2,6 +2,6 @@
 
 from __future__ import annotations
 
-from reportgraph.plans import applications, mining, surrounding
+from reportgraph.plans import applications, experiments, mining, surrounding
 
-QUERIES: dict[str, tuple] = {**mining.QUERIES, **applications.QUERIES, **surrounding.QUERIES}
+QUERIES: dict[str, tuple] = {**mining.QUERIES, **applications.QUERIES, **experiments.QUERIES, **surrounding.QUERIES}
