@@ -17,7 +17,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from reportgraph.sources.io import checkpointed
+
 MIN_WORDS = 20
+HOT_SHARE, LEAST_HOT, SALTS = 2000, 1000, 32
 #: A unit: up to a sentence's end before white space, or up to the line's end; blanks after it belong to it.
 UNIT = re.compile(r"[^\n]+?(?:[.!?]+[\"')\]]*(?=\s|$)[^\S\n]*|(?=\n|$))|\n+", re.S)
 WORD = re.compile(r"[^\W_]+")
@@ -63,13 +66,22 @@ def unit_table(docs: DataFrame) -> DataFrame:
 def repeated_units(docs: DataFrame) -> DataFrame:
     """``(row, units)``: for each row with such, the numbers of its units that repeat an earlier one.
 
-    The earliest of a group is found by a minimum that is combined before the shuffle, and only groups
-    of two or more take part in the join back, whose hot keys may be split.
+    The earliest of a group is found by a minimum that is combined before the shuffle, and only groups of two
+    or more take part in the join back. Digests with more than one in ``HOT_SHARE`` of the repeated units (so fewer than
+    that many digests) are dealt to ``SALTS`` keys each.
     """
     all_units = unit_table(docs)
     rank = F.struct(F.col("doc").isNull().alias("last"), "doc", "row", "unit")
     groups = all_units.groupBy("digest").agg(F.count("*").alias("n"), F.min(rank).alias("first")).where("n > 1")
-    again = all_units.join(groups, "digest").where((F.col("row") != F.col("first.row")) | (F.col("unit") != F.col("first.unit")))
+    groups = checkpointed(groups.select("digest", "n", F.col("first.row").alias("first_row"), F.col("first.unit").alias("first_unit")))
+    total = groups.agg(F.sum("n")).first()[0] or 0
+    hot = F.col("n") > max(LEAST_HOT, total // HOT_SHARE)
+    salts = F.when(hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+    first = groups.select(F.col("digest").alias("d"), F.explode(salts).alias("s"), "first_row", "first_unit")
+    spread = all_units.join(F.broadcast(groups.where(hot).select(F.col("digest").alias("h"))), F.col("digest") == F.col("h"), "left")
+    spread = spread.select("row", "unit", "digest", F.when(F.col("h").isNotNull(), F.pmod("row", F.lit(SALTS)).cast("int")).otherwise(0).alias("salt"))
+    again = spread.join(first, (F.col("digest") == F.col("d")) & (F.col("salt") == F.col("s")))
+    again = again.where((F.col("row") != F.col("first_row")) | (F.col("unit") != F.col("first_unit")))
     return again.groupBy("row").agg(F.array_sort(F.collect_set("unit")).alias("again"))
 
 
