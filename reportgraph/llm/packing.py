@@ -23,7 +23,7 @@ WINDOW = 4096
 END_ID = 2
 CUT_PENALTY = 4
 CUT_GAP = 16
-MEMO_WORDS = 900_000
+MEMO_PIECES, MEMO_WORDS = 350_000, 450_000
 SEGMENT_TOKENS = 1 << 18
 #: A special token of the vocabulary, put between pieces.
 BORDER = "<|endoftext|>"
@@ -110,7 +110,7 @@ class WordIds:
 
     def documents(self, texts: list[str]) -> list[bytes]:
         cut = [t.replace("\n", " ").split(" ") for t in texts]
-        if len(self.pieces) > MEMO_WORDS or len(self.words) > MEMO_WORDS:
+        if len(self.pieces) > MEMO_PIECES or len(self.words) > MEMO_WORDS:
             self.pieces, self.words = {"": b""}, {}
         self.learn(list(set().union(*cut).difference(self.pieces)))
         known = self.pieces
