@@ -11,6 +11,7 @@ pairs of a dense group; components over these links are those over all links.
 
 from __future__ import annotations
 
+import math
 from collections import deque
 from collections.abc import Iterator
 
@@ -147,11 +148,17 @@ def _nearest(words: np.ndarray, homes: np.ndarray, threshold: int, cells: int =
     """Candidates among the members of one anchor, which lie in order of their first document.
 
     All pairs of a home and a member within the threshold, if they are at most four times the members. In
-    denser groups each home has its three nearest, its nearest earlier and its earliest one; very large groups a forest.
+    denser groups each home has its three nearest, its nearest earlier and its earliest one. An anchor of more than
+    ``cells`` such pairs is read in windows that overlap by half. What this leaves out is for ``prefix_pairs``.
     """
     n, which = len(words), np.flatnonzero(homes)
-    if len(which) * n > cells:
-        return _forest(words, homes, threshold)
+    if len(which) * n > cells and n > 2:
+        wide = max(2, min(math.isqrt(cells), n - 1))
+        out: set[tuple[int, int]] = set()
+        for start in range(0, max(1, n - wide // 2), max(1, wide // 2)):
+            z = min(n, start + wide)
+            out.update((start + i, start + j) for i, j in _nearest(words[start:z], homes[start:z], threshold, wide * wide))
+        return list(out)
     far = 1 << 20
     every: list[tuple[int, int]] | None = []
     some: set[tuple[int, int]] = set()
@@ -175,6 +182,23 @@ def _nearest(words: np.ndarray, homes: np.ndarray, threshold: int, cells: int =
     return every if every is not None else list(some)
 
 
+def _whole_runs(tables: Iterator[list[np.ndarray]]) -> Iterator[tuple[list[np.ndarray], np.ndarray]]:
+    """Columns sorted by the first of them, cut so that equal values stay together, and where its value changes."""
+    kept: list[np.ndarray] | None = None
+    for t in tables:
+        if kept is not None:
+            t = [np.concatenate(x) for x in zip(kept, t)]
+        if not len(t[0]):
+            continue
+        bounds = np.flatnonzero(np.diff(t[0])) + 1
+        last = int(bounds[-1]) if len(bounds) else 0
+        if last:
+            yield [x[:last] for x in t], bounds[:-1]
+        kept = [x[last:] for x in t]
+    if kept is not None and len(kept[0]):
+        yield kept, np.zeros(0, np.int64)
+
+
 def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int, int, int]], threshold: int, nearest: bool = False) -> DataFrame:
     """``(src, dst)`` nodes of linked fingerprints; ``prints`` has a distinct ``node`` and the word columns.
 
@@ -197,26 +221,10 @@ def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int,
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         link = _nearest if nearest else _forest
-
-        def groups(tables: Iterator[list[np.ndarray]]) -> Iterator[tuple]:
-            kept: list[np.ndarray] | None = None
-            for t in tables:
-                if kept is not None:
-                    t = [np.concatenate(x) for x in zip(kept, t)]
-                if not len(t[0]):
-                    continue
-                bounds = np.flatnonzero(np.diff(t[0])) + 1
-                last = int(bounds[-1]) if len(bounds) else 0
-                if last:
-                    yield [x[:last] for x in t], bounds[:-1]
-                kept = [x[last:] for x in t]
-            if kept is not None and len(kept[0]):
-                yield kept, np.zeros(0, np.int64)
-
         src: list[int] = []
         dst: list[int] = []
         columns = ([b.column(i).to_numpy(zero_copy_only=False) for i in range(3 + k)] for b in batches)
-        for t, bounds in groups(columns):
+        for t, bounds in _whole_runs(columns):
             node, home, fp = t[1], t[2].astype(bool), np.stack(t[3:], 1).view(np.uint64)
             starts = np.concatenate([[0], bounds, [len(node)]])
             for a, z in zip(starts[:-1].tolist(), starts[1:].tolist()):
@@ -286,43 +294,155 @@ def similarity(a: str, b: str, size: int = SHINGLE) -> float:
     return len(x & y) / len(x | y) if x or y else 1.0
 
 
+def shingle_keys(words: list[bytes], size: int) -> np.ndarray:
+    """Distinct 64-bit keys of the shingles in ascending order, computed from the hashes of the words."""
+    if not words:
+        return np.zeros(0, np.uint64)
+    own = {w: xxhash.xxh3_64_intdigest(w) for w in set(words)}
+    h = np.fromiter(map(own.__getitem__, words), np.uint64, len(words))
+    n = max(1, len(words) - size + 1)
+    key = np.zeros(n, np.uint64)
+    for k in range(min(size, len(words))):
+        key = (key ^ h[k : k + n]) * np.uint64(0x9E3779B97F4A7C15)
+        key ^= key >> np.uint64(29)
+    return np.unique(key)
+
+
+def prefix(keys: np.ndarray, common: np.ndarray, rank: np.ndarray, least: float) -> np.ndarray:
+    """The keys of which two sets with a similarity of ``least`` must share one.
+
+    All sets are read in one order: keys that are not ``common`` ascending, then the common ones by ``rank``.
+    """
+    if not len(keys):
+        return keys
+    if len(common):
+        at = np.minimum(np.searchsorted(common, keys), len(common) - 1)
+        hot = common[at] == keys
+        keys = np.concatenate([keys[~hot], keys[hot][np.argsort(rank[at[hot]])]])
+    return keys[: len(keys) - math.ceil(least * len(keys) - 1e-9) + 1]
+
+
+def common_keys(rows: DataFrame, size: int, sample: int = 10_000, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+    """Keys found in several texts of a sample, and their order from rare to common.
+
+    They only shorten the lists of ``prefix_pairs``; with any other set of keys its result is the same.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for t in b.column(0).to_pylist():
+                yield pa.RecordBatch.from_arrays([pa.array(shingle_keys(tokens(t), size).view(np.int64))], names=["key"])
+
+    every = max(1, rows.count() // sample)
+    some = rows.where(F.pmod("row", F.lit(every)) == 0).select("text").mapInArrow(run, "key long")
+    top = some.groupBy("key").agg(F.count("*").alias("n")).where("n > 3").orderBy(F.desc("n"), "key").limit(most).toPandas()
+    keys = top["key"].to_numpy(np.int64).view(np.uint64)
+    order = np.argsort(keys)
+    return keys[order], -order
+
+
+def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
+    """``(src, dst)`` nodes of different groups (``own``) that may have a similarity of ``least``; none that has is left out.
+
+    ``sets`` has a distinct ``node``, ``own``, the number of its keys ``n`` and the keys of its ``prefix`` as bytes.
+    Two such sets share a key of their prefixes; at the first one they share, as many keys as they have to share must
+    follow in both.
+    """
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for start in range(0, whole.num_rows, 1024):
+                b = whole.slice(start, 1024)
+                keys = [np.frombuffer(x, np.int64) for x in b.column(3).to_pylist()]
+                count = np.array([len(x) for x in keys], np.int64)
+                at = np.repeat(np.arange(len(keys)), count)
+                left = np.concatenate([int(n) - np.arange(len(x)) for n, x in zip(b.column(2).to_pylist(), keys)])
+                node, own, n = (b.column(i).to_numpy(zero_copy_only=False)[at] for i in range(3))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(node), pa.array(own), pa.array(n), pa.array(left.astype(np.int32))], names=["key", "node", "own", "n", "left"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        columns = ([b.column(i).to_numpy(zero_copy_only=False) for i in range(5)] for b in batches)
+        out: list[tuple[np.ndarray, np.ndarray]] = []
+        size = 0
+
+        def batch() -> pa.RecordBatch:
+            src, dst = (np.concatenate([x[i] for x in out] or [np.zeros(0, np.int64)]) for i in range(2))
+            return pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], names=["src", "dst"])
+
+        for (_, node, own, n, left), bounds in _whole_runs(columns):
+            starts = np.concatenate([[0], bounds])
+            ends = np.append(bounds, len(node))
+            mixed = np.flatnonzero(np.minimum.reduceat(own, starts) != np.maximum.reduceat(own, starts))
+            for a, z in zip(starts[mixed].tolist(), ends[mixed].tolist()):
+                o, m, r = own[a:z], n[a:z].astype(np.int64), left[a:z].astype(np.int64)
+                place = np.arange(z - a)
+                step = max(1, (1 << 20) // (z - a))
+                for k in range(0, z - a, step):
+                    p = slice(k, k + step)
+                    ok = (o[p, None] != o) & (place[p, None] < place)
+                    ok &= np.minimum(r[p, None], r) * (1 + least) >= least * (m[p, None] + m) - 1e-6
+                    i, j = np.nonzero(ok)
+                    if len(i):
+                        out.append((node[a + k + i], node[a + j]))
+                        size += len(i)
+                    if size > 100_000:
+                        yield batch()
+                        out, size = [], 0
+        yield batch()
+
+    rows = sets.select("node", "own", "n", "prefix").where("n > 0").mapInArrow(spread, "key long, node long, own long, n int, left int")
+    parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    pairs = rows.repartition(parts, "key").sortWithinPartitions("key").mapInArrow(compare, "src long, dst long")
+    return pairs.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
+
+
 def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(row, first)``: each row's digest of its words and the smallest id in its group of near-duplicates.
 
-    Texts of equal words are one node. Candidates are near fingerprints at each anchor (192 bits in nine
-    segments with one bit to spare each); a candidate is a link if the shingles' similarity is ``similarity_least``.
+    Texts of equal words are one node. Two nodes are linked if their shingles' similarity is ``similarity_least``. Near
+    fingerprints at each anchor (192 bits in nine segments with one bit to spare each) give most links and so the
+    dense groups; all pairs that these leave in different groups are then looked for by ``prefix_pairs``.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            node, prints = [], []
+            node, prints, n, keys = [], [], [], []
             for t in b.column(1).to_pylist():
                 w = tokens(t)
                 node.append(xxhash.xxh3_64_intdigest(b" ".join(w)))
                 prints.append(wide_print(w))
+                k = shingle_keys(w, size)
+                n.append(len(k))
+                keys.append(prefix(k, common, rank, similarity_least).tobytes())
             fp = np.array(prints, np.uint64).reshape(-1, WIDE_WORDS).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)]], names=["doc", "node", *words])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)], pa.array(n, pa.int32()), pa.array(keys, pa.binary())], names=["doc", "node", *words, "n", "prefix"])
 
     words = [f"w{i}" for i in range(WIDE_WORDS)]
     kind = dict(docs.dtypes)[id_col]
-    rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"))
-    prints = checkpointed(rows.mapInArrow(run, f"doc {kind}, node long, " + ", ".join(f"{w} long" for w in words)))
+    rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("row"))
+    common, rank = common_keys(rows, size)
+    prints = checkpointed(rows.select("doc", "text").mapInArrow(run, f"doc {kind}, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary"))
     nodes = prints.groupBy("node").agg(F.min("doc").alias("first"), *[F.first(w).alias(w) for w in words])
     number = F.col("first") if kind in ("bigint", "int", "smallint", "tinyint") else F.xxhash64("first")
     placed = nodes.withColumn("place", F.coalesce(number.cast("bigint"), F.lit((1 << 63) - 1)))
     links = checkpointed(anchor_links(placed, words, even_segments(WIDE_WORDS, WIDE_SEGMENT), WIDE_THRESHOLD, nearest=True))
-    wanted = links.select(F.col("src").alias("node")).union(links.select(F.col("dst"))).distinct().join(nodes.select("node", "first"), "node")
-    # The text of a node is that of its first document.
-    texts = checkpointed(
-        rows.join(wanted, rows["doc"].eqNullSafe(wanted["first"])).groupBy("node").agg(F.min("text").alias("text"))
-    )
 
     @F.pandas_udf("double")
     def likeness(a, b):
         return a.combine(b, lambda x, y: similarity(x or "", y or "", size))
 
-    pairs = links.join(texts.select(F.col("node").alias("src"), F.col("text").alias("ta")), "src").join(texts.select(F.col("node").alias("dst"), F.col("text").alias("tb")), "dst")
-    links = pairs.where(likeness("ta", "tb") >= similarity_least).select("src", "dst")
-    parts = connected_components(links)
+    def verified(pairs: DataFrame) -> DataFrame:
+        wanted = pairs.select(F.col("src").alias("node")).union(pairs.select(F.col("dst"))).distinct().join(nodes.select("node", "first"), "node")
+        # The text of a node is that of its first document.
+        texts = checkpointed(
+            rows.join(wanted, rows["doc"].eqNullSafe(wanted["first"])).groupBy("node").agg(F.min("text").alias("text"))
+        )
+        both = pairs.join(texts.select(F.col("node").alias("src"), F.col("text").alias("ta")), "src").join(texts.select(F.col("node").alias("dst"), F.col("text").alias("tb")), "dst")
+        return both.where(likeness("ta", "tb") >= similarity_least).select("src", "dst")
+
+    parts = checkpointed(connected_components(verified(links)))
+    sets = prints.groupBy("node").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix")).join(parts, "node", "left")
+    more = checkpointed(prefix_pairs(sets.withColumn("own", F.coalesce("component", "node")), similarity_least))
+    parts = connected_components(verified(more).unionByName(parts.select(F.col("node").alias("src"), F.col("component").alias("dst"))))
     groups = nodes.select("node", "first").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
     least = groups.groupBy("component").agg(F.min("first").alias("kept"))
     groups = groups.join(least, "component").select("node", "kept")

@@ -301,6 +301,32 @@ def test_near_duplicates(docs, none):
     assert near <= gone and simhash.one_of_each_group(none).count() == 0
 
 
+def test_very_dense_anchors_keep_the_nearest():
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 1 << 63, 3, dtype=np.uint64)
+    words = np.repeat(base[None, :] ^ (np.uint64(1) << rng.integers(0, 64, (40, 3)).astype(np.uint64)), 2, axis=0)
+    got = simhash._nearest(words, np.ones(80, bool), 40, cells=400)
+    assert {(i, i ^ 1) for i in range(80)} <= set(got)
+    assert all(abs(i - j) < 20 for i, j in got)
+
+
+def test_prefix_pairs_miss_nothing(spark):
+    rng = random.Random(8)
+    sets = {}
+    for k in range(60):
+        own = [rng.randrange(1 << 62) for _ in range(rng.randint(1, 60))]
+        sets[2 * k] = set(own)
+        sets[2 * k + 1] = set(own[: max(1, len(own) * 9 // 10)]) | ({rng.randrange(50)} if k % 3 else set())
+    common = np.array(sorted({x for v in list(sets.values())[:20] for x in v}), np.uint64)
+    rank = np.random.default_rng(2).permutation(len(common))
+    rows = [(i, i, len(v), simhash.prefix(np.array(sorted(v), np.uint64), common, rank, 0.8).tobytes()) for i, v in sets.items()]
+    df = spark.createDataFrame(rows, "node long, own long, n int, prefix binary")
+    got = {tuple(r) for r in simhash.prefix_pairs(df, 0.8).collect()}
+    want = {(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])}
+    assert len(want) > 20 and want <= got and len(got) < 200
+    assert simhash.prefix_pairs(df.withColumn("own", F.lit(1).cast("long")), 0.8).count() == 0
+
+
 def test_top_k_by_brute_force(spark):
     rng = random.Random(6)
     rows = [(i, [rng.gauss(0, 1) * (1 + i % 7) for _ in range(6)]) for i in range(230)] + [(230, None), (231, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (232, [float("nan")] * 6), (233, [float("inf")] * 6), (None, [1.0] * 6)]
