@@ -310,6 +310,23 @@ def test_very_dense_anchors_keep_the_nearest():
     assert all(abs(i - j) < 20 for i, j in got)
 
 
+def groups_by_brute_force(rows):
+    sets = {i: set(simhash.shingle_hashes(simhash.tokens(t), 5).tolist()) for i, t in rows}
+    up = {i: i for i in sets}
+
+    def top(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for i in sets:
+        for j in sets:
+            if i < j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                a, b = sorted((top(i), top(j)))
+                up[b] = a
+    return {i: top(i) for i in sets}
+
+
 def test_prefix_pairs_miss_nothing(spark):
     rng = random.Random(8)
     sets = {}
@@ -327,6 +344,17 @@ def test_prefix_pairs_miss_nothing(spark):
     assert simhash.prefix_pairs(df.withColumn("own", F.lit(1).cast("long")), 0.8).count() == 0
 
 
+def test_near_duplicates_of_one_vocabulary(spark):
+    rng = random.Random(9)
+    vocabulary = [f"w{i}" for i in range(150)]
+    rows = []
+    for i in range(80):  # equal sets of words, so equal fingerprints
+        w = rng.sample(vocabulary, len(vocabulary))
+        rows += [(i, " ".join(w)), (1000 - i, " ".join(w[10:] + w[:10]))]
+    got = {r["doc"]: r["kept"] for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == groups_by_brute_force(rows) and len(set(got.values())) == 80
+
+
 def test_top_k_by_brute_force(spark):
     rng = random.Random(6)
     rows = [(i, [rng.gauss(0, 1) * (1 + i % 7) for _ in range(6)]) for i in range(230)] + [(230, None), (231, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (232, [float("nan")] * 6), (233, [float("inf")] * 6), (None, [1.0] * 6)]
