@@ -355,6 +355,19 @@ def test_near_duplicates_of_one_vocabulary(spark):
     assert got == groups_by_brute_force(rows) and len(set(got.values())) == 80
 
 
+def test_near_duplicates_with_block_edits(spark):
+    rng = random.Random(10)
+    rows = []
+    for i in range(200):
+        w = [f"{rng.choice(WORDS)}{rng.randrange(400)}" for _ in range(rng.randint(60, 200))]
+        new = [f"new{rng.randrange(10**6)}" for _ in range(len(w) // 6)]
+        edited = (w + new, w[: len(w) * 5 // 6], w[: len(w) // 2] + new[: len(w) // 12] + w[len(w) // 2 + len(w) // 12 :])[i % 3]
+        rows += [(i, " ".join(w)), (1000 + i, " ".join(edited))]
+    got = {r["doc"]: r["kept"] for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    want = groups_by_brute_force(rows)
+    assert got == want and len(set(want.values())) < 260
+
+
 def test_top_k_by_brute_force(spark):
     rng = random.Random(6)
     rows = [(i, [rng.gauss(0, 1) * (1 + i % 7) for _ in range(6)]) for i in range(230)] + [(230, None), (231, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (232, [float("nan")] * 6), (233, [float("inf")] * 6), (None, [1.0] * 6)]
