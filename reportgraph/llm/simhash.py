@@ -397,7 +397,8 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
 
 
 def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(row, first)``: each row's digest of its words and the smallest id in its group of near-duplicates.
+    """``doc, row, node, kept, kept_row`` of every row: its id, the digest of its text and that of its words, and the id and
+    text digest of the first row in its group of near-duplicates (smallest id, nulls last, then smallest text digest).
 
     Texts of equal words are one node. Two nodes are linked if their shingles' similarity is ``similarity_least``. Near
     fingerprints at each anchor (192 bits in nine segments with one bit to spare each) give most links and so the
@@ -406,7 +407,7 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             node, prints, n, keys = [], [], [], []
-            for t in b.column(1).to_pylist():
+            for t in b.column(2).to_pylist():
                 w = tokens(t)
                 node.append(xxhash.xxh3_64_intdigest(b" ".join(w)))
                 prints.append(wide_print(w))
@@ -414,14 +415,15 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
                 n.append(len(k))
                 keys.append(prefix(k, common, rank, similarity_least).tobytes())
             fp = np.array(prints, np.uint64).reshape(-1, WIDE_WORDS).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)], pa.array(n, pa.int32()), pa.array(keys, pa.binary())], names=["doc", "node", *words, "n", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)], pa.array(n, pa.int32()), pa.array(keys, pa.binary())], names=["doc", "row", "node", *words, "n", "prefix"])
 
     words = [f"w{i}" for i in range(WIDE_WORDS)]
     kind = dict(docs.dtypes)[id_col]
     rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("row"))
     common, rank = common_keys(rows, size)
-    prints = checkpointed(rows.select("doc", "text").mapInArrow(run, f"doc {kind}, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary"))
-    nodes = prints.groupBy("node").agg(F.min("doc").alias("first"), *[F.first(w).alias(w) for w in words])
+    prints = checkpointed(rows.select("doc", "row", "text").mapInArrow(run, f"doc {kind}, row long, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary"))
+    rank_of = F.struct(F.col("doc").isNull().alias("last"), "doc", "row")
+    nodes = prints.groupBy("node").agg(F.min(rank_of).alias("least"), *[F.first(w).alias(w) for w in words]).withColumn("first", F.col("least.doc"))
     number = F.col("first") if kind in ("bigint", "int", "smallint", "tinyint") else F.xxhash64("first")
     placed = nodes.withColumn("place", F.coalesce(number.cast("bigint"), F.lit((1 << 63) - 1)))
     links = checkpointed(anchor_links(placed, words, even_segments(WIDE_WORDS, WIDE_SEGMENT), WIDE_THRESHOLD, nearest=True))
@@ -431,10 +433,10 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
         return a.combine(b, lambda x, y: similarity(x or "", y or "", size))
 
     def verified(pairs: DataFrame) -> DataFrame:
-        wanted = pairs.select(F.col("src").alias("node")).union(pairs.select(F.col("dst"))).distinct().join(nodes.select("node", "first"), "node")
-        # The text of a node is that of its first document.
+        wanted = pairs.select(F.col("src").alias("node")).union(pairs.select(F.col("dst"))).distinct().join(nodes.select("node", "first", F.col("least.row").alias("first_row")), "node")
+        # The text of a node is that of its first document; neither ids nor their lack say which text that is.
         texts = checkpointed(
-            rows.join(wanted, rows["doc"].eqNullSafe(wanted["first"])).groupBy("node").agg(F.min("text").alias("text"))
+            rows.join(wanted, rows["doc"].eqNullSafe(wanted["first"]) & (rows["row"] == wanted["first_row"])).groupBy("node").agg(F.min("text").alias("text"))
         )
         both = pairs.join(texts.select(F.col("node").alias("src"), F.col("text").alias("ta")), "src").join(texts.select(F.col("node").alias("dst"), F.col("text").alias("tb")), "dst")
         return both.where(likeness("ta", "tb") >= similarity_least).select("src", "dst")
@@ -443,18 +445,19 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     sets = prints.groupBy("node").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix")).join(parts, "node", "left")
     more = checkpointed(prefix_pairs(sets.withColumn("own", F.coalesce("component", "node")), similarity_least))
     parts = connected_components(verified(more).unionByName(parts.select(F.col("node").alias("src"), F.col("component").alias("dst"))))
-    groups = nodes.select("node", "first").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    least = groups.groupBy("component").agg(F.min("first").alias("kept"))
-    groups = groups.join(least, "component").select("node", "kept")
-    return prints.select("doc", "node").join(groups, "node").select("doc", "node", "kept")
+    groups = nodes.select("node", "least").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    least = groups.groupBy("component").agg(F.min("least").alias("kept"))
+    groups = groups.join(least, "component").select("node", F.col("kept.doc").alias("kept"), F.col("kept.row").alias("kept_row"))
+    return prints.select("doc", "row", "node").join(groups, "node").select("doc", "row", "node", "kept", "kept_row")
 
 
 def one_of_each_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of ``docs`` that are the first of their group of near-duplicates, with all columns.
 
-    First is the smallest id. Rows without an id stay if their group has no other; of repeated rows one stays.
+    First is the smallest id, nulls last, then the smallest digest of the text. Of rows of equal id and text one stays.
     """
     groups = near_duplicate_groups(docs, id_col=id_col, text_col=text_col, **options)
-    kept = groups.where(F.col("doc").eqNullSafe(F.col("kept"))).select(F.col("doc").alias("__doc")).distinct()
-    rows = docs.join(kept, docs[id_col].eqNullSafe(kept["__doc"]), "left_semi")
-    return rows.dropDuplicates([id_col])
+    kept = groups.where(F.col("doc").eqNullSafe(F.col("kept")) & (F.col("row") == F.col("kept_row"))).select(F.col("doc").alias("__doc"), F.col("row").alias("__kept")).distinct()
+    rows = docs.withColumn("__text_digest", F.xxhash64(text_col))
+    rows = rows.join(kept, rows[id_col].eqNullSafe(kept["__doc"]) & (rows["__text_digest"] == kept["__kept"]), "left_semi")
+    return rows.dropDuplicates([id_col, "__text_digest"]).drop("__text_digest")

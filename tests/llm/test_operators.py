@@ -368,6 +368,15 @@ def test_near_duplicates_with_block_edits(spark):
     assert got == want and len(set(want.values())) < 260
 
 
+def test_near_duplicates_without_or_with_repeated_ids(spark):
+    rng = random.Random(12)
+    a, b, c, d, e = (prose(rng, 60) for _ in range(5))
+    rows = [(None, a), (None, b), (None, c), (None, a + " end"), (1, c), (2, d), (2, e), (2, e), (3, e), (None, None), (None, None)]
+    got = Counter((r["doc_id"], r["text"]) for r in simhash.one_of_each_group(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    either = got.pop((None, a), 0) + got.pop((None, a + " end"), 0)
+    assert either == 1 and got == Counter([(None, b), (1, c), (2, d), (2, e), (None, None)])
+
+
 def test_top_k_by_brute_force(spark):
     rng = random.Random(6)
     rows = [(i, [rng.gauss(0, 1) * (1 + i % 7) for _ in range(6)]) for i in range(230)] + [(230, None), (231, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (232, [float("nan")] * 6), (233, [float("inf")] * 6), (None, [1.0] * 6)]
