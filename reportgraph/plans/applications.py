@@ -203,7 +203,7 @@ def triage_accuracy(spark: SparkSession, sf_dir: str, model: str, folds: tuple[i
 
 
 for _m in triage.MODELS:
-    add(f"triage_{_m}", lambda s, d, m=_m: triage_accuracy(s, d, m, (0,)))
+    add(f"triage_{_m}", lambda s, d, m=_m: triage_accuracy(s, d, m, None))
 add("triage_cv", lambda s, d: triage_accuracy(s, d, "knn", None))
 add("triage_importances", lambda s, d: rounded(triage.importances(routing_rows(s, d, "entities+title"))))
 add("knn_exact", lambda s, d: _knn(s, d), f"WITH {_PAIRS}, near AS (SELECT a, b FROM d QUALIFY row_number() OVER (PARTITION BY a ORDER BY d, b) <= 5), v AS (SELECT a AS id, label, count(*) AS c FROM near JOIN embeddings ON b = vec_id GROUP BY ALL) SELECT id, arg_min(label, (-c, label)) AS prediction FROM v GROUP BY id")

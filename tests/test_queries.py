@@ -12,3 +12,12 @@ WITH_SQL = sorted(k for k, (_, sql) in QUERIES.items() if sql)
 def test_same_as_sql(spark, small, name):
     query, sql = QUERIES[name]
     compare(query(spark, small), sql, small)
+
+
+def test_routing_is_judged_on_all_folds(spark, small, monkeypatch):
+    from reportgraph.plans import applications
+
+    sample = QUERIES["triage_sample"][0](spark, small).count()
+    assert {r["rows"] for r in QUERIES["triage_naive_bayes"][0](spark, small).collect()} == {sample}
+    monkeypatch.setattr(applications, "triage_accuracy", lambda spark, sf_dir, model, folds: (model, folds))
+    assert all(QUERIES[f"triage_{m}"][0](spark, small) == (m, None) for m in applications.triage.MODELS)
