@@ -18,10 +18,10 @@ def held_out(doc_id: Column) -> Column:
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, max_rows: int = MAX_LABELLED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(text, label)`` of at most ``max_rows`` labelled rows that are not held out, chosen by hash of the id.
 
-    Several labels of a document count as their largest, null labels as none; only the chosen ids are broadcast.
+    Several labels of a document count as their largest, null labels as none; of several texts of one id the first in order is taken. Only the chosen ids are broadcast.
     """
     ids = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     ids = ids.groupBy(F.col("doc_id").alias("lid")).agg(F.max(label).cast("int").alias("label"))
     ids = ids.orderBy(F.xxhash64("lid"), "lid").limit(max_rows)
     rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return rows.join(F.broadcast(ids), F.col("doc_id") == F.col("lid")).select("doc_id", "text", "label").dropDuplicates(["doc_id"])
+    return rows.join(F.broadcast(ids), F.col("doc_id") == F.col("lid")).groupBy("doc_id").agg(F.min("text").alias("text"), F.max("label").alias("label"))

@@ -422,20 +422,43 @@ def test_classifiers_take_any_row(spark, docs, none):
     assert training.labelled_sample(docs, labels, "quality", max_rows=5).count() <= 5
 
 
-def test_pairs_of_terms_count():
-    """Two words that are harmless alone and toxic together: additive weights can't tell, the pair's vectors do."""
-    rng = random.Random(8)
+def agreeing_rows(n, seed=8):
+    """Rows that are toxic where two words agree, among others that mean nothing."""
+    rng = random.Random(seed)
     rows, y = [], []
-    for _ in range(600):
+    for _ in range(n):
         a, b = rng.random() < 0.5, rng.random() < 0.5
         rows.append(sorted({*([1] if a else []), *([2] if b else []), *(rng.sample(range(10, 60), 3))}))
         y.append(int(a == b))
-    m = toxicity.fit(rows, np.array(y), kept=8, rounds=400)
-    if {1, 2} <= set(m.terms.tolist()):
-        col = {int(t): k for k, t in enumerate(m.terms)}
-        assert m.of_columns([col[1], col[2]]) > m.of_columns([col[1]])
-    x = np.zeros((1, len(m.terms)))
-    assert np.isfinite(m.raw(x)).all()
+    return rows, np.array(y)
+
+
+def test_pairs_of_terms_count():
+    """Additive weights can't tell such rows apart, the pair's vectors do."""
+    rows, y = agreeing_rows(600)
+    m = toxicity.fit(rows, y)
+    assert {1, 2} <= set(m.terms.tolist())
+    more, z = agreeing_rows(400, 9)
+    assert np.mean([(m.of_terms(r) >= 0.5) == t for r, t in zip(more, z)]) > 0.95
+    assert m.of_terms([1, 2]) > 0.9 > 0.1 > m.of_terms([1]) and toxicity.fit(rows, np.ones(600)).terms.size == 0
+
+
+def test_toxicity_scores_by_brute_force(spark, docs):
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(60)], "doc_id long, toxic int")
+    marked = docs.withColumn("text", F.when(F.pmod("doc_id", F.lit(3)) == 0, F.concat(F.lit("Nastiest, "), "text")).otherwise(F.col("text")))
+    m = toxicity.learn(marked, labels)
+    column = {int(t): k for k, t in enumerate(m.terms)}
+    assert toxicity.bucket("nastiest") in column and toxicity.bucket("nastie-") in column
+    got = Counter((r["doc_id"], round(r["score"], 9), r["predicted"]) for r in toxicity.score(marked, m).collect())
+    want = Counter()
+    for i, t in marked.select("doc_id", "text").collect():
+        own = [column[b] for b in toxicity.buckets(t or "") if b in column]
+        raw = m.bias + sum(m.weights[a] for a in own) + sum(float(m.factors[a] @ m.factors[b]) for k, a in enumerate(own) for b in own[:k])
+        p = 1 / (1 + math.exp(-raw))
+        want[i, round(p, 9), int(p >= 0.5)] += 1
+    assert got == want
+    again = toxicity.learn(marked.repartition(7), labels)
+    assert np.array_equal(again.terms, m.terms) and np.array_equal(again.weights, m.weights)
 
 
 def test_rules_are_the_columns(spark):
