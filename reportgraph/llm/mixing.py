@@ -54,6 +54,21 @@ def capped_targets(sizes: list[int], weights: list[float], total: float, cap: fl
     return out
 
 
+def shard_words(sizes: list[int], words: int, block: int) -> list[int]:
+    """Words to take from each shard, ``words`` altogether: whole blocks by Sainte-Laguë, then what shards too small for theirs leave.
+
+    What is over goes to the shards in order, as far as they have room.
+    """
+    blocks = sainte_lague([float(n) for n in sizes], words // block)
+    out = [min(k * block, n) for k, n in zip(blocks, sizes)]
+    rest = words - sum(out)
+    for i, n in enumerate(sizes):
+        more = min(rest, n - out[i])
+        out[i] += more
+        rest -= more
+    return out
+
+
 def mix(
     docs: DataFrame,
     id_col: str = "doc_id",
@@ -71,9 +86,9 @@ def mix(
     ``passes`` times and, besides, the half-open word ranges ``spans``.
 
     Sources in order of code points (null last) weigh as ``weights`` repeats. A source's target in whole
-    blocks comes from Sainte-Laguë over all sources. It is met by whole passes over the source; the
+    blocks comes from Sainte-Laguë over all sources, and is then rounded to words. It is met by whole passes over the source; the
     rest is apportioned over the source's shards by the same rule, and in a shard, whose documents lie in
-    a seeded order, the blocks of lowest seeded hash are taken. A hot source has as many more shards.
+    a seeded order, the blocks of lowest seeded hash are taken, the last of them in part. A hot source has as many more shards.
     The driver holds a number for each source and for each of at most ``max_shards`` shards.
     Documents of equal id are ordered by text hash; empty texts have size 0 and nothing is taken.
     """
@@ -90,9 +105,11 @@ def mix(
     w = [weights[i % len(weights)] for i in range(len(sources))]
     targets = capped_targets(sizes, w, total)
     seats = sainte_lague(targets, round(sum(targets) / block_tokens))
-    quota = [min(s * block_tokens, MAX_REPEATS * n) if n else 0 for s, n in zip(seats, sizes)]
+    # Blocks are too coarse for a small source; the words by which they miss a target are added or left off.
+    odd = [round(t) - k * block_tokens for t, k in zip(targets, seats)]
+    quota = [k * block_tokens + o for k, o in zip(seats, odd)]
     passes = [q // n if n else 0 for q, n in zip(quota, sizes)]
-    rests = [round((q - p * n) / block_tokens) for q, p, n in zip(quota, passes, sizes)]
+    rests = [q - p * n for q, p, n in zip(quota, passes, sizes)]
     per_shard = max(shard_tokens, math.ceil(total / max_shards) if total else 1)
     plan = spark.createDataFrame(
         [(r["source"], n, t, p, k, max(1, math.ceil(n / per_shard))) for r, n, t, p, k in zip(sources, sizes, targets, passes, rests)] or [],
@@ -105,31 +122,32 @@ def mix(
     by_source: dict = {}
     for r in sorted(shard_sizes, key=lambda r: r["shard"]):
         by_source.setdefault((r["source"], r["rest"]), []).append(r)
-    dealt = [(s, r["shard"], q) for (s, rest), rs in by_source.items() for r, q in zip(rs, sainte_lague([float(r["n"]) for r in rs], rest))]
-    quotas = spark.createDataFrame(dealt or [], "qs string, qshard int, blocks long")
+    dealt = [(s, r["shard"], q) for (s, rest), rs in by_source.items() for r, q in zip(rs, shard_words([r["n"] for r in rs], rest, block_tokens))]
+    quotas = spark.createDataFrame(dealt or [], "qs string, qshard int, words long")
 
     order = Window.partitionBy("source", "shard").orderBy("h", "doc_id", "th")
     placed = rows.withColumn("end", F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0))).withColumn("begin", F.col("end") - F.col("size"))
     b = F.lit(block_tokens)
-    # The blocks of a shard in seeded order, the first of them taken; the short last block comes last of all.
+    # The blocks of a shard in seeded order; of the last one taken, only the words still due. The short last block comes last of all.
     blocks = (
         rows.groupBy("source", "shard").agg(F.sum("size").alias("n"))
         .join(F.broadcast(quotas), F.col("source").eqNullSafe(F.col("qs")) & (F.col("shard") == F.col("qshard")))
-        .where("n > 0 and blocks > 0")
-        .select("source", "shard", "blocks", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("n") - 1) / b))).alias("block"), "n")
+        .where("n > 0 and words > 0")
+        .select("source", "shard", "words", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("n") - 1) / b))).alias("block"), "n")
     )
     turn = Window.partitionBy("source", "shard").orderBy((F.col("n") < (F.col("block") + 1) * b), F.xxhash64("shard", "block", F.lit(seed + 1)), "block")
-    chosen = blocks.withColumn("turn", F.row_number().over(turn)).where("turn <= blocks").select("source", "shard", "block")
+    chosen = blocks.withColumn("due", F.col("words") - (F.row_number().over(turn) - 1) * b).where("due > 0")
+    chosen = chosen.select("source", "shard", "block", F.least(F.col("due"), b).alias("due"))
     # A document touches a run of blocks; the run is joined block by block and its ranges gathered per document.
     touch = placed.where("size > 0 and rest > 0").select(
         "doc_id", "th", "source", "shard", "begin", "end",
         F.explode(F.sequence(F.floor(F.col("begin") / b), F.floor((F.col("end") - 1) / b))).alias("block"),
     )
-    chosen = chosen.select(F.col("source").alias("cs"), F.col("shard").alias("csh"), F.col("block").alias("cb"))
+    chosen = chosen.select(F.col("source").alias("cs"), F.col("shard").alias("csh"), F.col("block").alias("cb"), "due")
     part = touch.join(chosen, F.col("source").eqNullSafe(F.col("cs")) & (F.col("shard") == F.col("csh")) & (F.col("block") == F.col("cb"))).select(
         F.col("doc_id").alias("pd"), F.col("th").alias("pt"), F.col("source").alias("ps"), F.col("begin").alias("pb"),
-        F.struct((F.greatest("begin", F.col("block") * b) - F.col("begin")).alias("start"), (F.least("end", (F.col("block") + 1) * b) - F.col("begin")).alias("end")).alias("span"),
-    )
+        F.struct((F.greatest("begin", F.col("block") * b) - F.col("begin")).alias("start"), (F.least("end", F.col("block") * b + F.col("due")) - F.col("begin")).alias("end")).alias("span"),
+    ).where("span.start < span.end")
     part = part.groupBy("pd", "pt", "ps", "pb").agg(F.array_sort(F.collect_list("span")).alias("spans"))
     same = [F.col(x).eqNullSafe(F.col(y)) for x, y in (("doc_id", "pd"), ("th", "pt"), ("source", "ps"), ("begin", "pb"))]
     out = placed.join(part, functools.reduce(operator.and_, same), "left").select(
@@ -146,7 +164,7 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     Rows of equal id and text come as one row with what is taken from all of them.
     """
     m = mix(docs, **options).where("taken > 0").groupBy(F.col("doc_id").alias("mid"), F.col("text_hash").alias("mth")).agg(
-        F.sum("passes").alias("times"), F.flatten(F.collect_list("spans")).alias("spans")
+        F.sum("passes").alias("times"), F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans")
     )
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("d"))
     text = F.coalesce(F.col("d.text"), F.lit(""))
