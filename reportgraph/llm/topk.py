@@ -12,12 +12,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 BUCKET = 1024
-QUERY_BLOCK = 2048
+QUERY_BLOCK = 8192
+PART_ROWS = 1 << 17
+LEAST = -(1 << 63)
 COORDINATES = 3
 #: Cosine from which pruning by coordinates pays.
 HIGH = 0.7
@@ -91,11 +93,14 @@ class BucketSearch:
             return
         self.verified += len(which) * len(ids)
         scores = products(self.q[which], vectors)
-        k = min(self.k + 1, len(ids))
+        k = min(self.k, len(ids))
+        order = np.argsort(ids, kind="stable")
+        at = np.minimum(np.searchsorted(ids[order], self.ids[which]), len(ids) - 1)
+        for row in np.flatnonzero(ids[order][at] == self.ids[which]):  # a query's own rows, however many, never take a place
+            scores[row, ids == self.ids[which[row]]] = LEAST
         cut = np.partition(scores, len(ids) - k, axis=1)[:, len(ids) - k]
         for row, i in enumerate(which):
-            at = np.flatnonzero(scores[row] >= max(cut[row], self.theta[i] if np.isfinite(self.theta[i]) else cut[row]))
-            at = at[ids[at] != self.ids[i]]
+            at = np.flatnonzero((scores[row] >= max(cut[row], self.theta[i])) & (ids != self.ids[i]))
             if len(at):
                 both = np.concatenate([self.best[i], np.stack([scores[row][at], ids[at]], 1)])
                 both = both[np.lexsort((both[:, 1], -both[:, 0]))][: self.k]
@@ -104,13 +109,30 @@ class BucketSearch:
                     self.theta[i] = both[-1, 0]
 
 
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec_id", vec_col: str = "embedding", query_block: int = QUERY_BLOCK, bucket: int = BUCKET) -> DataFrame:
+def in_runs(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[tuple[int, bool, np.ndarray, list]]:
+    """``(cell, is_query, ids, vectors)`` of runs of rows of one cell and side, at most ``rows`` each."""
+    for b in batches:
+        cell, side, ids = (b.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+        values = b.column(3)
+        bounds = np.flatnonzero((np.diff(cell) != 0) | (np.diff(side) != 0)) + 1
+        for a, z in zip([0, *bounds.tolist()], [*bounds.tolist(), len(cell)]):
+            for k in range(a, z, rows):
+                e = min(z, k + rows)
+                vectors = [np.frombuffer(v.as_buffer(), np.float64) for v in values[k:e]]
+                yield int(cell[k]), bool(side[k] == 0), ids[k:e], vectors
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec_id", vec_col: str = "embedding", query_block: int = QUERY_BLOCK, bucket: int = BUCKET, part_rows: int = PART_ROWS) -> DataFrame:
     """``query_id, rank, vec_id, score``: for each query the ``k`` best other vectors by integer inner product, ties to the smaller id.
 
     Components become floor(256 x). Vectors that are null or hold null or non-finite components take
     no part; null ids neither. Vectors of unlike width count as filled with zeros. Repeated ids are
-    candidates each for themselves; a query is given once for each id. Queries are read in blocks
-    of ``query_block`` vectors, whose broadcast is bounded; each block passes over the candidates once.
+    candidates each for themselves, but never for a query of their id; a query is given once for each id, and of several vectors of
+    one id the first in order asks.
+
+    Queries are dealt to blocks of about ``query_block``, candidates to parts of about ``part_rows``; a cell is one block and one part.
+    Queries go to the cells of their block, candidates to those of their part, by a shuffle; a task reads the queries of a
+    cell, then its candidates, longest first, a bucket at a time. So nothing is collected or broadcast.
     """
 
     def usable(df: DataFrame) -> DataFrame:
@@ -120,34 +142,51 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec
 
     spark = vectors.sparkSession
     cands = usable(vectors)
-    asked = usable(queries).dropDuplicates(["id"])
-    n = asked.count()
-    blocks = max(1, -(-n // query_block))
+    asked = usable(queries).groupBy("id").agg(F.min("v").alias("v"))
+    blocks = max(1, -(-asked.count() // query_block))
+    n = cands.count()
+    shuffle = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = max(1, -(-n // part_rows), min(shuffle // 2, n // (4 * bucket)))
+    # Each part has vectors of all lengths, so every task finds high thresholds early.
+    part = F.pmod(F.xxhash64("id", "v"), F.lit(parts))
+    block = F.pmod(F.xxhash64("id"), F.lit(blocks))
     length = F.aggregate("v", F.lit(0.0), lambda a, y: a + y * y)
-    cands = cands.withColumn("len2", length)
-    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // 2)
-    # Each partition has vectors of all lengths, so every task finds high thresholds early; within it, longest first.
-    cands = cands.repartition(parts, "id").sortWithinPartitions(F.desc("len2"), "id")
-    out = None
-    for b in range(blocks):
-        rows = asked.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == b).collect() if n else []
-        width = max((len(r["v"]) for r in rows), default=0)
-        shared = spark.sparkContext.broadcast((np.array([r["id"] for r in rows], np.int64), matrix([r["v"] for r in rows], width)))
-
-        def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
-            ids, q = shared.value
-            search = BucketSearch(ids, q, k)
-            for part in batches:
-                for at in range(0, len(part), bucket):
-                    piece = part.iloc[at : at + bucket]
-                    w = max(q.shape[1], max((len(v) for v in piece["v"]), default=0))
-                    if w > search.q.shape[1]:
-                        search.q = np.pad(search.q, ((0, 0), (0, w - search.q.shape[1])))
-                    search.bucket(piece["id"].to_numpy(np.int64), matrix(list(piece["v"]), w))
-            found = [(int(i), int(v), int(s)) for i, best in zip(ids, search.best) for s, v in best]
-            yield pd.DataFrame(found, columns=["query_id", "vec_id", "score"]).astype("int64")
-
-        got = cands.select("id", "v").mapInPandas(run, "query_id long, vec_id long, score long")
-        out = got if out is None else out.unionByName(got)
+    rows = cands.select(F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint"))).alias("b"), part.alias("p"), F.lit(1).alias("side"), length.alias("len2"), "id", "v")
+    rows = rows.unionByName(asked.select(block.alias("b"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(parts - 1).cast("bigint"))).alias("p"), F.lit(0).alias("side"), F.lit(0.0).alias("len2"), "id", "v"))
+    rows = rows.withColumn("cell", F.col("b") * parts + F.col("p"))
+    rows = rows.repartition(max(1, min(shuffle, blocks * parts)), "cell").sortWithinPartitions("cell", "side", F.desc("len2"), "id")
+
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Vectors as bytes of doubles."""
+        for b in batches:
+            v = b.column(3)
+            flat, at = v.values.to_numpy(zero_copy_only=False), v.offsets.to_numpy()
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array([flat[a:z].tobytes() for a, z in zip(at[:-1], at[1:])], pa.binary())], names=["cell", "side", "id", "v"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, search, ids, q = None, None, [], []
+
+        def found() -> pa.RecordBatch:
+            out = [(int(i), int(v), int(s)) for i, best in zip(search.ids, search.best) for s, v in best] if search else []
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*out) if out else ([], [], []))], names=["query_id", "vec_id", "score"])
+
+        for cell, is_query, own, values in in_runs(packed(batches), bucket):
+            if cell != at:
+                yield found()
+                at, search, ids, q = cell, None, [], []
+            if is_query:
+                ids.extend(own.tolist())
+                q.extend(values)
+                continue
+            if search is None:
+                search = BucketSearch(np.array(ids, np.int64), matrix(q, max((len(x) for x in q), default=0)), k)
+            w = max(search.q.shape[1], max((len(x) for x in values), default=0))
+            if w > search.q.shape[1]:
+                search.q = np.pad(search.q, ((0, 0), (0, w - search.q.shape[1])))
+            if len(ids):
+                search.bucket(own, matrix(values, w))
+        yield found()
+
+    out = rows.select("cell", "side", "id", "v").mapInArrow(run, "query_id long, vec_id long, score long")
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return out.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")

@@ -408,7 +408,7 @@ def test_top_k_by_brute_force(spark):
     rows = [(i, [rng.gauss(0, 1) * (1 + i % 7) for _ in range(6)]) for i in range(230)] + [(230, None), (231, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (232, [float("nan")] * 6), (233, [float("inf")] * 6), (None, [1.0] * 6)]
     rows += [(234, rows[9][1]), (235, [0.0] * 6), (236, [1.0, 2.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
-    got = Counter(tuple(r) for r in topk.top_k(df, df.where("vec_id % 10 = 0"), query_block=7, bucket=16).collect())
+    got = Counter(tuple(r) for r in topk.top_k(df, df.where("vec_id % 10 = 0"), query_block=7, bucket=16, part_rows=50).collect())
     ok = {i: [math.floor(float(np.float32(x)) * 256) for x in v] for i, v in rows if i is not None and v and all(x is not None and math.isfinite(x) for x in v)}
     want = Counter()
     for q in (i for i in ok if i % 10 == 0):
@@ -419,6 +419,17 @@ def test_top_k_by_brute_force(spark):
     assert topk.top_k(df.limit(0), df.limit(0)).count() == 0
 
 
+def test_top_k_with_repeated_ids(spark):
+    rows = [(0, [1.0, 0.5 * i]) for i in range(8)] + [(i, [float(i), 1.0]) for i in range(1, 9)] + [(50, [2.0, 2.0]), (50, [2.0, 2.0]), (3, [3.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumns({"cell": F.lit("c"), "side": F.lit(9), "v": F.lit(1.5)})
+    got = Counter(tuple(r) for r in topk.top_k(df, df.where("vec_id % 50 = 0"), bucket=3).collect())
+    want = Counter()
+    for q, x in ((0, [1.0, 0.0]), (50, [2.0, 2.0])):
+        best = sorted((-sum(int(256 * a) * int(256 * b) for a, b in zip(x, v)), i) for i, v in rows if i != q)[:5]
+        want.update((q, r, i, -s) for r, (s, i) in enumerate(best, 1))
+    assert got == want
+
+
 def test_top_k_large_numbers(spark):
     df = spark.createDataFrame([(0, [3e9, 1.0]), (1, [2e3, 5.0]), (2, [1e3, 7.0])], "vec_id long, embedding array<double>")
     got = [(r["vec_id"], r["score"]) for r in topk.top_k(df, df.where("vec_id = 0")).orderBy("rank").collect()]
