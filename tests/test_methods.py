@@ -75,6 +75,12 @@ def test_ranges(spark):
     for r in got:
         assert r["r"] == (-1 if r["k"] is None else sum(e < r["k"] for e in edges))
     assert len({r["r"] for r in got}) > 10
+    names = df.select(F.concat(F.lit("é"), F.col("k").cast("string")).alias("k"))
+    edges = range_edges(names, "k")
+    got = names.select("k", range_of(F.col("k"), edges).alias("r")).collect()
+    for r in got:
+        assert r["r"] == (-1 if r["k"] is None else sum(e < r["k"] for e in edges))
+    assert len({r["r"] for r in got}) > 10 and range_edges(names.limit(0), "k") == []
 
 
 @pytest.mark.parametrize(
