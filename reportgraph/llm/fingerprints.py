@@ -7,8 +7,8 @@ text is the sum of its paragraphs' vectors, each word modulo a power of two, so
 * a paragraph is inserted or deleted by adding or subtracting its vector (``insert``, ``delete``);
 * fingerprints of parts add up to that of the whole (``combine``).
 
-The first words are dense digests and decide equality. The others count the paragraph's phrases
-in lanes; two texts' lanes are compared by correlation, which is near the share of common phrases.
+The first words are dense digests and decide equality. The others sum the lengths of the paragraph's phrases
+in lanes; two texts' lanes are compared by correlation, which is near the share of common text.
 All of it is column expressions; there is no Python on the executors.
 """
 
@@ -22,26 +22,42 @@ from pyspark.sql import functions as F
 from reportgraph.operators.ranges import range_edges, range_of
 
 EXACT_WORDS = 4
-LANE_WORDS = 16
-LANES, LANE_BITS = 5, 12
+#: Lanes of 31 bits: no text is long enough to wrap one.
+LANE_WORDS = 40
+LANES, LANE_BITS = 2, 31
+GROUPS = 4
 EXACT_MASK = (1 << 62) - 1
 LANE_MASK = (1 << LANES * LANE_BITS) - 1
-#: Phrases end at a line's end and at blanks after any sign but these small letters, about every third word.
-PHRASE_END = r"\n+|(?<=[^b-mp-z\s])[ \t]+"
+#: Phrases end at blanks after any sign but these small letters, about every third word.
+PHRASE_END = r"(?<=[^b-mp-z\s])[ \t]+"
+#: A phrase longer than this, as in scripts without blanks, is cut after some signs, about one in six, or after 16 without such.
+LONG_PHRASE = 32
+PIECE = r"(?s).{0,15}?[aeio0-3A-D,.;\u3001\u3002\uff0c\u4e00-\u50ff\u5b00-\u5dff\u6800-\u6aff\u7500-\u77ff\u8200-\u84ff\u8f00-\u91ff]|.{1,16}"
+#: Paragraphs shorter than the second count by triples of signs, those as long as the first by phrases; between them by both.
+SHORT = (64, 96)
 
 
 def vector(text: str) -> Column:
     """The fingerprint of a text column as ``array<bigint>``; null counts as the empty text, which has one empty paragraph.
 
-    Sums are masked at each step; both sides stay below 2**62, so none overflows. The lists are bound to a variable,
-    so each text is split once.
+    Sums are masked at each step; both sides stay below 2**62, so none overflows. Lists are bound to variables, so each
+    text is split once. A phrase is a hash, which gives its lane, and its length; phrases are first dealt to ``GROUPS`` of lanes.
     """
     t = f"coalesce(`{text}`, '')"
     exact = [f"aggregate(s.paragraphs, 0L, (a, p) -> (a + (xxhash64(p, {k}) & {EXACT_MASK}L)) & {EXACT_MASK}L)" for k in range(EXACT_WORDS)]
-    one = f"shiftleft(1L, {LANE_BITS} * cast(pmod(shiftright(h, 8), {LANES}) as int))"
-    lanes = [f"aggregate(s.phrases, 0L, (a, h) -> if((h & {LANE_WORDS - 1}) = {g}, (a + {one}) & {LANE_MASK}L, a))" for g in range(LANE_WORDS)]
-    lists = f"named_struct('paragraphs', split({t}, r'\n'), 'phrases', transform(filter(split({t}, r'{PHRASE_END}'), p -> p != ''), p -> xxhash64(p)))"
-    return F.expr(f"transform(array({lists}), s -> array({', '.join(exact + lanes)}))[0]")
+    # Of a hash, the low bits give the group, then the word of the group, then the lane of the word.
+    per = LANE_WORDS // GROUPS
+    lanes = []
+    for g in range(LANE_WORDS):
+        own = f"pmod(shiftright(f.h, 8), {per}) = {g // GROUPS}"
+        one = f"shiftleft(f.w, {LANE_BITS} * cast(shiftright(f.h, 2) & {LANES - 1} as int))"
+        lanes.append(f"aggregate(g[{g % GROUPS}], 0L, (a, f) -> if({own}, (a + {one}) & {LANE_MASK}L, a))")
+    cut = f"flatten(transform(filter(split(p, r'{PHRASE_END}'), x -> x != ''), x -> if(length(x) > {LONG_PHRASE}, regexp_extract_all(x, r'{PIECE}', 0), array(x))))"
+    phrases = f"transform(if(length(p) >= {SHORT[0]}, {cut}, cast(array() as array<string>)), x -> named_struct('h', xxhash64(x), 'w', cast(length(x) as bigint)))"
+    triples = f"transform(if(length(p) between 1 and {SHORT[1] - 1}, sequence(1, greatest(length(p) - 2, 1)), cast(array() as array<int>)), i -> named_struct('h', xxhash64(substring(p, i, 3)), 'w', 1L))"
+    lists = f"transform(array(split({t}, r'\n')), l -> named_struct('paragraphs', l, 'features', flatten(transform(l, p -> concat({phrases}, {triples})))))"
+    groups = f"array({', '.join(f'filter(s.features, f -> (f.h & {GROUPS - 1}) = {k})' for k in range(GROUPS))})"
+    return F.expr(f"transform({lists}, s -> concat(array({', '.join(exact)}), transform(array({groups}), g -> array({', '.join(lanes)}))[0]))[0]")
 
 
 def _masks() -> Column:
@@ -79,7 +95,7 @@ def moments(lanes: Column) -> tuple[Column, Column]:
 def likeness(df: DataFrame, pairs: dict[str, tuple[str, str]]) -> DataFrame:
     """Adds a likeness from 0 to 1 for each pair of fingerprint columns: 1 if equal, else their lanes' correlation, 0 at least.
 
-    A text without phrases, or with the same number in each lane, is like no other text.
+    A text without phrases, or with the same sum in each lane, is like no other text.
     """
     used = sorted({c for pair in pairs.values() for c in pair})
     df = df.withColumns({f"__l_{c}": _lanes(F.col(c)) for c in used})
@@ -107,7 +123,7 @@ def with_next(docs: DataFrame, id_col: str, payload: list[str]) -> DataFrame:
     above = {r["__range"]: heads[i - 1]["__range"] for i, r in enumerate(heads)}  # of the highest: the lowest
     if not heads:
         return rows.select(F.col("__id").alias(id_col), *payload, *[F.col(c).alias(f"next_{c}") for c in payload])
-    table = docs.sparkSession.createDataFrame([(r["__range"], r["head"], above[r["__range"]]) for r in heads], "__at int, __head long, __above int")
+    table = docs.sparkSession.createDataFrame([(r["__range"], r["head"], above[r["__range"]]) for r in heads], f"__at int, __head {dict(docs.dtypes)[id_col]}, __above int")
     rows = rows.join(F.broadcast(table), (F.col("__at") == F.col("__range")) & F.col("__head").eqNullSafe(F.col("__id")), "left")
     places = F.when(F.col("__at").isNull(), F.array(F.struct(F.col("__range").alias("r"), F.lit(0).alias("copy")))).otherwise(
         F.array(F.struct(F.col("__range").alias("r"), F.lit(0).alias("copy")), F.struct(F.col("__above").alias("r"), F.lit(1).alias("copy")))

@@ -16,6 +16,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from reportgraph.operators.ranges import range_edges, range_of
 
@@ -273,7 +274,8 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str
     n = min(parts, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     rows = rows.repartition(n, "__range").sortWithinPartitions("__range", "doc_id", "text")
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
-    schema = pa.schema([pa.field("doc_id", pa.string() if kind == "string" else pa.int64())] + [pa.field(c, pa.int64()) for c in names[1:]])
+    own = next(f for f in to_arrow_schema(rows.schema) if f.name == "doc_id")
+    schema = pa.schema([own] + [pa.field(c, pa.int64()) for c in names[1:]])
     end = np.asarray([end_id], "<u4").tobytes()
 
     def batch(got: list[tuple]) -> pa.RecordBatch:

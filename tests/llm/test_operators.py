@@ -3,6 +3,7 @@
 import hashlib
 import math
 import random
+import re
 import zlib
 from collections import Counter
 
@@ -67,6 +68,64 @@ def test_fingerprints_by_hand(docs, none):
     assert fingerprints.document_fingerprints(none).count() == 0
 
 
+def print_by_hand(text):
+    """The words of a fingerprint, counted one phrase at a time."""
+    def signed(x):
+        return x - (1 << 64) if x >> 63 else x
+
+    def h(x, *more):
+        seed = 42
+        out = xxhash.xxh64_intdigest(x.encode(), seed)
+        for k in more:
+            out = xxhash.xxh64_intdigest(k.to_bytes(4, "little"), out)
+        return signed(out)
+
+    words = [0] * (fingerprints.EXACT_WORDS + fingerprints.LANE_WORDS)
+    for p in text.split("\n"):
+        for k in range(fingerprints.EXACT_WORDS):
+            words[k] = (words[k] + h(p, k)) % (1 << 62)
+        found = []
+        if len(p) >= 64:
+            for x in filter(None, re.split(fingerprints.PHRASE_END, p)):
+                found += [(y, len(y)) for y in (re.findall(fingerprints.PIECE, x) if len(x) > 32 else [x])]
+        if 1 <= len(p) < 96:
+            found += [(p[i : i + 3], 1) for i in range(max(len(p) - 2, 1))]
+        for x, n in found:
+            v = h(x)
+            word = (v & 3) + 4 * ((v >> 8) % 10)
+            words[4 + word] = (words[4 + word] + (n << 31 * (v >> 2 & 1))) % (1 << 62)
+    return words
+
+
+def likeness_by_hand(a, b):
+    if a == b:
+        return 1.0
+    x, y = ([w >> 31 * i & (1 << 31) - 1 for w in p[4:] for i in (0, 1)] for p in (a, b))
+    if min(np.var(x), np.var(y)) < 1e-9:
+        return 0.0
+    return max(0.0, float(np.corrcoef(x, y)[0, 1]))
+
+
+def test_fingerprints_and_likeness_by_brute_force(spark, docs):
+    rng = random.Random(6)
+    rows = sorted({(i, t or "") for i, t, *_ in fixture_rows() if i is not None}, reverse=True)
+    han = "".join(chr(rng.randint(0x4E00, 0x9FFF)) for _ in range(1500))
+    rows = [(909, "three tiny words"), (908, "hello worldly ab"), (907, "ab"), (906, han), (905, "one line again and again\n" * 20_000), *rows]
+    df = spark.createDataFrame([(i, t, 1) for i, t in rows], "doc_id long, text string, print int")
+    got = {r["doc_id"]: r for r in fingerprints.document_fingerprints(df).collect()}
+    for k, (i, t) in enumerate(rows):
+        nxt = rows[(k + 1) % len(rows)][1]
+        cut = len(t) // 3
+        prints = [print_by_hand(x) for x in (t, t[: len(t) - cut] + nxt[:cut], nxt)]
+        r = got[i]
+        assert r["fingerprint"] == "".join(f"{w:016X}" for w in prints[0]) and r["edited_fingerprint"] == "".join(f"{w:016X}" for w in prints[1])
+        assert r["near_edited"] == pytest.approx(likeness_by_hand(prints[0], prints[1]), abs=1e-9)
+        assert r["near_next"] == pytest.approx(likeness_by_hand(prints[0], prints[2]), abs=1e-9)
+    assert all(got[i]["near_edited"] > 0.4 for i in (905, 906, 908, 909)) and got[905]["near_next"] < 0.2
+    names = df.select(F.concat(F.lit("n"), F.lpad(F.col("doc_id").cast("string"), 5, "0")).alias("doc_id"), "text")
+    assert {(r["doc_id"], r["edited_sha256"]) for r in fingerprints.document_fingerprints(names).collect()} == {(f"n{i:05d}", r["edited_sha256"]) for i, r in got.items()}
+
+
 def test_fingerprint_is_homomorphic(spark):
     df = spark.createDataFrame([("b\na\nb", "a\nb", "b", "b\nb\na", "a\nb\nc")], "whole string, x string, y string, mixed string, other string")
     v = {c: fingerprints.vector(c) for c in df.columns}
@@ -231,6 +290,9 @@ def test_packing_is_complete(spark, docs, none):
                 at += n
             assert at == ends[k] if ends else at <= 4096
     assert pieces.keys() == ids.keys() and packing.pack(none, path).count() == 0
+    for kind in ("string", "int"):
+        other = packing.pack(named.withColumn("doc_id", F.col("doc_id").cast(kind)), path)
+        assert dict(other.dtypes)["doc_id"] == kind and other.agg(F.sum("length")).first()[0] == sum(map(len, ids.values()))
 
 
 def test_best_windows_by_enumeration():
