@@ -1,8 +1,8 @@
 """Order-preserving packing of documents into windows, by dynamic programming over cut places.
 
 Documents follow each other in order of id within ranges of ids. A window may begin and end at a
-document's end or at a sentence's end within it; of all choices the one with the least padding plus
-penalties for documents cut in two is taken. The best start for each end is the smallest value in a
+document's end or at any sentence's end within it (and inside a sentence only if no window holds it); of all choices the one with
+the least padding plus penalties for documents and sentences cut in two is taken. The best start for each end is the smallest value in a
 sliding window of starts, kept in a monotone queue, so the work is linear in the places.
 """
 
@@ -22,8 +22,9 @@ from reportgraph.operators.ranges import range_edges, range_of
 
 WINDOW = 4096
 END_ID = 2
-CUT_PENALTY = 4
-CUT_GAP = 16
+#: Penalties, in tokens of padding, for a cut at a sentence's end within a document, and within a sentence.
+CUT_PENALTY, SENTENCE_PENALTY = 4, 64
+CUT_GAP = 64
 MEMO_PIECES, MEMO_WORDS = 350_000, 450_000
 SEGMENT_TOKENS = 1 << 18
 #: A special token of the vocabulary, put between pieces.
@@ -141,25 +142,26 @@ def by_size(rows: Iterator[tuple], chars: int = 1 << 19) -> Iterator[list[tuple]
         yield out
 
 
-def cut_places(ids: np.ndarray, ends: np.ndarray, gap: int = CUT_GAP) -> np.ndarray:
-    """Places within a document where it may be cut: sentence ends at most one in ``gap`` tokens, or every 4 gaps where there is none."""
-    if len(ids) <= gap:
-        return np.zeros(0, np.int64)
+def cut_places(ids: np.ndarray, ends: np.ndarray, window: int = WINDOW, gap: int = CUT_GAP) -> tuple[np.ndarray, np.ndarray]:
+    """Places within a document where it may be cut, and whether each is inside a sentence.
+
+    These are all its sentence ends, and, only in a sentence that no window holds, every ``gap`` tokens.
+    """
     at = np.flatnonzero(ends[ids[:-1]]) + 1
-    if len(at) > 1:
-        cell = at // gap
-        at = at[np.append(cell[1:] != cell[:-1], True)]
-    wide = 4 * gap
     bounds = np.concatenate([[0], at, [len(ids)]])
-    if np.diff(bounds).max() > wide:
-        at = np.unique(np.concatenate([at, *[np.arange(a + wide, b, wide) for a, b in zip(bounds[:-1], bounds[1:]) if b - a > wide]]))
-    return at
+    wide = np.flatnonzero(np.diff(bounds) > window)
+    if not len(wide):
+        return at, np.zeros(len(at), bool)
+    inner = np.concatenate([np.arange(bounds[k] + gap, bounds[k + 1], gap) for k in wide])
+    every = np.concatenate([at, inner])
+    order = np.argsort(every, kind="stable")
+    return every[order], order >= len(at)
 
 
-def best_windows(places: list[int], costs: list[int], window: int = WINDOW, penalty: int = CUT_PENALTY) -> list[int]:
+def best_windows(places: list[int], costs: list[int], window: int = WINDOW) -> list[int]:
     """Indexes of the places at which windows end, the last one included.
 
-    ``places`` ascend from 0 by steps of ``window`` at most; ``costs`` has 1 where a document is cut, else 0.
+    ``places`` ascend from 0 by steps of ``window`` at most; ``costs`` are the penalties of cuts there.
     Least total of padding (the last window's is not counted) and penalties; ties go to the later start.
     """
     n = len(places)
@@ -172,7 +174,7 @@ def best_windows(places: list[int], costs: list[int], window: int = WINDOW, pena
             queue.popleft()
         i = queue[0]
         came[j] = i
-        b = best[j] = keys[i] + window - p + penalty * costs[j]
+        b = best[j] = keys[i] + window - p + costs[j]
         k = keys[j] = b + p
         while queue and keys[queue[-1]] >= k:
             queue.pop()
@@ -208,9 +210,9 @@ class _Packer:
         places, costs, at = [0], [0], 0
         for _, ids, done in self.docs:
             n = len(ids) // 4 - done
-            cuts = cut_places(np.frombuffer(ids, "<u4")[done:], self.ends)
+            cuts, inside = cut_places(np.frombuffer(ids, "<u4")[done:], self.ends, self.window)
             places.extend((cuts + at).tolist())
-            costs.extend([1] * len(cuts))
+            costs.extend(np.where(inside, SENTENCE_PENALTY, CUT_PENALTY).tolist())
             at += n
             places.append(at)
             costs.append(0)
@@ -263,7 +265,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str
     A document's ids are the tokenizer's, without special tokens, and ``end_id`` at the end; a null text
     counts as empty, so it is one id long. Null ids come in a range of their own; rows of one id lie in
     order of their texts; an empty table gives no rows. A sequence ends at a place chosen by
-    ``best_windows``; what is left at a range's end goes into sequences whose lengths are powers of
+    ``best_windows``; a task's ranges follow each other, and what is left at its end goes into sequences whose lengths are powers of
     two, which need no padding. A task holds ``SEGMENT_TOKENS`` tokens and one document at a time.
     """
     kind = dict(docs.dtypes)[id_col]
@@ -283,13 +285,11 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = word_ids(tokenizer_path)
-        packer, at, out = None, None, []
+        packer, out = None, []
         for part in by_size(row for b in batches for row in zip(*(b.column(k).to_pylist() for k in range(3)))):
             for (doc_id, _, r), ids in zip(part, words.documents([x[1] for x in part])):
-                if packer is None or r != at:
-                    if packer is not None:
-                        out.extend(packer.flush(True))
-                    packer, at = _Packer((r + 1) << 40, words.sentence_end, window), r
+                if packer is None:
+                    packer = _Packer((r + 1) << 40, words.sentence_end, window)
                 out.extend(packer.add(doc_id, ids + end))
                 if len(out) > 20_000:
                     yield batch(out)

@@ -301,7 +301,7 @@ def test_best_windows_by_enumeration():
         places, costs = [0], [0]
         for _ in range(rng.randint(1, 9)):
             places.append(places[-1] + rng.randint(1, 10))
-            costs.append(rng.randint(0, 1))
+            costs.append(rng.choice([0, 4, 9]))
         n, window = len(places), 12
 
         def cost(ends, places=places, costs=costs):
@@ -309,13 +309,44 @@ def test_best_windows_by_enumeration():
             for e in ends[:-1]:
                 if places[e] - places[at] > window:
                     return None
-                total += window - (places[e] - places[at]) + 4 * costs[e]
+                total += window - (places[e] - places[at]) + costs[e]
                 at = e
             return total if places[ends[-1]] - places[at] <= window else None
 
         every = [[i for i in range(1, n - 1) if m >> i & 1] + [n - 1] for m in range(0, 1 << n, 2)]
         best = min(c for c in map(cost, every) if c is not None)
-        assert cost(packing.best_windows(places, costs, window, 4)) == best
+        assert cost(packing.best_windows(places, costs, window)) == best
+
+
+def test_cuts_at_sentence_ends():
+    ends = np.array([False, True])
+    rng = random.Random(4)
+    for _ in range(100):
+        ids = np.array([int(rng.random() < 0.1) for _ in range(rng.randint(1, 120))])
+        at, inside = packing.cut_places(ids, ends, window=20, gap=4)
+        assert sorted(at.tolist()) == at.tolist() and set(at[~inside].tolist()) == {k + 1 for k in range(len(ids) - 1) if ids[k]}
+        bounds = [0, *at[~inside].tolist(), len(ids)]
+        for x in at[inside]:
+            k = int(np.searchsorted(bounds, x))
+            assert bounds[k] - bounds[k - 1] > 20
+        assert np.diff([0, *at.tolist(), len(ids)]).max() <= 20
+
+
+def test_windows_end_where_sentences_do(spark):
+    """Only at the tail of a task, and in sentences longer than a window, is a sentence cut."""
+    rng = random.Random(13)
+    path = queries.tokenizer("word_bpe_49k.json")
+    rows = [(i, " ".join(". ".join(prose(rng, 9).replace(".", "") for _ in range(12)) + "." for _ in range(rng.randint(1, 30)))) for i in range(70)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    got = packing.pack(df, path, window=512).collect()
+    w = packing.word_ids(path)
+    ids = {i: np.frombuffer(b, "<u4") for (i, _), b in zip(rows, w.documents([t for _, t in rows]))}
+    size = Counter()
+    for r in got:
+        size[r["sequence_id"]] += r["length"]
+    inside = [r for r in got if (stop := r["start"] + r["length"]) < r["doc_tokens"] and not w.sentence_end[ids[r["doc_id"]][stop - 1]]]
+    assert len(size) > 100 and len(inside) <= 10 * 4 and all(size[r["sequence_id"]] & (size[r["sequence_id"]] - 1) == 0 for r in inside)
+    assert sum(512 - n for n in size.values() if n & (n - 1)) < 0.03 * sum(size.values())
 
 
 def brute_simhash(text):
