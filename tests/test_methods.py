@@ -1,5 +1,6 @@
 """Worked examples, brute force and edge cases of the methods."""
 
+import collections
 import itertools
 import math
 import random
@@ -11,6 +12,7 @@ from pyspark.sql import functions as F
 from reportgraph.functions import text as T
 from reportgraph.operators import graph, labeling, metrics, patterns, propagate, relations, titles
 from reportgraph.operators.components import connected_components
+from reportgraph.operators.hot import join_hot
 from reportgraph.operators.ranges import range_edges, range_of
 from reportgraph.plans import mining
 from reportgraph.tagger import crf, model
@@ -68,6 +70,16 @@ def test_components_by_search(spark):
     assert connected_components(spark.createDataFrame([], "src long, dst long")).count() == 0
 
 
+def test_join_hot_is_a_join(spark):
+    rng = random.Random(2)
+    rows = spark.createDataFrame([(rng.choice([1, 1, 1, 1, 2, 3, None, 9]), i) for i in range(9000)], "k long, i long")
+    table = spark.createDataFrame([(1, 4500, "a"), (2, 1100, "b"), (3, 5, "c"), (4, 1, "d")], "k long, n long, x string").cache()
+    for how in ("left", "inner"):
+        want = collections.Counter(tuple(r) for r in rows.join(table, "k", how).select("k", "i", "x").collect())
+        assert collections.Counter(tuple(r) for r in join_hot(rows, table, "k", ["i"], how).select("k", "i", "x").collect()) == want
+    assert join_hot(rows, table.limit(0), "k", ["i"]).count() == 9000
+
+
 def test_ranges(spark):
     df = spark.createDataFrame([(i * i % 1009,) for i in range(3000)] + [(None,)], "k long")
     edges = range_edges(df, "k")
