@@ -32,7 +32,7 @@ def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     index = warc.archive_pages(read_table(spark, sf_dir, "pages"))
-    return index.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return index.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "urlkey", "capture")
 
 
 def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -79,11 +79,13 @@ _BASE32 = "array_to_string(list_transform(range(0, 8), lambda g: array_to_string
 def oracle_sql() -> dict[str, str]:
     return {
         "op4_warc": f"""
-            WITH p AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha1(coalesce(html, '')) AS h FROM pages),
-            d AS (SELECT page_id, payload_bytes, {_BASE32} AS payload_digest FROM p),
-            k AS (SELECT *, max(page_id) OVER (PARTITION BY payload_digest) AS kept FROM d)
+            WITH p AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha1(coalesce(html, '')) AS h, regexp_replace(regexp_extract(url, '^https?://([^/?#:]+)', 1), '^www[.]', '') AS host,
+                regexp_extract(url, '^https?://[^/?#]+([^?#]*)', 1) AS place, regexp_extract(url, '[?]([^#]*)', 1) AS asked FROM pages),
+            d AS (SELECT page_id, payload_bytes, {_BASE32} AS payload_digest, lower(array_to_string(list_reverse(string_split(host, '.')), ',') || ')' || CASE WHEN place = '' THEN '/' ELSE place END
+                || CASE WHEN asked = '' THEN '' ELSE '?' || asked END) AS urlkey FROM p),
+            k AS (SELECT *, max(page_id) OVER (PARTITION BY payload_digest) AS kept, row_number() OVER (PARTITION BY urlkey ORDER BY page_id) AS capture FROM d)
             SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = kept THEN 'response' ELSE 'revisit' END AS record_type,
-                CASE WHEN page_id = kept THEN NULL ELSE kept END AS refers_to FROM k""",
+                CASE WHEN page_id = kept THEN NULL ELSE kept END AS refers_to, urlkey, capture FROM k""",
         "op10_topk": """
             WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(x::DOUBLE * 256)::BIGINT) AS q FROM embeddings
                 WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),

@@ -1,6 +1,7 @@
 """WARC archives: writing with revisits, reading back, and merging of the capture index.
 
-Archives are compressed whole; an index entry's offset and length are those in the plain archive. Each archive read gives a run of index
+Each record is a gzip member of its own, so an index entry's offset and length are those of the file, and ``read_record``
+reads one record without the others. Each archive read gives a run of index
 entries sorted by URL key and time; entries are dealt by ranges of that key, and each range merges its
 runs with a loser tree, so the whole index is in order, each URL's captures following each other.
 """
@@ -8,24 +9,31 @@ runs with a loser tree, so the whole index is in order, each URL's captures foll
 from __future__ import annotations
 
 import base64
-import gzip
 import hashlib
 import uuid
+import zlib
 from collections.abc import Iterator
 from urllib.parse import urlsplit
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyarrow import fs
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from reportgraph.sources.io import shared_dir
+from reportgraph.operators.hot import join_hot
+from reportgraph.sources.io import checkpointed, shared_dir
 
 #: The alphabet of base32 digests, and the profile of revisits by equal payload.
 BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 SAME_PAYLOAD = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 CRLF = "\r\n"
 MIN_BYTES = 0
-RECORDS_PER_FILE = 1000
+#: A file ends with the record that brings it to so many bytes or records.
+FILE_BYTES, FILE_RECORDS = 64 << 20, 100_000
+#: Index entries that a task merges, about.
+RANGE_ROWS = 200_000
+GZIP = 31
 INDEX = "run string, urlkey string, ts string, page_id long, url string, record_type string, payload_digest string, payload_bytes long, refers_to long, offset long, length long"
 
 
@@ -58,12 +66,13 @@ def url_key(url: str | None) -> str:
     return f"{','.join(reversed(host.split('.')))}{port}){parts.path or '/'}{'?' + parts.query if parts.query else ''}".lower()
 
 
-def write_archives(pages: DataFrame, path: str, min_bytes: int = MIN_BYTES, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> None:
+def write_archives(pages: DataFrame, path: str, min_bytes: int = MIN_BYTES, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", file_bytes: int = FILE_BYTES, file_records: int = FILE_RECORDS) -> None:
     """Writes one record for each page under ``path``.
 
     Of pages with equal payloads of ``min_bytes`` or more, that with the largest id is the response and the
     others refer to it; null ids come before all others, and rows equal to the response in id are responses too.
-    The largest id for each digest is combined before its shuffle; the join by digest may split hot digests.
+    The largest id for each digest is combined before its shuffle; a hot digest is joined in many tasks. Names and sizes of the
+    files written are in ``path/manifest``, which is complete when this returns.
     """
     html = F.coalesce(F.col(html_col), F.lit(""))
     rows = pages.select(
@@ -71,7 +80,7 @@ def write_archives(pages: DataFrame, path: str, min_bytes: int = MIN_BYTES, id_c
         html.alias("html"), base32_sha1(html).alias("digest"), F.octet_length(html).cast("bigint").alias("bytes"),
     )
     kept = rows.where(F.col("bytes") >= min_bytes).groupBy("digest").agg(F.max("page_id").alias("kept"), F.max_by("url", "page_id").alias("kept_url"), F.count("*").alias("n")).where("n > 1")
-    rows = rows.join(kept.drop("n"), "digest", "left")
+    rows = join_hot(rows, checkpointed(kept), "digest", ["page_id", "url"]).drop("n")
     again = F.coalesce(F.col("kept").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("kept")), F.lit(False))
     ident = F.coalesce(F.col("page_id").cast("string"), F.lit("none"))
     when = F.date_format(F.timestamp_seconds(F.pmod(F.coalesce("page_id", F.lit(0)), F.lit(1 << 31))), "yyyy-MM-dd'T'HH:mm:ss'Z'")
@@ -84,25 +93,79 @@ def write_archives(pages: DataFrame, path: str, min_bytes: int = MIN_BYTES, id_c
         F.when(again, F.concat(line("WARC-Profile", F.lit(SAME_PAYLOAD)), line("WARC-Refers-To", F.concat(F.lit("<urn:page:"), F.col("kept").cast("string"), F.lit(">"))), line("WARC-Refers-To-Target-URI", F.coalesce("kept_url", F.lit(""))))).otherwise(""),
         line("Content-Type", F.lit("application/http; msgtype=response")), line("Content-Length", (F.octet_length(block)).cast("string")), F.lit(CRLF),
     )
-    # A record ends with two line ends, which the text writer puts after each row.
-    rows.select(F.concat(head, block).alias("value")).write.option("maxRecordsPerFile", RECORDS_PER_FILE).text(path, compression="gzip", lineSep=CRLF + CRLF)
-
-
-def records(data: bytes) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
-    """``(offset, length, headers, block)`` of each record, by its own length."""
-    at = 0
-    while at < len(data):
-        end = data.index(b"\r\n\r\n", at)
-        lines = data[at:end].decode("utf-8").split(CRLF)
-        if not lines[0].startswith("WARC/"):
-            raise ValueError(f"no record at {at}")
-        headers = {k.lower(): v.strip() for k, v in (x.split(":", 1) for x in lines[1:])}
-        size = int(headers["content-length"])
-        block = data[end + 4 : end + 4 + size]
-        if len(block) < size or data[end + 4 + size : end + 8 + size] != b"\r\n\r\n":
-            raise ValueError(f"record at {at} is cut short")
-        yield at, end + 8 + size - at, headers, block
-        at = end + 8 + size
+    written = rows.select(F.concat(head, block, F.lit(CRLF + CRLF)).alias("record")).mapInArrow(lambda batches: _write(batches, path, file_bytes, file_records), "file string, records long, bytes long")
+    written.write.parquet(f"{path}/manifest")
+
+
+def place(path: str) -> tuple[fs.FileSystem, str]:
+    """File system and path of a folder or file, given as a path or with a scheme."""
+    if path.startswith("file:"):
+        path = "/" + path.removeprefix("file:").lstrip("/")
+    return fs.FileSystem.from_uri(path)
+
+
+def _write(batches: Iterator[pa.RecordBatch], path: str, file_bytes: int, file_records: int) -> Iterator[pa.RecordBatch]:
+    """Writes records as gzip members and gives the names of the files.
+
+    A task tried twice writes files of two names; only those that the manifest lists are read.
+    """
+    system, folder = place(path)
+    system.create_dir(folder, recursive=True)
+    out, name, records, size = None, "", 0, 0
+    for b in batches:
+        for record in b.column(0):
+            if out is None:
+                name, records, size = f"{uuid.uuid4().hex}.warc.gz", 0, 0
+                out = system.open_output_stream(f"{folder}/{name}", compression=None)
+            member = zlib.compressobj(6, zlib.DEFLATED, GZIP)
+            data = member.compress(record.as_buffer()) + member.flush()
+            out.write(data)
+            records, size = records + 1, size + len(data)
+            if size >= file_bytes or records >= file_records:
+                out.close()
+                out = None
+                yield _listed(name, records, size)
+    if out is not None:
+        out.close()
+        yield _listed(name, records, size)
+
+
+def _listed(name: str, records: int, size: int) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([records]), pa.array([size])], names=["file", "records", "bytes"])
+
+
+def members(stream, step: int = 1 << 20) -> Iterator[tuple[int, int, bytes]]:
+    """``(offset, length, content)`` of each gzip member of a stream; only one is held."""
+    offset, member, parts, length, data = 0, zlib.decompressobj(GZIP), [], 0, b""
+    while data or (data := stream.read(step)):
+        parts.append(member.decompress(data))
+        length += len(data) - len(member.unused_data)
+        data = member.unused_data
+        if member.eof:
+            yield offset, length, b"".join(parts)
+            offset, member, parts, length = offset + length, zlib.decompressobj(GZIP), [], 0
+    if length:
+        raise ValueError(f"record at {offset} is cut short")
+
+
+def parsed(data: bytes) -> tuple[dict[str, str], bytes]:
+    """Headers and block of one record."""
+    end = data.index(b"\r\n\r\n")
+    lines = data[:end].decode("utf-8").split(CRLF)
+    if not lines[0].startswith("WARC/"):
+        raise ValueError("no record")
+    headers = {k.lower(): v.strip() for k, v in (x.split(":", 1) for x in lines[1:])}
+    block = data[end + 4 : end + 4 + int(headers["content-length"])]
+    if len(data) != end + 8 + int(headers["content-length"]) or not data.endswith(b"\r\n\r\n"):
+        raise ValueError("a record's length does not fit")
+    return headers, block
+
+
+def read_record(path: str, offset: int, length: int) -> tuple[dict[str, str], bytes]:
+    """Headers and block of the record that an index entry names; nothing else of its file is read."""
+    system, name = place(path)
+    with system.open_input_file(name) as f:
+        return parsed(zlib.decompress(f.read_at(length, offset), GZIP))
 
 
 def _page(urn: str) -> int | None:
@@ -111,33 +174,43 @@ def _page(urn: str) -> int | None:
 
 
 def read_index(spark, path: str) -> DataFrame:
-    """Index entries of all archives under ``path``; payloads are read and their digests checked."""
+    """Index entries of all archives that the manifest under ``path`` lists; payloads are read and their digests checked.
+
+    A task reads one file after another, record by record; the entries of a file are a sorted run.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        system, folder = place(path)
         for b in batches:
-            for name, data in zip(b.column(0).to_pylist(), b.column(1)):
+            for name, count in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 rows = []
-                raw = data.as_py()
-                for offset, length, h, block in records(gzip.decompress(raw) if raw[:2] == b"\x1f\x8b" else raw):
-                    head, _, payload = block.partition(b"\r\n\r\n")
-                    http = dict(x.lower().split(b": ", 1) for x in head.split(b"\r\n")[1:])
-                    digest = h["warc-payload-digest"].removeprefix("sha1:")
-                    if h["warc-type"] == "response" and base64.b32encode(hashlib.sha1(payload).digest()).decode() != digest:
-                        raise ValueError(f"{name}: payload at {offset} does not fit its digest")
-                    rows.append((name, url_key(h["warc-target-uri"]), h["warc-date"], _page(h["warc-record-id"]), h["warc-target-uri"], h["warc-type"], digest, int(http[b"content-length"]), _page(h["warc-refers-to"]) if "warc-refers-to" in h else None, offset, length))
-                if not rows:
-                    continue
-                rows.sort(key=lambda r: (r[1], r[2], r[3] is not None, r[3] or 0))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _TYPES)], names=_NAMES)
-
-    files = spark.read.format("binaryFile").load(path).select("path", "content")
-    return files.mapInArrow(run, INDEX)
+                with system.open_input_stream(f"{folder}/{name}", compression=None) as stream:
+                    for offset, length, data in members(stream):
+                        h, block = parsed(data)
+                        head, _, payload = block.partition(b"\r\n\r\n")
+                        http = dict(x.lower().split(b": ", 1) for x in head.split(b"\r\n")[1:])
+                        digest = h["warc-payload-digest"].removeprefix("sha1:")
+                        if h["warc-type"] == "response" and base64.b32encode(hashlib.sha1(payload).digest()).decode() != digest:
+                            raise ValueError(f"{name}: payload at {offset} does not fit its digest")
+                        rows.append((name, url_key(h["warc-target-uri"]), h["warc-date"], _page(h["warc-record-id"]), h["warc-target-uri"], h["warc-type"], digest, int(http[b"content-length"]), _page(h["warc-refers-to"]) if "warc-refers-to" in h else None, offset, length))
+                if len(rows) != count:
+                    raise ValueError(f"{name}: {len(rows)} records of {count}")
+                rows.sort(key=entry_key)
+                yield from (_batch(rows[k : k + 8192]) for k in range(0, len(rows), 8192))
+
+    files = spark.read.parquet(f"{path}/manifest").select("file", "records")
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return files.repartition(n, "file").mapInArrow(run, INDEX)
 
 
 _NAMES = [x.split()[0] for x in INDEX.split(", ")]
 _TYPES = [pa.string() if x.endswith("string") else pa.int64() for x in INDEX.split(", ")]
 
 
+def _batch(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _TYPES)], names=_NAMES)
+
+
 class LoserTree:
     """Merges sorted runs; each inner node holds the loser of the match below it, so a step costs one path of comparisons."""
 
@@ -185,17 +258,33 @@ def entry_key(row: tuple) -> tuple:
     return row[1], row[2], row[3] is not None, row[3] or 0
 
 
-def merged_index(index: DataFrame) -> DataFrame:
-    """The entries in global order of URL key, time and page (its partitions are ascending ranges), with ``capture``, the place in a URL's history."""
+def _rows_of(table: pa.Table, step: int = 256) -> Iterator[tuple]:
+    """Rows of a run, a few at a time."""
+    for k in range(0, table.num_rows, step):
+        yield from zip(*(c.to_pylist() for c in table.slice(k, step).columns))
+
+
+def merged_index(index: DataFrame, total: int | None = None, range_rows: int = RANGE_ROWS) -> DataFrame:
+    """The entries in global order of URL key, time and page, with ``range``, ``place`` and ``capture``.
+
+    Entries are dealt to ranges of about ``range_rows``, each of which merges its runs; the order is that of range and place in it.
+    ``capture`` counts the entries of a URL key from 1, over ranges where its history goes on. Entries of null pages come
+    first among equals. What a task holds are the entries of one range, of which only the heads of the runs are unpacked.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runs: dict[str, list] = {}
-        for b in batches:  # sorted by run, then key
-            for row in zip(*(c.to_pylist() for c in b.columns)):
-                runs.setdefault(row[0], []).append(row)
-        out = []
-        for row in LoserTree(list(runs.values()), entry_key):
-            out.append(row)
+        kept = [b for b in batches if b.num_rows]
+        if not kept:
+            return
+        table = pa.Table.from_batches(kept)  # sorted by run, then key
+        names = table.column("run").combine_chunks().dictionary_encode()
+        names = (names.combine_chunks() if isinstance(names, pa.ChunkedArray) else names).indices.to_numpy()
+        bounds = [0, *(np.flatnonzero(np.diff(names)) + 1).tolist(), len(names)]
+        out, n, at, capture = [], 0, None, 0
+        for row in LoserTree([_rows_of(table.slice(a, z - a)) for a, z in zip(bounds, bounds[1:])], entry_key):
+            capture = capture + 1 if row[1] == at else 1
+            at, n = row[1], n + 1
+            out.append((*row, n, capture))
             if len(out) == 8192:
                 yield batch(out)
                 out = []
@@ -203,14 +292,24 @@ def merged_index(index: DataFrame) -> DataFrame:
             yield batch(out)
 
     def batch(rows: list) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _TYPES)], names=_NAMES)
-
-    n = int(index.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = index.repartitionByRange(n, "urlkey", "ts", "page_id").sortWithinPartitions("run", "urlkey", "ts", F.col("page_id").asc_nulls_first())
-    return dealt.mapInArrow(run, INDEX)
-
-
-def archive_pages(pages: DataFrame, path: str | None = None, **options) -> DataFrame:
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), [*_TYPES, pa.int64(), pa.int64()])], names=[*_NAMES, "place", "capture"])
+
+    total = index.count() if total is None else total
+    n = max(1, min(int(index.sparkSession.conf.get("spark.sql.shuffle.partitions")), total), -(-total // range_rows))
+    dealt = index.repartitionByRange(n, "urlkey", "ts", F.col("page_id").asc_nulls_first(), "run", "offset").sortWithinPartitions("run", "urlkey", "ts", F.col("page_id").asc_nulls_first(), "offset")
+    # The ranges are numbered as they are written, and read again with those numbers.
+    merged = checkpointed(dealt.mapInArrow(run, INDEX + ", place long, capture long").withColumn("range", F.spark_partition_id()))
+    ends = merged.groupBy("range").agg(F.max_by(F.struct("urlkey", "capture"), "place").alias("last"), F.min_by("urlkey", "place").alias("first"))
+    before = Window.partitionBy("key").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    # A key that ends one range and begins the next goes on there: what came before is the sum of its ends so far.
+    lasts = ends.select(F.col("last.urlkey").alias("key"), "range", F.col("last.capture").alias("c"))
+    firsts = ends.select(F.col("first").alias("key"), "range", F.lit(0).cast("bigint").alias("c"))
+    begun = lasts.unionByName(firsts).groupBy("key", "range").agg(F.sum("c").alias("c")).withColumn("more", F.coalesce(F.sum("c").over(before), F.lit(0)))
+    begun = begun.where("more > 0").select(F.col("key").alias("urlkey"), "range", "more")
+    return merged.join(begun, ["urlkey", "range"], "left").withColumn("capture", F.col("capture") + F.coalesce("more", F.lit(0))).select(*_NAMES, "range", "place", "capture")
+
+
+def archive_pages(pages: DataFrame, path: str | None = None, range_rows: int = RANGE_ROWS, **options) -> DataFrame:
     """Writes the pages' archives (in the shared folder if no path is given) and returns their merged index as read back.
 
     Null payloads count as empty, null URLs as empty, and a record without id refers to none. An empty table writes no record and gives no rows.
@@ -218,4 +317,5 @@ def archive_pages(pages: DataFrame, path: str | None = None, **options) -> DataF
     spark = pages.sparkSession
     path = path or f"{shared_dir(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
     write_archives(pages, path, **options)
-    return merged_index(read_index(spark, path))
+    total = spark.read.parquet(f"{path}/manifest").agg(F.sum("records")).first()[0] or 0
+    return merged_index(read_index(spark, path), total, range_rows)
