@@ -1,6 +1,7 @@
 """Removal of repeated passages by hashing normalised units of lines.
 
-A line's units are its sentences; case, signs and the width of blanks do not count. Equal units are
+A line's units are its sentences; case, signs and the width of blanks do not count. A long sentence is cut after
+words that their own hash marks, so two sentences that are equal in part have units in common. Equal units are
 grouped over all documents by a 128-bit digest and ranked by document and place; the first stays.
 A run of neighbouring units that all repeat earlier ones is removed if it has ``min_words`` words, so a
 passage is found inside lines too, while short stock phrases stay. Offsets of what is removed are
@@ -10,106 +11,125 @@ those of the original text.
 from __future__ import annotations
 
 import re
+import zlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 
+from reportgraph.operators.hot import join_hot
 from reportgraph.sources.io import checkpointed
 
 MIN_WORDS = 20
-HOT_SHARE, LEAST_HOT, SALTS = 2000, 1000, 32
-#: A unit: up to a sentence's end before white space, or up to the line's end; blanks after it belong to it.
-UNIT = re.compile(r"[^\n]+?(?:[.!?]+[\"')\]]*(?=\s|$)[^\S\n]*|(?=\n|$))|\n+", re.S)
+#: A unit ends with a sentence before white space, or with its line; blanks after it belong to it.
+UNIT_END = re.compile(r"[.!?]+[\"')\]]*(?=\s|$)[^\S\n]*|\n+")
 WORD = re.compile(r"[^\W_]+")
+#: Sentences of more words than this are cut, after one word in ``CUT_SHARE``, or after as many words again without such.
+LONG_SENTENCE, CUT_SHARE = 24, 10
+MEMO = 300_000
 SPANS = "array<struct<start:int,end:int>>"
 
 
+class _CutWords(dict):
+    """Whether a sentence may be cut after a word."""
+
+    def __missing__(self, word: str) -> bool:
+        if len(self) > MEMO:
+            self.clear()
+        self[word] = got = zlib.crc32(word.encode("utf-8", "surrogatepass")) % CUT_SHARE == 0
+        return got
+
+
+_CUTS = _CutWords()
+
+
+def _digest(words: list[str]) -> bytes:
+    return xxhash.xxh3_128_digest(" ".join(words).encode("utf-8", "surrogatepass"))
+
+
 def units(text: str) -> list[tuple[int, int, int, bytes]]:
     """``(start, end, words, digest)`` of each unit that has words; offsets are code points."""
-    out = []
-    for m in UNIT.finditer(text):
-        words = WORD.findall(m.group().lower())
-        if words:
-            out.append((m.start(), m.end(), len(words), xxhash.xxh3_128_digest(" ".join(words).encode("utf-8", "surrogatepass"))))
+    out, at = [], 0
+    for end in (*(m.end() for m in UNIT_END.finditer(text)), len(text)):
+        words = [w.lower() for w in WORD.findall(text, at, end)]
+        if len(words) > LONG_SENTENCE:
+            begin, own = at, []
+            for m, w in zip(WORD.finditer(text, at, end), words):
+                own.append(w)
+                if _CUTS[w] or len(own) == LONG_SENTENCE:
+                    out.append((begin, m.end(), len(own), _digest(own)))
+                    begin, own = m.end(), []
+            if own:
+                out.append((begin, end, len(own), _digest(own)))
+        elif words:
+            out.append((at, end, len(words), _digest(words)))
+        at = end
     return out
 
 
 def unit_table(docs: DataFrame) -> DataFrame:
-    """``(row, doc_id, unit, digest)`` of all units; ``row`` is a digest of id and text."""
+    """``(row, doc, unit, start, end, words, digest)`` of all units; ``row`` is a digest of id and text."""
+    kind = dict(docs.dtypes)["__doc"]
+    own = next(f.type for f in to_arrow_schema(docs.schema) if f.name == "__doc")
+    types = [pa.int64(), own, *[pa.int32()] * 4, pa.binary()]
+    names = ["row", "doc", "unit", "start", "end", "words", "digest"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows, ids, at, digests = [], [], [], []
+            out: list[tuple] = []
             for r, i, text in zip(*(b.column(k).to_pylist() for k in range(3))):
-                for n, u in enumerate(units(text)):
-                    rows.append(r)
-                    ids.append(i)
-                    at.append(n)
-                    digests.append(u[3])
-                if len(rows) > 50_000:
-                    yield pack(rows, ids, at, digests)
-                    rows, ids, at, digests = [], [], [], []
-            yield pack(rows, ids, at, digests)
-
-    kind = dict(docs.dtypes)["__doc"]
-    arrow = pa.string() if kind == "string" else pa.int64()
+                out.extend((r, i, n, *u) for n, u in enumerate(units(text)))
+                if len(out) > 50_000:
+                    yield pack(out)
+                    out = []
+            if out:
+                yield pack(out)
 
-    def pack(rows, ids, at, digests) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(rows, pa.int64()), pa.array(ids, arrow), pa.array(at, pa.int32()), pa.array(digests, pa.binary())], names=["row", "doc", "unit", "digest"])
+    def pack(out: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names=names)
 
-    return docs.select("__row", "__doc", "__text").mapInArrow(run, f"row long, doc {kind}, unit int, digest binary")
+    return docs.select("__row", "__doc", "__text").mapInArrow(run, f"row long, doc {kind}, unit int, start int, end int, words int, digest binary")
 
 
 def repeated_units(docs: DataFrame) -> DataFrame:
-    """``(row, units)``: for each row with such, the numbers of its units that repeat an earlier one.
+    """``(row, doc, units)``: for each row with such, its units that repeat an earlier one, in order.
 
     The earliest of a group is found by a minimum that is combined before the shuffle, and only groups of two
-    or more take part in the join back. Digests with more than one in ``HOT_SHARE`` of the repeated units (so fewer than
-    that many digests) are dealt to ``SALTS`` keys each.
+    or more take part in the join back, in which hot digests are dealt to many tasks.
     """
     all_units = unit_table(docs)
     rank = F.struct(F.col("doc").isNull().alias("last"), "doc", "row", "unit")
     groups = all_units.groupBy("digest").agg(F.count("*").alias("n"), F.min(rank).alias("first")).where("n > 1")
-    groups = checkpointed(groups.select("digest", "n", F.col("first.row").alias("first_row"), F.col("first.unit").alias("first_unit")))
-    total = groups.agg(F.sum("n")).first()[0] or 0
-    hot = F.col("n") > max(LEAST_HOT, total // HOT_SHARE)
-    salts = F.when(hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
-    first = groups.select(F.col("digest").alias("d"), F.explode(salts).alias("s"), "first_row", "first_unit")
-    spread = all_units.join(F.broadcast(groups.where(hot).select(F.col("digest").alias("h"))), F.col("digest") == F.col("h"), "left")
-    spread = spread.select("row", "unit", "digest", F.when(F.col("h").isNotNull(), F.pmod("row", F.lit(SALTS)).cast("int")).otherwise(0).alias("salt"))
-    again = spread.join(first, (F.col("digest") == F.col("d")) & (F.col("salt") == F.col("s")))
-    again = again.where((F.col("row") != F.col("first_row")) | (F.col("unit") != F.col("first_unit")))
-    return again.groupBy("row").agg(F.array_sort(F.collect_set("unit")).alias("again"))
-
-
-def removed_spans(text: str, again: list[int] | None, min_words: int) -> list[tuple[int, int]]:
-    """Half-open ranges of the runs of repeated units that have enough words."""
-    if not again:
-        return []
-    found, repeats = units(text), set(again)
-    out, start, words, end = [], None, 0, 0
-    for k in range(len(found) + 1):
-        if k < len(found) and k in repeats:
-            if start is None:
-                start, words = found[k][0], 0
-            words += found[k][2]
-            end = found[k][1]
-        elif start is not None:
-            if words >= min_words:
-                out.append((start, end))
-            start = None
-    return out
+    groups = checkpointed(groups.select("digest", "n", F.col("first.doc").alias("first_doc"), F.col("first.row").alias("first_row"), F.col("first.unit").alias("first_unit")))
+    again = join_hot(all_units, groups, "digest", ["row"], "inner")
+    again = again.where((F.col("row") != F.col("first_row")) | (F.col("unit") != F.col("first_unit")) | ~F.col("doc").eqNullSafe(F.col("first_doc")))
+    return again.groupBy("row", "doc").agg(F.array_sort(F.collect_set(F.struct("unit", "start", "end", "words"))).alias("units"))
 
 
-def without(text: str, spans: list[tuple[int, int]]) -> str:
-    at, keep = 0, []
-    for a, b in spans:
-        keep.append(text[at:a])
-        at = b
-    return "".join(keep) + text[at:]
+def long_runs(rows: DataFrame, min_words: int) -> DataFrame:
+    """``(row, doc, spans)``: half-open ranges of the runs of neighbouring ``units`` that have enough words."""
+    kind = dict(rows.dtypes)["doc"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lists = b.column(2)
+            unit, start, end, words = (np.asarray(x, np.int64) for x in lists.flatten().flatten())
+            owner = np.repeat(np.arange(b.num_rows), np.diff(lists.offsets.to_numpy()))
+            first = np.flatnonzero((np.diff(owner, prepend=-1) != 0) | (np.diff(unit, prepend=-2) != 1))
+            if not len(first):
+                continue
+            last = np.append(first[1:], len(unit)) - 1
+            keep = np.add.reduceat(words, first) >= min_words
+            count = np.bincount(owner[first[keep]], minlength=b.num_rows)
+            spans = pa.StructArray.from_arrays([pa.array(start[first[keep]], pa.int32()), pa.array(end[last[keep]], pa.int32())], names=["start", "end"])
+            out = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(count)]), pa.int32()), spans)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), out], names=["row", "doc", "spans"]).filter(pa.array(count > 0))
+
+    return rows.mapInArrow(run, f"row long, doc {kind}, spans {SPANS}")
 
 
 def dedup_passages(docs: DataFrame, min_words: int = MIN_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -117,24 +137,17 @@ def dedup_passages(docs: DataFrame, min_words: int = MIN_WORDS, id_col: str = "d
 
     Earlier is the smaller id (nulls last), then the smaller digest of the text, then the place in the text.
     A null text stays null. Rows of equal id and text are one document, and so each keeps what the other
-    keeps; an empty table gives no rows. A document left without text stays, with the empty text.
+    keeps; an empty table gives no rows. A document left without text stays, with the empty text. A column ``removed_spans`` of
+    ``docs`` is replaced.
     """
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    row = F.xxhash64(F.col(id_col), text)
-    keyed = docs.select(row.alias("__row"), F.col(id_col).alias("__doc"), text.alias("__text"))
-    again = repeated_units(keyed)
-    names = docs.columns
-    full = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("__d")).withColumn("__row", F.xxhash64(F.col(f"__d.{id_col}"), F.coalesce(F.col(f"__d.{text_col}"), F.lit(""))))
-    joined = full.join(again, full["__row"] == again["row"], "left").select("__d", F.coalesce("again", F.array().cast("array<int>")).alias("again"))
-
-    @F.pandas_udf(SPANS)
-    def spans(texts, repeats):
-        return texts.combine(repeats, lambda t, r: [{"start": a, "end": b} for a, b in removed_spans(t, list(r), min_words)])
-
-    some = F.col(f"__d.{text_col}").isNotNull() & (F.size("again") > 0)
-    arg = F.when(some, F.col(f"__d.{text_col}")).otherwise("")
-    joined = joined.withColumn("removed_spans", spans(arg, F.when(some, F.col("again")).otherwise(F.array().cast("array<int>"))))
-    body = F.col(f"__d.{text_col}")
+    text = F.coalesce(F.col(f"`{text_col}`"), F.lit(""))
+    row = F.xxhash64(F.col(f"`{id_col}`"), text)
+    spans = long_runs(repeated_units(docs.select(row.alias("__row"), F.col(f"`{id_col}`").alias("__doc"), text.alias("__text"))), min_words)
+    names = [c for c in docs.columns if c != "removed_spans"]
+    full = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("__d"), row.alias("__row"), F.col(f"`{id_col}`").alias("__doc"))
+    joined = full.join(spans, (full["__row"] == spans["row"]) & full["__doc"].eqNullSafe(spans["doc"]), "left")
+    joined = joined.select("__d", F.coalesce("spans", F.array().cast(SPANS)).alias("removed_spans"))
+    body = F.col(f"__d.`{text_col}`")
     # What stands between the removed ranges, by column functions.
     starts = F.concat(F.array(F.lit(0)), F.transform("removed_spans", lambda s: s["end"]))
     ends = F.concat(F.transform("removed_spans", lambda s: s["start"]), F.array(F.length(body)))

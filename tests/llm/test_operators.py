@@ -275,6 +275,63 @@ def test_passages(spark, none):
 def test_units_cover_lines():
     text = "One two. Three!  Four\nfive six\n\n7.5 is no end"
     assert [text[a:b].strip() for a, b, _, _ in substring_dedup.units(text)] == ["One two.", "Three!", "Four", "five six", "7.5 is no end"]
+    rng = random.Random(5)
+    words = [f"w{rng.randrange(900)}" for _ in range(400)]
+    whole, tail = (substring_dedup.units(" ".join(w) + ".") for w in (words, words[200:]))
+    assert all(n <= substring_dedup.LONG_SENTENCE for _, _, n, _ in whole) and sum(n for _, _, n, _ in whole) == 400
+    assert [u[3] for u in whole][-10:] == [u[3] for u in tail][-10:]  # cuts do not hang on where a sentence begins
+
+
+def dedup_by_hand(rows, min_words):
+    """Spans removed from each (id, text), reading documents in order and units one by one."""
+    def order(r):
+        return (r[0] is None, r[0] or 0, row_digest(r))
+
+    def row_digest(r):
+        h = 42 if r[0] is None else xxhash.xxh64_intdigest(r[0].to_bytes(8, "little", signed=True), 42)
+        h = xxhash.xxh64_intdigest(r[1].encode(), h)
+        return h - (1 << 64) if h >> 63 else h
+
+    seen, out = set(), {}
+    for r in sorted(set(rows), key=order):
+        spans, run = [], []
+        for u in [*substring_dedup.units(r[1]), None]:
+            if u is not None and u[3] in seen:
+                run.append(u)
+                continue
+            if sum(x[2] for x in run) >= min_words:
+                spans.append((run[0][0], run[-1][1]))
+            run = []
+            if u is not None:
+                seen.add(u[3])
+        out[r] = spans
+    return out
+
+
+def test_passages_by_brute_force(spark, docs):
+    rng = random.Random(14)
+    passages = [". ".join(prose(rng, rng.randint(3, 30)).replace(".", "") for _ in range(5)) + "." for _ in range(4)]
+    rows = [(r[0], r[1]) for r in fixture_rows()]
+    for i in range(60):
+        parts = [prose(rng, rng.randint(1, 40)), *rng.sample(passages, rng.randint(0, 2)), prose(rng, 30), "Again the same line of words for all. " * rng.randint(0, 9)]
+        rng.shuffle(parts)
+        rows.append((300 + i // 2, rng.choice([" ", "\n"]).join(parts)))
+    rows += [(500, "very " * 60_000), (501, "very " * 50_000 + "long."), rows[-1], (None, passages[0]), (None, passages[0])]
+    df = spark.createDataFrame([(i, t, "x", 7) for i, t in rows], "doc_id long, text string, row string, spans int").repartition(5)
+    want = dedup_by_hand([(i, t or "") for i, t in rows], substring_dedup.MIN_WORDS)
+    got = substring_dedup.dedup_passages(df)
+    assert got.columns == [*df.columns, "removed_spans"]
+    expected = Counter()
+    for i, t in rows:
+        spans = want[i, t or ""]
+        kept, at = "", 0
+        for a, b in spans:
+            kept, at = kept + (t or "")[at:a], b
+        expected[i, None if t is None else kept + t[at:], tuple(spans)] += 1
+    assert Counter((r["doc_id"], r["text"], tuple((s["start"], s["end"]) for s in r["removed_spans"])) for r in got.collect()) == expected
+    assert sum(map(bool, want.values())) > 30
+    names = df.withColumn("doc_id", F.concat(F.lit("n"), F.col("doc_id").cast("string")))
+    assert substring_dedup.dedup_passages(names).where("size(removed_spans) > 0").count() > 30
 
 
 def odd_texts():
