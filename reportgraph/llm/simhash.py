@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from reportgraph.operators.components import connected_components
+from reportgraph.operators.hot import join_hot
 from reportgraph.sources.io import checkpointed
 
 CODE_BITS = 15
@@ -184,19 +185,28 @@ def _nearest(words: np.ndarray, homes: np.ndarray, threshold: int, cells: int =
 
 def _whole_runs(tables: Iterator[list[np.ndarray]]) -> Iterator[tuple[list[np.ndarray], np.ndarray]]:
     """Columns sorted by the first of them, cut so that equal values stay together, and where its value changes."""
-    kept: list[np.ndarray] | None = None
+    kept: list[list[np.ndarray]] = []
+
+    def whole(parts: list[list[np.ndarray]]) -> tuple[list[np.ndarray], np.ndarray]:
+        t = [np.concatenate(x) for x in zip(*parts)] if len(parts) > 1 else parts[0]
+        return t, np.flatnonzero(np.diff(t[0])) + 1
+
     for t in tables:
-        if kept is not None:
-            t = [np.concatenate(x) for x in zip(kept, t)]
         if not len(t[0]):
             continue
-        bounds = np.flatnonzero(np.diff(t[0])) + 1
-        last = int(bounds[-1]) if len(bounds) else 0
-        if last:
-            yield [x[:last] for x in t], bounds[:-1]
-        kept = [x[last:] for x in t]
-    if kept is not None and len(kept[0]):
-        yield kept, np.zeros(0, np.int64)
+        last = int(np.searchsorted(t[0], t[0][-1]))  # where the last value begins
+        if kept and (last or t[0][0] != kept[-1][0][-1]):
+            if last:
+                kept.append([x[:last] for x in t])
+            yield whole(kept)
+            kept = [[x[last:] for x in t]]
+        elif last:
+            yield whole([[x[:last] for x in t]])
+            kept = [[x[last:] for x in t]]
+        else:
+            kept.append(t)  # one value goes on; its parts are joined once, when it ends
+    if kept:
+        yield whole(kept)
 
 
 def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int, int, int]], threshold: int, nearest: bool = False) -> DataFrame:
@@ -245,11 +255,6 @@ def anchor_links(prints: DataFrame, words: list[str], segments: list[tuple[int,
     return links.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).where("src <> dst").distinct()
 
 
-def even_segments(words: int, bits: int) -> list[tuple[int, int, int]]:
-    """As many segments of so many bits as each word has room for."""
-    return [(w, s, bits) for w in range(words) for s in range(0, 64 - bits + 1, bits)]
-
-
 def simhash_components(docs: DataFrame, size: int = 4, threshold: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, fingerprint, component_id`` of every row; the component is the smallest id that links reach.
 
@@ -260,13 +265,13 @@ def simhash_components(docs: DataFrame, size: int = 4, threshold: int = 4, id_co
     if threshold > 5:
         raise ValueError("three segments with one bit each allow five differing bits")
     prints = checkpointed(fingerprints(docs, size, id_col, text_col))
-    distinct = prints.groupBy(F.col("fp").alias("node")).agg(F.min("doc_id").alias("first"))
+    distinct = prints.groupBy(F.col("fp").alias("node")).agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
     links = anchor_links(distinct.select("node", F.col("node").alias("w0")), ["w0"], [(0, 0, 21), (0, 21, 21), (0, 42, 22)], threshold)
-    parts = connected_components(links)
-    ids = distinct.join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    least = ids.groupBy("component").agg(F.min("first").alias("component_id"))
-    ids = ids.join(least, "component").select(F.col("node").alias("fp"), "component_id")
-    return prints.join(ids, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    linked = distinct.join(connected_components(links), "node")
+    least = checkpointed(linked.groupBy("component").agg(F.min("first").alias("least"), F.count("*").alias("n")))
+    linked = join_hot(linked.select("node", "component"), least, "component", ["node"]).select("node", "least")
+    ids = checkpointed(distinct.join(linked, "node", "left").select(F.col("node").alias("fp"), F.coalesce("least", "first").alias("component_id"), "n"))
+    return join_hot(prints, ids, "fp", ["doc_id"], "inner").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 # --- near-duplicates by similarity of five-word shingles, with SimHash for candidates ---
@@ -274,7 +279,8 @@ def simhash_components(docs: DataFrame, size: int = 4, threshold: int = 4, id_co
 SHINGLE = 5
 SIMILARITY = 0.8
 WIDE_WORDS = 3
-WIDE_SEGMENT = 21
+#: One segment of each word finds most near copies; what it leaves is for ``prefix_pairs``.
+WIDE_SEGMENTS = [(word, 0, 21) for word in range(WIDE_WORDS)]
 WIDE_THRESHOLD = 40
 
 
@@ -374,20 +380,23 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
             ends = np.append(bounds, len(node))
             mixed = np.flatnonzero(np.minimum.reduceat(own, starts) != np.maximum.reduceat(own, starts))
             for a, z in zip(starts[mixed].tolist(), ends[mixed].tolist()):
-                o, m, r = own[a:z], n[a:z].astype(np.int64), left[a:z].astype(np.int64)
-                place = np.arange(z - a)
-                step = max(1, (1 << 20) // (z - a))
-                for k in range(0, z - a, step):
-                    p = slice(k, k + step)
-                    ok = (o[p, None] != o) & (place[p, None] < place)
-                    ok &= np.minimum(r[p, None], r) * (1 + least) >= least * (m[p, None] + m) - 1e-6
+                # Members lie by group, so each is compared with the groups after its own only.
+                order = a + np.argsort(own[a:z], kind="stable")
+                o, m, r = own[order], n[order].astype(np.int64), left[order].astype(np.int64)
+                after = np.searchsorted(o, o, side="right")
+                k = 0
+                while k < z - a:
+                    e = int(min(after[k], k + max(1, (1 << 20) // max(1, z - a - after[k]))))  # rows of one group
+                    rest = slice(int(after[k]), z - a)
+                    ok = np.minimum(r[k:e, None], r[rest]) * (1 + least) >= least * (m[k:e, None] + m[rest]) - 1e-6
                     i, j = np.nonzero(ok)
                     if len(i):
-                        out.append((node[a + k + i], node[a + j]))
+                        out.append((node[order[k + i]], node[order[int(after[k]) + j]]))
                         size += len(i)
                     if size > 100_000:
                         yield batch()
                         out, size = [], 0
+                    k = e
         yield batch()
 
     rows = sets.select("node", "own", "n", "prefix").where("n > 0").mapInArrow(spread, "key long, node long, own long, n int, left int")
@@ -401,7 +410,7 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     text digest of the first row in its group of near-duplicates (smallest id, nulls last, then smallest text digest).
 
     Texts of equal words are one node. Two nodes are linked if their shingles' similarity is ``similarity_least``. Near
-    fingerprints at each anchor (192 bits in nine segments with one bit to spare each) give most links and so the
+    fingerprints at each anchor (192 bits, of which three segments with one bit to spare each) give most links and so the
     dense groups; all pairs that these leave in different groups are then looked for by ``prefix_pairs``.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -423,10 +432,10 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     common, rank = common_keys(rows, size)
     prints = checkpointed(rows.select("doc", "row", "text").mapInArrow(run, f"doc {kind}, row long, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary"))
     rank_of = F.struct(F.col("doc").isNull().alias("last"), "doc", "row")
-    nodes = prints.groupBy("node").agg(F.min(rank_of).alias("least"), *[F.first(w).alias(w) for w in words]).withColumn("first", F.col("least.doc"))
+    nodes = prints.groupBy("node").agg(F.min(rank_of).alias("least"), F.count("*").alias("n"), *[F.first(w).alias(w) for w in words]).withColumn("first", F.col("least.doc"))
     number = F.col("first") if kind in ("bigint", "int", "smallint", "tinyint") else F.xxhash64("first")
     placed = nodes.withColumn("place", F.coalesce(number.cast("bigint"), F.lit((1 << 63) - 1)))
-    links = checkpointed(anchor_links(placed, words, even_segments(WIDE_WORDS, WIDE_SEGMENT), WIDE_THRESHOLD, nearest=True))
+    links = checkpointed(anchor_links(placed, words, WIDE_SEGMENTS, WIDE_THRESHOLD, nearest=True))
 
     @F.pandas_udf("double")
     def likeness(a, b):
@@ -445,10 +454,12 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     sets = prints.groupBy("node").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix")).join(parts, "node", "left")
     more = checkpointed(prefix_pairs(sets.withColumn("own", F.coalesce("component", "node")), similarity_least))
     parts = connected_components(verified(more).unionByName(parts.select(F.col("node").alias("src"), F.col("component").alias("dst"))))
-    groups = nodes.select("node", "least").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    least = groups.groupBy("component").agg(F.min("least").alias("kept"))
-    groups = groups.join(least, "component").select("node", F.col("kept.doc").alias("kept"), F.col("kept.row").alias("kept_row"))
-    return prints.select("doc", "row", "node").join(groups, "node").select("doc", "row", "node", "kept", "kept_row")
+    linked = nodes.select("node", "least", "n").join(parts, "node")
+    firsts = checkpointed(linked.groupBy("component").agg(F.min("least").alias("kept"), F.count("*").alias("n")))
+    linked = join_hot(linked.select("node", "component"), firsts, "component", ["node"]).select("node", "kept")
+    groups = nodes.select("node", "least", "n").join(linked, "node", "left").withColumn("kept", F.coalesce("kept", "least"))
+    groups = checkpointed(groups.select("node", "n", F.col("kept.doc").alias("kept"), F.col("kept.row").alias("kept_row")))
+    return join_hot(prints.select("doc", "row", "node"), groups, "node", ["row", "doc"], "inner").select("doc", "row", "node", "kept", "kept_row")
 
 
 def one_of_each_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
