@@ -6,6 +6,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from reportgraph.functions.text import TYPES, split_camel, value_type
+from reportgraph.operators.hot import join_hot
+from reportgraph.sources.io import checkpointed
+
+#: Fewer names than this may be broadcast.
+BROADCAST_NAMES = 200_000
 
 #: Words that begin a name without being part of it.
 DETERMINERS = ("the", "a", "an", "this", "that", "my", "your", "his", "her", "its", "our", "their")
@@ -67,9 +72,18 @@ def resolve_names(candidates: DataFrame, types: DataFrame) -> DataFrame:
 
 
 def tag_patterns(candidates: DataFrame, types: DataFrame) -> DataFrame:
-    """Mentions of all types in the patterns, in one pass: ``report_id, sent_no, entity, value``."""
-    resolved = resolve_names(candidates, types)
-    return drop_noisy_names(candidates).join(F.broadcast(resolved), "name").select("report_id", "sent_no", "entity", "value")
+    """Mentions of all types in the patterns, in one pass: ``report_id, sent_no, entity, value``.
+
+    The names are counted before they are broadcast; more than ``BROADCAST_NAMES`` are joined by a shuffle, hot ones in many tasks.
+    """
+    rows = drop_noisy_names(candidates)
+    counts = rows.groupBy("name").agg(F.count("*").alias("n"))
+    resolved = checkpointed(resolve_names(candidates, types).join(counts, "name"))
+    if resolved.count() < BROADCAST_NAMES:
+        rows = rows.join(F.broadcast(resolved.drop("n")), "name")
+    else:
+        rows = join_hot(rows, resolved, "name", ["report_id", "sent_no"], "inner")
+    return rows.select("report_id", "sent_no", "entity", "value")
 
 
 def entity_value_types(mentions: DataFrame) -> DataFrame:

@@ -74,9 +74,10 @@ def reassignment_rate(history: DataFrame, item: str, time: str, team: str, tie:
 
 def time_to_engage(events: DataFrame, start: str = "error", engage: str = "login") -> DataFrame:
     """For each user the mean seconds from a ``start`` event to the next ``engage`` event of that user."""
-    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(1, Window.unboundedFollowing)
+    # Read from the end, the next is the last one seen, so the frame only grows.
+    w = Window.partitionBy("user_id").orderBy(F.desc("ts"), F.desc("event_id")).rowsBetween(Window.unboundedPreceding, -1)
     t = F.unix_micros(F.col("ts").cast("timestamp"))
-    rows = events.withColumn("next", F.first(F.when(F.col("event_type") == engage, t), ignorenulls=True).over(w))
+    rows = events.withColumn("next", F.last(F.when(F.col("event_type") == engage, t), ignorenulls=True).over(w))
     return rows.where((F.col("event_type") == start) & F.col("next").isNotNull()).groupBy("user_id").agg(F.count("*").alias("incidents"), F.avg((F.col("next") - t) / 1e6).alias("mean_seconds"))
 
 

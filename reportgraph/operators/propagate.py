@@ -25,12 +25,24 @@ def value_dictionary(mentions: DataFrame, types: DataFrame, max_value_tokens: in
     return best.where(F.col("support") >= min_support)
 
 
-def occurrences(sentences: DataFrame, max_tokens: int) -> DataFrame:
-    """Word windows of 1 to ``max_tokens`` of each sentence with their place; signs at the end of a window do not count."""
-    words = F.split("text", "[ \t]+")
-    places = F.flatten(F.transform(F.sequence(F.lit(1), F.lit(max_tokens)), lambda n: F.transform(F.when(F.size("w") >= n, F.sequence(F.lit(0), F.size("w") - n)).otherwise(F.array().cast("array<int>")), lambda i: F.struct(i.alias("begin"), n.alias("size")))))
-    rows = sentences.select("report_id", "sent_no", words.alias("w")).withColumn("p", F.explode(places))
-    value = F.regexp_replace(F.array_join(F.slice("w", F.col("p.begin") + 1, F.col("p.size")), " "), r"[,.;!?]+$", "")
+def _bare(c: Column) -> Column:
+    """Without signs at the end."""
+    return F.regexp_replace(c, r"[,.;!?]+$", "")
+
+
+def occurrences(sentences: DataFrame, dictionary: DataFrame, small: bool) -> DataFrame:
+    """Word windows that begin as a value of the dictionary does and are as long; signs at the end of a window do not count.
+
+    Each word is looked up among the first words of values, which tells how long windows from there may be; only those are cut out.
+    """
+    sizes = dictionary.groupBy(_bare(F.element_at(F.split("value", " "), 1)).alias("first")).agg(F.array_sort(F.collect_set("tokens")).alias("sizes"))
+    rows = sentences.select("report_id", "sent_no", F.split("text", "[ \t]+").alias("w"))
+    places = rows.select("report_id", "sent_no", F.posexplode(F.transform("w", _bare)).alias("begin", "first")).join(F.broadcast(sizes) if small else sizes, "first")
+    places = places.select("report_id", "sent_no", "begin", F.explode("sizes").alias("size"))
+    # The words of a sentence are fetched once for all its places.
+    places = places.groupBy("report_id", "sent_no").agg(F.collect_list(F.struct("begin", "size")).alias("p"))
+    rows = rows.join(places, ["report_id", "sent_no"]).select("report_id", "sent_no", "w", F.explode("p").alias("p")).where(F.col("p.begin") + F.col("p.size") <= F.size("w"))
+    value = _bare(F.array_join(F.slice("w", F.col("p.begin") + 1, F.col("p.size")), " "))
     return rows.select("report_id", "sent_no", "p.begin", "p.size", value.alias("value"))
 
 
@@ -47,10 +59,10 @@ def propagate(sentences: DataFrame, dictionary: DataFrame, seeds: DataFrame) ->
     The dictionary is broadcast while it is small, which is checked; a larger one is joined by a shuffle, whose hot values
     Spark may split. Overlapping values: the longest first, then the leftmost.
     """
-    n, most = dictionary.agg(F.count("*"), F.max("tokens")).first()
+    small = dictionary.count() < BROADCAST_VALUES
     free = sentences.join(seeds.select("report_id", "sent_no").distinct(), ["report_id", "sent_no"], "left_anti")
     table = dictionary.select("value", "entity")
-    hits = occurrences(free, most or 1).join(F.broadcast(table) if n < BROADCAST_VALUES else table, "value")
+    hits = occurrences(free, dictionary, small).join(F.broadcast(table) if small else table, "value")
     groups = hits.groupBy("report_id", "sent_no").agg(longest_first(F.collect_list(F.struct("begin", "size", "entity", "value"))).alias("spans"))
     return groups.select("report_id", "sent_no", F.explode("spans").alias("s")).select("report_id", "sent_no", "s.*")
 

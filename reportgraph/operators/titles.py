@@ -66,32 +66,47 @@ def neighbour_pairs(points: DataFrame, eps: float, id_col: str = "id", vec_col:
     return blocks.select("lc", "lb", "lp", "rc", "rb", "rp").mapInPandas(compare, "a long, b long, distance double")
 
 
+def nearest(points: DataFrame, k: int, id_col: str = "id", vec_col: str = "vector", block: int = 4096) -> DataFrame:
+    """``id, other, distance, rank`` of the ``k`` nearest other points, exactly (ties: the smaller id).
+
+    Points are dealt to blocks by hash, and each pair of blocks is one task, which holds two blocks and gives back ``k`` rows for each
+    point of the first; so nothing is collected, and every point is sent to as many tasks as there are blocks.
+    """
+    pts = points.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
+    blocks = max(1, -(-pts.count() // block))
+    own = F.pmod(F.xxhash64("id"), F.lit(blocks))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))
+    asks = pts.select(own.alias("a"), every.alias("b"), F.lit(True).alias("asks"), "id", "v")
+    rows = asks.unionByName(pts.select(every.alias("a"), own.alias("b"), F.lit(False).alias("asks"), "id", "v"))
+
+    def compare(pdf: pd.DataFrame) -> pd.DataFrame:
+        q, c = pdf[pdf["asks"]], pdf[~pdf["asks"]].sort_values("id")
+        if not len(q) or not len(c):
+            return pd.DataFrame({"id": [], "other": [], "distance": []}).astype({"id": "int64", "other": "int64"})
+        ids, x = c["id"].to_numpy(), np.stack(c["v"])
+        length, out = (x**2).sum(1), []
+        for s in range(0, len(q), 512):
+            mine, y = q["id"].to_numpy()[s : s + 512], np.stack(q["v"].iloc[s : s + 512])
+            d = (y**2).sum(1)[:, None] + length[None] - 2 * y @ x.T
+            d[mine[:, None] == ids[None]] = np.inf
+            # A few more than k are measured again without the loss of digits that the product form has.
+            at = np.argpartition(d, min(k + 8, len(ids)) - 1, axis=1)[:, : k + 8]
+            exact = np.sqrt(((y[:, None, :] - x[at]) ** 2).sum(-1))
+            exact[mine[:, None] == ids[at]] = np.inf
+            order = np.lexsort((ids[at], exact), axis=1)[:, :k]
+            rank = np.arange(len(mine))[:, None]
+            out.append(pd.DataFrame({"id": np.repeat(mine, order.shape[1]), "other": ids[at[rank, order]].ravel(), "distance": exact[rank, order].ravel()}))
+        got = pd.concat(out)
+        return got[np.isfinite(got["distance"])]
+
+    got = rows.groupBy("a", "b").applyInPandas(compare, "id long, other long, distance double")
+    w = Window.partitionBy("id").orderBy("distance", "other")
+    return got.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+
+
 def k_distances(points: DataFrame, k: int, id_col: str = "id", vec_col: str = "vector", block: int = 4096) -> DataFrame:
-    """``id, k_distance`` to the k-th nearest other point, by blocks of queries broadcast in turn."""
-    pts = points.select(F.col(id_col).alias("id"), F.col(vec_col).alias("v"))
-    n = pts.count()
-    parts = max(1, -(-n // block))
-    out = None
-    for b in range(parts):
-        rows = pts.where(F.pmod(F.xxhash64("id"), F.lit(parts)) == b).collect()
-        shared = pts.sparkSession.sparkContext.broadcast((np.array([r["id"] for r in rows], np.int64), np.array([r["v"] for r in rows], np.float64)))
-
-        def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
-            ids, q = shared.value
-            best = np.full((len(ids), k), np.inf)
-            for part in batches:
-                x = np.stack(part["v"]).astype(np.float64)
-                other = part["id"].to_numpy()
-                for s in range(0, len(x), 256):
-                    d = np.sqrt(((q[:, None, :] - x[None, s : s + 256, :]) ** 2).sum(-1))
-                    d[ids[:, None] == other[None, s : s + 256]] = np.inf
-                    best = np.sort(np.concatenate([best, d], 1), 1)[:, :k]
-            yield pd.DataFrame({"id": np.repeat(ids, k), "d": best.ravel()})
-
-        got = pts.mapInPandas(run, "id long, d double").where(F.col("d") < float("inf"))
-        out = got if out is None else out.unionByName(got)
-    w = Window.partitionBy("id").orderBy("d")
-    return out.withColumn("r", F.row_number().over(w)).where(F.col("r") == k).select("id", F.col("d").alias("k_distance"))
+    """``id, k_distance`` to the k-th nearest other point."""
+    return nearest(points, k, id_col, vec_col, block).where(F.col("rank") == k).select("id", F.col("distance").alias("k_distance"))
 
 
 def elbow(distances: DataFrame) -> DataFrame:

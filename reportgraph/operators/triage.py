@@ -99,11 +99,14 @@ class KNearest:
 
         def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             x, y = shared.value
+            length = (x**2).sum(1)
             for p in parts:
-                q = np.stack(p["x"])
-                d = (q**2).sum(1)[:, None] + (x**2).sum(1)[None] - 2 * q @ x.T
-                near = y[np.argsort(d, axis=1, kind="stable")[:, :k]]
-                votes = [max(sorted(set(r)), key=list(r).count) for r in near]
+                votes: list[float] = []
+                for s in range(0, len(p), 512):
+                    q = np.stack(p["x"].iloc[s : s + 512])
+                    d = length[None] - 2 * q @ x.T  # the query's own length does not change the order
+                    near = np.argpartition(d, min(k, len(x)) - 1, axis=1)[:, :k]
+                    votes.extend(max(sorted(set(r)), key=list(r).count) for r in y[near])
                 yield pd.DataFrame({"report_id": p["report_id"], "label": p["label"], "prediction": votes})
 
         return rows.select("report_id", "label", vector_to_array("features", "float32").alias("x")).mapInPandas(run, "report_id long, label double, prediction double")

@@ -98,26 +98,24 @@ add("tagger_loss", lambda s, d: s.createDataFrame([(k, i, round(x, 6)) for k in
 
 @kept
 def title_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return checkpointed(titles.embed(titles.distinct_titles(corpus.order_reports(spark, sf_dir)), dim=32))
+    return checkpointed(titles.embed(titles.distinct_titles(corpus.order_reports(spark, sf_dir)), dim=100))
+
+
+#: Neighbours of the k-distance curve, which is also the least weight around a core.
+NEAR = 4
 
 
 @kept
 def title_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``report_id, cluster_id`` of all reports, by their titles."""
     pts = title_points(spark, sf_dir)
-    eps = titles.elbow(titles.k_distances(pts, 3)).first()["eps"]
-    c = titles.dbscan(pts, max(float(eps or 0), 1e-6), 3, weight_col="weight")
+    eps = titles.elbow(titles.k_distances(pts, NEAR)).first()["eps"]
+    c = titles.dbscan(pts, max(float(eps or 0), 1e-6), NEAR, weight_col="weight")
     named = pts.select("id", "title").join(c, "id")
     reports = corpus.order_reports(spark, sf_dir).select("report_id", F.lower(F.trim(F.regexp_replace("title", r"\s+", " "))).alias("title"))
     return checkpointed(reports.join(named, "title").select("report_id", "cluster_id"))
 
 
-@kept
-def topic_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Reports by the number of their title's template, for checks that do not hang on the clustering."""
-    return corpus.order_reports(spark, sf_dir).select("report_id", (F.col("report_id") % 6).cast("int").alias("cluster_id"))
-
-
 def _emb(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("vector"))
 
@@ -132,17 +130,20 @@ add("dbscan_embeddings", lambda s, d: titles.dbscan(_emb(s, d), EPS, MIN_PTS), f
  reach AS (SELECT id, id AS other FROM core UNION SELECT r.id, n.b FROM reach r JOIN near n ON r.other = n.a JOIN core c ON c.id = n.b), cl AS (SELECT id, min(other) AS cluster_id FROM reach GROUP BY id),
  border AS (SELECT n.a AS id, arg_min(cluster_id, (n.d, n.b)) AS cluster_id FROM near n JOIN cl ON n.b = cl.id WHERE n.a NOT IN (SELECT id FROM core) GROUP BY n.a)
  SELECT e.id, coalesce(cl.cluster_id, border.cluster_id, -1) AS cluster_id FROM e LEFT JOIN cl ON e.id = cl.id LEFT JOIN border ON e.id = border.id""")
-add("dbscan_titles", lambda s, d: title_clusters(s, d).groupBy("cluster_id").agg(F.count("*").alias("reports")))
-add("dbscan_titles_summary", lambda s, d: rounded(metrics.cluster_summary(title_clusters(s, d).withColumn("topic", F.col("report_id") % 6), "topic")))
-_TOPIC = "topic AS (SELECT k AS report_id, (k % 6)::INTEGER AS cluster_id FROM base), tops AS (SELECT cluster_id, entity, count(*) AS freq, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, entity)::INTEGER AS rank FROM mentions JOIN topic USING (report_id) GROUP BY cluster_id, entity QUALIFY rank <= 5)"
+#: The templates of the titles are the clusters to be found; a cluster is named by the first report of its first title.
+_OF_TITLE = "topic AS (SELECT k AS report_id, min(k) OVER (PARTITION BY k % 6) AS cluster_id FROM base)"
+add("title_clusters", lambda s, d: title_clusters(s, d), chain("SELECT report_id, cluster_id FROM topic", _OF_TITLE))
+add("dbscan_titles", lambda s, d: title_clusters(s, d).groupBy("cluster_id").agg(F.count("*").alias("reports")), chain("SELECT cluster_id, count(*) AS reports FROM topic GROUP BY cluster_id", _OF_TITLE))
+add("dbscan_titles_summary", lambda s, d: rounded(metrics.cluster_summary(title_clusters(s, d).withColumn("topic", F.col("report_id") % 6), "topic")), chain("SELECT count(DISTINCT cluster_id) AS clusters, 0.0::DOUBLE AS noise_share, 1.0::DOUBLE AS purity FROM topic", _OF_TITLE))
+_TOPIC = _OF_TITLE + ", tops AS (SELECT cluster_id, entity, count(*) AS freq, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, entity)::INTEGER AS rank FROM mentions JOIN topic USING (report_id) GROUP BY cluster_id, entity QUALIFY rank <= 5)"
 _PRIM = "prim AS (SELECT cluster_id, arg_min(entity, rank) AS entity FROM tops WHERE entity IN (SELECT src FROM two_way) GROUP BY cluster_id)"
-add("cluster_top_entities", lambda s, d: recommend.cluster_entities(mined(s, d).mentions, topic_clusters(s, d)), chain("SELECT cluster_id, rank, entity, freq FROM tops", _TOPIC))
-add("frequency_only_ranking", lambda s, d: recommend.frequency_only(mined(s, d).mentions, topic_clusters(s, d), 10), chain("SELECT cluster_id, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, entity)::INTEGER AS rank, entity, count(*) AS freq FROM mentions JOIN topic USING (report_id) GROUP BY cluster_id, entity QUALIFY rank <= 10", _TOPIC))
+add("cluster_top_entities", lambda s, d: recommend.cluster_entities(mined(s, d).mentions, title_clusters(s, d)), chain("SELECT cluster_id, rank, entity, freq FROM tops", _TOPIC))
+add("frequency_only_ranking", lambda s, d: recommend.frequency_only(mined(s, d).mentions, title_clusters(s, d), 10), chain("SELECT cluster_id, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, entity)::INTEGER AS rank, entity, count(*) AS freq FROM mentions JOIN topic USING (report_id) GROUP BY cluster_id, entity QUALIFY rank <= 10", _TOPIC))
 
 
 @kept
 def _primaries(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return checkpointed(recommend.primary(recommend.cluster_entities(mined(spark, sf_dir).mentions, topic_clusters(spark, sf_dir)), mined(spark, sf_dir).edges))
+    return checkpointed(recommend.primary(recommend.cluster_entities(mined(spark, sf_dir).mentions, title_clusters(spark, sf_dir)), mined(spark, sf_dir).edges))
 
 
 @kept
@@ -161,12 +162,11 @@ add("recommended_entities", lambda s, d: rounded(recommend.top_k(_primaries(s, d
 def _title_recommendations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """New titles to the nearest cluster's stored list."""
     pts = title_points(spark, sf_dir)
-    first = topic_clusters(spark, sf_dir).withColumnRenamed("report_id", "id")
-    centres = recommend.centroids(pts, first)
+    centres = recommend.centroids(pts, title_clusters(spark, sf_dir).withColumnRenamed("report_id", "id"))
     return recommend.nearest_cluster(pts, centres).join(recommend.top_k(_primaries(spark, sf_dir), _scores(spark, sf_dir)), "cluster_id").select("id", "cluster_id", "rank", "entity")
 
 
-add("title_recommendations", _title_recommendations)
+add("title_recommendations", _title_recommendations, chain(f"SELECT n.k AS id, n.cluster_id, row_number() OVER (PARTITION BY n.k ORDER BY CASE WHEN hops = 0 THEN 1.0 ELSE total / hops END DESC, target)::INTEGER AS rank, target AS entity FROM (SELECT min(k) AS k, min(cluster_id) AS cluster_id FROM (SELECT k, {corpus.TITLE} AS title FROM base) b JOIN topic ON topic.report_id = b.k GROUP BY title) n JOIN prim ON prim.cluster_id = n.cluster_id JOIN best ON prim.entity = best.source QUALIFY rank <= 5", _TOPIC, _PRIM, _WALKS, _BEST))
 
 
 def _nearest_centroid(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -211,11 +211,8 @@ add("knn_exact", lambda s, d: _knn(s, d), f"WITH {_PAIRS}, near AS (SELECT a, b
 
 def _knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Majority label of the five nearest embeddings, itself left out (ties: the smaller label)."""
-    e = _emb(spark, sf_dir)
-    pairs = titles.neighbour_pairs(e, 4.0)  # unit vectors are never farther apart than 2
-    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"), "distance"))
-    near = both.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy("distance", "b"))).where("r <= 5")
-    votes = near.join(read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("b"), "label"), "b").groupBy(F.col("a").alias("id"), "label").agg(F.count("*").alias("c"))
+    near = titles.nearest(_emb(spark, sf_dir), 5)
+    votes = near.join(read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("other"), "label"), "other").groupBy("id", "label").agg(F.count("*").alias("c"))
     return votes.groupBy("id").agg(F.min(F.struct((-F.col("c")).alias("c"), "label"))["label"].alias("prediction"))
 
 

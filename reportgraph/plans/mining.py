@@ -48,12 +48,21 @@ def mine(reports: DataFrame, k: int = K, scope: str = "sentence", propagation: b
     return Mined(sentences, candidates, types, seeds, value_types, dictionary, propagated, mentions, scored, graph.type_graph(relations.keep(scored)))
 
 
-_MINED: dict[tuple[str, str], Mined] = {}
+_MINED: dict[tuple, Mined] = {}
+
+
+def state_of(spark: SparkSession, sf_dir: str) -> tuple:
+    """Names, sizes and times of the files that reports are made of, by which a kept result is known to be of these data."""
+    out = []
+    for name in ("orders", "customer", "pages", "benchmark"):
+        files = read_table(spark, sf_dir, name).select("_metadata.file_path", "_metadata.file_size", F.col("_metadata.file_modification_time").cast("string").alias("t"))
+        out.append(files.agg(F.max(F.struct("t", "file_path", "file_size")).cast("string"), F.count("*")).first())
+    return tuple(tuple(r) for r in out)
 
 
 def mined(spark: SparkSession, sf_dir: str) -> Mined:
     """The chain over the order reports of a folder, kept for the session."""
-    key = (spark.sparkContext.applicationId, sf_dir)
+    key = (spark.sparkContext.applicationId, sf_dir, state_of(spark, sf_dir))
     if key not in _MINED:
         _MINED.clear()
         _MINED[key] = mine(corpus.order_reports(spark, sf_dir))
