@@ -351,8 +351,8 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
     """``(src, dst)`` nodes of different groups (``own``) that may have a similarity of ``least``; none that has is left out.
 
     ``sets`` has a distinct ``node``, ``own``, the number of its keys ``n`` and the keys of its ``prefix`` as bytes.
-    Two such sets share a key of their prefixes; at the first one they share, as many keys as they have to share must
-    follow in both.
+    The keys that two prefixes share are counted. Up to where the first of two prefixes ends these are all keys that the sets
+    share, and after it they share no more than that set has left; so a pair is kept only if both together may be enough.
     """
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -368,12 +368,12 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         columns = ([b.column(i).to_numpy(zero_copy_only=False) for i in range(5)] for b in batches)
-        out: list[tuple[np.ndarray, np.ndarray]] = []
+        out: list[tuple[np.ndarray, ...]] = []
         size = 0
 
         def batch() -> pa.RecordBatch:
-            src, dst = (np.concatenate([x[i] for x in out] or [np.zeros(0, np.int64)]) for i in range(2))
-            return pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], names=["src", "dst"])
+            parts = [np.concatenate([x[i] for x in out] or [np.zeros(0, np.int64)]) for i in range(4)]
+            return pa.RecordBatch.from_arrays([pa.array(parts[0]), pa.array(parts[1]), pa.array(parts[2].astype(np.int32)), pa.array(parts[3].astype(np.int32))], names=["src", "dst", "n1", "n2"])
 
         for (_, node, own, n, left), bounds in _whole_runs(columns):
             starts = np.concatenate([[0], bounds])
@@ -388,10 +388,13 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
                 while k < z - a:
                     e = int(min(after[k], k + max(1, (1 << 20) // max(1, z - a - after[k]))))  # rows of one group
                     rest = slice(int(after[k]), z - a)
-                    ok = np.minimum(r[k:e, None], r[rest]) * (1 + least) >= least * (m[k:e, None] + m[rest]) - 1e-6
-                    i, j = np.nonzero(ok)
+                    # At most as many keys are shared as come before in both and, from here on, as are left in both.
+                    most = np.minimum((m - r)[k:e, None], (m - r)[rest]) + np.minimum(r[k:e, None], r[rest])
+                    i, j = np.nonzero(most * (1 + least) >= least * (m[k:e, None] + m[rest]) - 1e-6)
                     if len(i):
-                        out.append((node[order[k + i]], node[order[int(after[k]) + j]]))
+                        x, y = order[k + i], order[int(after[k]) + j]
+                        x, y = np.where(node[x] < node[y], x, y), np.where(node[x] < node[y], y, x)
+                        out.append((node[x], node[y], n[x], n[y]))
                         size += len(i)
                     if size > 100_000:
                         yield batch()
@@ -401,8 +404,11 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
 
     rows = sets.select("node", "own", "n", "prefix").where("n > 0").mapInArrow(spread, "key long, node long, own long, n int, left int")
     parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    pairs = rows.repartition(parts, "key").sortWithinPartitions("key").mapInArrow(compare, "src long, dst long")
-    return pairs.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
+    pairs = rows.repartition(parts, "key").sortWithinPartitions("key").mapInArrow(compare, "src long, dst long, n1 int, n2 int")
+    pairs = pairs.groupBy("src", "dst", "n1", "n2").agg(F.count("*").alias("shared"))
+    after = lambda n: F.ceil(least * F.col(n) - 1e-9) - 1  # noqa: E731 - keys after a prefix
+    enough = least / (1 + least) * (F.col("n1") + F.col("n2")) - 1e-6
+    return pairs.where(F.col("shared") + F.greatest(after("n1"), after("n2")) >= enough).select("src", "dst")
 
 
 def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
