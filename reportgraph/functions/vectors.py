@@ -41,6 +41,25 @@ def mean_vector(words: list[str], dim: int, table: dict | None = None) -> np.nda
     return np.mean([table[w] if table and w in table else word_vector(w, dim) for w in words], axis=0)
 
 
+def load_vectors(path: str, dim: int | None = None) -> dict[str, np.ndarray]:
+    """Word vectors of a text file, one word and its numbers a line; a first line with the counts alone is left out."""
+    out: dict[str, np.ndarray] = {}
+    with open(path, encoding="utf-8") as f:
+        for line in f:
+            word, *numbers = line.rstrip().split(" ")
+            if len(numbers) > 1 and (dim is None or len(numbers) == dim):
+                out[word] = np.array(numbers, np.float64)
+    return out
+
+
+def vector_table(model, top: int = 200_000) -> dict[str, np.ndarray]:
+    """Words and vectors of a trained model, which has its vocabulary on the driver already; unit length on average."""
+    rows = model.getVectors().limit(top).collect()
+    table = {r["word"].lower(): np.array(r["vector"].toArray()) for r in sorted(rows, key=lambda r: r["word"])}
+    size = np.mean([np.sqrt((v**2).mean()) for v in table.values()]) if table else 1.0
+    return {w: v / max(size, 1e-9) for w, v in table.items()}
+
+
 def train_word2vec(sentences: DataFrame, tokens_col: str = "tokens", dim: int = 100, iterations: int = 1, min_count: int = 3, seed: int = 7):
     """Skip-gram vectors of the corpus; its vocabulary is what has to fit on the driver."""
     from pyspark.ml.feature import Word2Vec

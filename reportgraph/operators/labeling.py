@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from reportgraph.functions.text import TYPES, split_camel, value_type
+from reportgraph.functions.text import TYPES, split_camel, tokenize, value_type
 from reportgraph.operators.hot import join_hot
 from reportgraph.sources.io import checkpointed
 
@@ -94,23 +94,43 @@ def entity_value_types(mentions: DataFrame) -> DataFrame:
     return best.select("entity", F.col("b.t").alias("value_type"), (-F.col("b.c")).alias("support"), "freq")
 
 
-def encode(sentences: DataFrame, mentions: DataFrame, types: DataFrame, scheme: str = "bio") -> DataFrame:
-    """``report_id, sent_no, tokens, entity_tags, type_tags``: tags for both tasks, of equal length.
+def token_rows(sentences: DataFrame, tokens: str = "words") -> DataFrame:
+    """``report_id, sent_no, tokens, starts, part``: tokens of sentences, whether a blank stands before each, and in which part between blanks it is.
 
-    ``mentions`` has ``begin`` and ``size`` in blank-parted tokens from 0. Sentences without a mention have only outside tags.
+    ``tokens``: 'words' parts camel case and signs, which stay as tokens, and keeps addresses and the like whole; 'no separators' is
+    the same without signs; 'blanks' cuts at blanks only. A part without tokens stays as one.
+    """
+    parts = F.split("text", "[ \t]+")
+    one = lambda p: F.array(p)
+    if tokens != "blanks":
+        cut = lambda p: tokenize(p, separators=tokens == "words")
+        one = lambda p: F.when(F.size(cut(p)) > 0, cut(p)).otherwise(F.array(p))
+    rows = sentences.select("report_id", "sent_no", F.transform(parts, one).alias("parts"))
+    return rows.select(
+        "report_id", "sent_no", F.flatten("parts").alias("tokens"),
+        F.flatten(F.transform("parts", lambda p: F.transform(p, lambda t, i: i == 0))).alias("starts"),
+        F.flatten(F.transform("parts", lambda p, k: F.transform(p, lambda t: k))).alias("part"),
+    )
+
+
+def encode(sentences: DataFrame, mentions: DataFrame, types: DataFrame, scheme: str = "bio", tokens: str = "words") -> DataFrame:
+    """``report_id, sent_no, tokens, starts, entity_tags, type_tags``: tags for both tasks, of equal length.
+
+    ``mentions`` has ``begin`` and ``size`` in parts between blanks from 0, which ``token_rows`` cuts into tokens. Sentences
+    without a mention have only outside tags.
     """
     spans = mentions.join(F.broadcast(types.select("entity", "value_type")), "entity").groupBy("report_id", "sent_no").agg(F.collect_list(F.struct("begin", "size", "entity", "value_type")).alias("spans"))
-    rows = sentences.select("report_id", "sent_no", F.split("text", "[ \t]+").alias("tokens")).join(spans, ["report_id", "sent_no"], "left")
+    rows = token_rows(sentences, tokens).join(spans, ["report_id", "sent_no"], "left")
 
     def tags(field: str) -> Column:
-        def one(i: Column) -> Column:
+        def one(i: Column, first: Column) -> Column:
             hit = F.filter(F.coalesce(F.col("spans"), F.array().cast("array<struct<begin:int,size:int,entity:string,value_type:string>>")), lambda s: (s["begin"] <= i) & (i < s["begin"] + s["size"]))
-            lead = F.when(hit[0]["begin"] == i, F.lit("B-")).otherwise(F.lit("I-")) if scheme == "bio" else F.lit("")
+            lead = F.when((hit[0]["begin"] == i) & first, F.lit("B-")).otherwise(F.lit("I-")) if scheme == "bio" else F.lit("")
             return F.when(F.size(hit) > 0, F.concat(lead, hit[0][field])).otherwise("O")
 
-        return F.transform(F.sequence(F.lit(0), F.size("tokens") - 1), one)
+        return F.zip_with("part", "starts", one)
 
-    return rows.select("report_id", "sent_no", "tokens", tags("entity").alias("entity_tags"), tags("value_type").alias("type_tags"))
+    return rows.select("report_id", "sent_no", "tokens", "starts", tags("entity").alias("entity_tags"), tags("value_type").alias("type_tags"))
 
 
 def temporal_split(df: DataFrame, time_col: str, test_share: float = 0.2) -> DataFrame:

@@ -7,12 +7,13 @@ import functools
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from reportgraph.operators import labeling, metrics, propagate, recommend, service, titles, triage
-from reportgraph.plans.mining import mined, rounded
+from reportgraph.functions.vectors import train_word2vec, vector_table
+from reportgraph.operators import graph, labeling, metrics, propagate, recommend, relations, service, titles, triage
+from reportgraph.plans.mining import TRUE_PAIRS, mined, rounded, state_of
 from reportgraph.plans.oracles import chain
 from reportgraph.sources import corpus
 from reportgraph.sources.io import checkpointed, read_table
-from reportgraph.streaming.streams import STREAMS
+from reportgraph.streaming.streams import STREAMS, auto_trigger
 from reportgraph.tagger import model as tagger
 from reportgraph.tagger import train
 
@@ -31,7 +32,7 @@ def kept(f):
 
     @functools.wraps(f)
     def once(spark: SparkSession, sf_dir: str, *args):
-        key = (f.__name__, spark.sparkContext.applicationId, sf_dir, *args)
+        key = (f.__name__, spark.sparkContext.applicationId, sf_dir, state_of(spark, sf_dir), *args)
         if key not in _KEPT:
             _KEPT[key] = f(spark, sf_dir, *args)
         return _KEPT[key]
@@ -39,59 +40,134 @@ def kept(f):
     return once
 
 
-# --- taggers: reduced sizes; labels from the patterns and propagation, test reports strictly later
-DIM, HIDDEN = 24, 16
+# --- taggers: labels from the patterns and propagation, test reports strictly later
+#: Published widths of word vectors and of each direction's cells.
+DIM, HIDDEN = 100, 200
+#: Sizes of the ablations, which train several models each.
+SMALL = (32, 24)
+SENTENCES, ROUNDS = 1600, 2
 
 
 @kept
-def sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Tag sequences of the sentences with mentions, split in time."""
+def sequences(spark: SparkSession, sf_dir: str, tokens: str = "words") -> DataFrame:
+    """Tag sequences of all sentences, split in time."""
     m = mined(spark, sf_dir)
     placed = propagate.seed_places(m.seeds, m.sentences).unionByName(m.propagated)
-    rows = labeling.encode(m.sentences, placed, m.value_types)
+    rows = labeling.encode(m.sentences, placed, m.value_types, tokens=tokens)
     when = labeling.temporal_split(corpus.order_reports(spark, sf_dir).select("report_id", "modified_at"), "modified_at").select("report_id", "part")
     return checkpointed(rows.join(when, "report_id"))
 
 
 @kept
-def fitted(spark: SparkSession, sf_dir: str, kind: str) -> tuple[tagger.Tagger, list[float]]:
-    m = mined(spark, sf_dir)
-    types = m.value_types.collect()  # at most K rows
+def trained_vectors(spark: SparkSession, sf_dir: str, dim: int = DIM) -> dict:
+    """Word vectors of the tokens of the earlier reports."""
+    rows = sequences(spark, sf_dir).where("part = 'train'").select(F.transform("tokens", F.lower).alias("tokens"))
+    return vector_table(train_word2vec(rows, dim=dim, min_count=3))
+
+
+@kept
+def fitted(spark: SparkSession, sf_dir: str, kind: str, tokens: str = "words", weight: float = 0.5, small: bool = False, vectors: bool = False) -> tuple[tagger.Tagger, list[float]]:
+    types = mined(spark, sf_dir).value_types.collect()  # at most K rows
     ent = ("O", *[f"{p}-{e}" for e in sorted(r["entity"] for r in types) for p in "BI"])
     typ = ("O", *[f"{p}-{t}" for t in sorted({r["value_type"] for r in types}) for p in "BI"])
-    make = {"plain": lambda: tagger.plain_tagger(DIM, HIDDEN, ent), "attention": lambda: tagger.attention_tagger(DIM, HIDDEN, ent), "joint": lambda: tagger.joint_tagger(DIM, HIDDEN, ent, typ)}[kind]
-    return train.fit(sequences(spark, sf_dir).where("part = 'train'"), make(), max_sentences=1200, rounds=2)
+    dim, hidden = SMALL if small else (DIM, HIDDEN)
+    table = trained_vectors(spark, sf_dir, dim) if vectors else None
+    make = {
+        "plain": lambda: tagger.plain_tagger(dim, hidden, ent, vectors=table),
+        "attention": lambda: tagger.attention_tagger(dim, hidden, ent, vectors=table),
+        "joint": lambda: tagger.joint_tagger(dim, hidden, ent, typ, loss_weights=(1.0, weight), vectors=table),
+    }[kind]
+    rate = 0.02 if small else 0.005
+    return train.fit(sequences(spark, sf_dir, tokens).where("part = 'train'"), make(), max_sentences=SENTENCES, rounds=ROUNDS, rate=rate)
 
 
 @kept
-def predicted(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
-    test = sequences(spark, sf_dir).where("part = 'test'")
-    got = train.tag(test, fitted(spark, sf_dir, kind)[0])
+def predicted(spark: SparkSession, sf_dir: str, kind: str, tokens: str = "words", weight: float = 0.5, small: bool = False, vectors: bool = False) -> DataFrame:
+    test = sequences(spark, sf_dir, tokens).where("part = 'test'")
+    got = train.tag(test, fitted(spark, sf_dir, kind, tokens, weight, small, vectors)[0])
     return checkpointed(test.join(got.select("report_id", "sent_no", "pred"), ["report_id", "sent_no"]))
 
 
-def tag_scores(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
-    rows = predicted(spark, sf_dir, kind)
+def tag_scores(spark: SparkSession, sf_dir: str, kind: str, *options) -> DataFrame:
+    rows = predicted(spark, sf_dir, kind, *options)
     z = F.explode(F.arrays_zip(F.col("entity_tags").alias("gold"), F.col("pred").alias("pred")))
     pairs = rows.select(z.alias("z")).select(F.regexp_replace("z.gold", "^[BI]-", "").alias("gold"), F.regexp_replace("z.pred", "^[BI]-", "").alias("pred"))
     return metrics.per_type(pairs)
 
 
-def tagger_eval(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Averages of the three taggers on the later reports."""
-    out = None
-    for kind in ("plain", "attention", "joint"):
-        row = metrics.averages(tag_scores(spark, sf_dir, kind)).withColumn("model", F.lit(kind))
-        out = row if out is None else out.unionByName(row)
-    return rounded(out)
+def compared(spark: SparkSession, sf_dir: str, models: dict[str, tuple]) -> DataFrame:
+    """Averages of models on the later reports."""
+    rows = [metrics.averages(tag_scores(spark, sf_dir, *options)).withColumn("model", F.lit(name)) for name, options in models.items()]
+    return rounded(functools.reduce(DataFrame.unionByName, rows))
 
 
 for _kind in ("plain", "attention", "joint"):
     add(f"tagger_{_kind}", lambda s, d, k=_kind: rounded(tag_scores(s, d, k)))
-add("tagger_eval", tagger_eval)
+add("tagger_eval", lambda s, d: compared(s, d, {k: (k,) for k in ("plain", "attention", "joint")}))
+add("tagger_trained_vectors", lambda s, d: compared(s, d, {"spelling": ("joint",), "trained": ("joint", "words", 0.5, False, True)}))
+add("ablation_separators", lambda s, d: compared(s, d, {t: ("joint", t, 0.5, True) for t in ("words", "no separators", "blanks")}))
+add("ablation_loss_weights", lambda s, d: compared(s, d, {f"{w}": ("joint", "words", w, True) for w in (0.0, 0.25, 0.5, 1.0)}))
 add("tagger_errors", lambda s, d: metrics.error_examples(train.mentions_of(predicted(s, d, "joint"), "entity_tags"), train.mentions_of(predicted(s, d, "joint"))))
 add("tagger_spans", lambda s, d: rounded(metrics.span_prf(train.mentions_of(predicted(s, d, "joint"), "entity_tags"), train.mentions_of(predicted(s, d, "joint")))))
 add("tagger_loss", lambda s, d: s.createDataFrame([(k, i, round(x, 6)) for k in ("plain", "attention", "joint") for i, x in enumerate(fitted(s, d, k)[1])], "model string, round int, loss double"))
+add("attention_shares", lambda s, d: rounded(train.attention_shares(sequences(s, d).where("part = 'test'").orderBy("report_id", "sent_no").limit(50), fitted(s, d, "joint")[0]).select("report_id", "sent_no", F.explode(F.arrays_zip("tokens", "shares")).alias("z")).select("report_id", "sent_no", F.col("z.tokens").alias("token"), F.col("z.shares").alias("share"))))
+
+
+# --- relations and graph from what the trained tagger finds
+@kept
+def model_mentions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mentions that the joint tagger finds in all reports, in patterns and in prose alike."""
+    return checkpointed(train.mentions_of(train.tag(sequences(spark, sf_dir), fitted(spark, sf_dir, "joint")[0])))
+
+
+@kept
+def model_relations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    m = model_mentions(spark, sf_dir)
+    scored = relations.score(relations.with_frequencies(relations.pairs(m), relations.frequencies(m)))
+    return checkpointed(scored.select("e1", "e2", "f1", "f2", "f_joint", "total", "npmi"))
+
+
+def model_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return graph.type_graph(relations.keep(model_relations(spark, sf_dir)))
+
+
+def _model_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Share of the gold mentions that the tagger finds in the later reports, by place."""
+    test = sequences(spark, sf_dir).where("part = 'test'").select("report_id").distinct()
+    gold = corpus.order_reports_gold(spark, sf_dir).join(test, "report_id").groupBy("report_id", "place", "entity", "value").agg(F.count("*").alias("g"))
+    found = model_mentions(spark, sf_dir).select("report_id", "entity", "value").distinct().withColumn("f", F.lit(1))
+    rows = gold.join(found, ["report_id", "entity", "value"], "left")
+    return rounded(rows.groupBy("place").agg(F.sum("g").alias("gold"), F.sum(F.when(F.col("f").isNotNull(), F.col("g")).otherwise(0)).alias("found")).withColumn("recall", F.col("found") / F.col("gold")))
+
+
+def _model_pair_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
+    good = F.concat_ws("|", "e1", "e2").isin(*["|".join(p) for p in TRUE_PAIRS])
+    ranked = model_relations(spark, sf_dir).withColumn("rank", F.row_number().over(Window.orderBy(F.desc("f_joint"), "e1", "e2"))).select("rank", good.alias("is_valid"))
+    return rounded(metrics.precision_at(ranked, metrics.PAIR_RANKS))
+
+
+def _model_graph_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    nodes, edges = graph.full_graph(corpus.order_reports(spark, sf_dir), model_mentions(spark, sf_dir), relations.keep(model_relations(spark, sf_dir)))
+    count = lambda df, what: df.groupBy("kind").agg(F.count("*").alias("n")).withColumn("what", F.lit(what))
+    return count(nodes, "node").unionByName(count(edges, "edge"))
+
+
+add("model_mentions", lambda s, d: model_mentions(s, d).groupBy("entity").agg(F.count("*").alias("mentions")))
+add("model_recall", _model_recall)
+add("model_pair_npmi", lambda s, d: rounded(model_relations(s, d)))
+add("model_pair_precision", _model_pair_precision)
+add("model_type_graph", lambda s, d: rounded(model_graph(s, d)))
+add("model_cliques", lambda s, d: rounded(graph.maximal_cliques(model_graph(s, d))))
+add("model_full_graph_counts", _model_graph_counts)
+add("model_recommended_entities", lambda s, d: rounded(_model_recommended(s, d)))
+
+
+def _model_recommended(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recommendations for the title clusters over the graph of the tagger's relations."""
+    g = checkpointed(model_graph(spark, sf_dir))
+    first = checkpointed(recommend.primary(recommend.cluster_entities(model_mentions(spark, sf_dir), title_clusters(spark, sf_dir)), g))
+    return recommend.top_k(first, recommend.relation_scores(first, g))
+
 
 # --- titles and recommendation
 
@@ -247,6 +323,9 @@ add("time_to_engage", lambda s, d: rounded(metrics.time_to_engage(read_table(s,
 # --- service and streams
 add("extract_json", lambda s, d: service.extract_json(mined(s, d).seeds), chain("""SELECT report_id, '[' || string_agg('{"entity":"' || entity || '","value":"' || value || '"}', ',' ORDER BY sent_no, entity, value) || ']' AS entities FROM seeds GROUP BY report_id"""))
 add("extract_by_id", lambda s, d: service.by_id(corpus.order_reports(s, d), mined(s, d).types, 25), chain("""SELECT report_id, '[' || string_agg('{"entity":"' || entity || '","value":"' || value || '"}', ',' ORDER BY sent_no, entity, value) || ']' AS entities FROM seeds WHERE report_id = 25 GROUP BY report_id"""))
+add("extract_json_model", lambda s, d: service.extract_json(service.extract_by_model(corpus.order_reports(s, d), fitted(s, d, "joint")[0])))
+add("extract_by_id_model", lambda s, d: service.by_id(corpus.order_reports(s, d), None, 25, fitted(s, d, "joint")[0]))
+add("stream_auto_trigger_model", lambda s, d: auto_trigger(s, d, model=fitted(s, d, "joint")[0]))
 add("feed_required_entities", lambda s, d: service.feed(mined(s, d).mentions, ("customer name", "source ip")), chain("SELECT report_id, min(CASE WHEN entity = 'customer name' THEN value END) AS customer_name, min(CASE WHEN entity = 'source ip' THEN value END) AS source_ip FROM mentions WHERE entity IN ('customer name', 'source ip') GROUP BY report_id HAVING count(DISTINCT entity) = 2"))
 
 
@@ -264,5 +343,20 @@ from reportgraph.functions.text import value_type_sql as _vt  # noqa: E402
 
 add("extract_udtf", _udtf, "WITH l AS (SELECT event_id AS report_id, unnest(string_split(" + corpus.EVENT_TEXT + " || chr(10) || 'Batch Key: ' || json_extract_string(props, '$.k'), chr(10))) AS s FROM events WHERE event_type = 'error') SELECT report_id, split_part(s, ': ', 1) AS name, split_part(s, ': ', 2) AS value FROM l")
 add("sql_functions", _sql_functions, f"SELECT o_orderkey, {_vt('o_orderpriority')} AS a, {_vt('o_orderkey::VARCHAR')} AS b, 'order Priority' AS c FROM orders")
+
+
+def _sql_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    service.register(spark)
+    return spark.sql("SELECT page_id, size(tokenize(url)) AS tokens, strip_markup(html) AS text, tag_json(concat('Page Url: ', url)) AS entities FROM {p}", p=read_table(spark, sf_dir, "pages"))
+
+
+def _npmi_aggregate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    service.register(spark)
+    return rounded(spark.sql("SELECT o_orderstatus, npmi_of(o_orderpriority = '1-URGENT', o_totalprice > 100000) AS npmi, npmi_of(o_orderkey % 2 = 0, o_orderkey % 4 = 0) AS nested FROM {o} GROUP BY o_orderstatus", o=read_table(spark, sf_dir, "orders")))
+
+
+_BOTH = "CASE WHEN count(*) FILTER ({a}) = 0 OR count(*) FILTER ({b}) = 0 THEN NULL WHEN count(*) FILTER ({a} AND {b}) = 0 THEN -1 ELSE round(ln(count(*) FILTER ({a} AND {b}) * count(*)::DOUBLE / (count(*) FILTER ({a}) * count(*) FILTER ({b})::DOUBLE)) / -ln(count(*) FILTER ({a} AND {b}) / count(*)::DOUBLE), 6) END"
+add("sql_functions_documents", _sql_documents, r"""SELECT page_id, len(regexp_extract_all(url, '[A-Za-z][A-Za-z0-9+.-]*://\S+'))::INTEGER AS tokens, trim(regexp_replace(regexp_replace(regexp_replace(html, '(?is)<script\b.*?</script\s*>|<style\b.*?</style\s*>|<!--.*?-->', ' ', 'g'), '<[^>]+>', ' ', 'g'), '\s+', ' ', 'g')) AS text, '[{"name":"Page Url","value":"' || url || '"}]' AS entities FROM pages""")
+add("npmi_aggregate", _npmi_aggregate, "SELECT o_orderstatus, " + _BOTH.format(a="o_orderpriority = '1-URGENT'", b="o_totalprice > 100000") + " AS npmi, " + _BOTH.format(a="o_orderkey % 2 = 0", b="o_orderkey % 4 = 0") + " AS nested FROM orders GROUP BY o_orderstatus")
 for _name, (_q, _sql) in STREAMS.items():
     add(_name, _q, _sql)

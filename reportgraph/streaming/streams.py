@@ -14,25 +14,33 @@ from reportgraph.sources.corpus import EVENT_TEXT
 from reportgraph.sources.io import read_table, shared_dir
 
 
-def event_stream(spark: SparkSession, sf_dir: str, watermark: str | None = "10 minutes") -> DataFrame:
-    """Events with ``ts`` as TIMESTAMP, which watermarks need."""
+def event_stream(spark: SparkSession, sf_dir: str, watermark: str | None = "10 minutes", path: str | None = None, files: int = 1000) -> DataFrame:
+    """Events with ``ts`` as TIMESTAMP, which watermarks need; of the table, or of files as they come to the folder ``path``, so many a batch."""
     schema = read_table(spark, sf_dir, "events").schema
-    s = spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parque[t]").withColumn("ts", F.col("ts").cast("timestamp"))
+    s = spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path or f"{sf_dir}/events.parque[t]").withColumn("ts", F.col("ts").cast("timestamp"))
     return s.withWatermark("ts", watermark) if watermark else s
 
 
-def run(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream over all that is available into Parquet under the shared folder, and reads it; complete mode keeps the last batch."""
+def run(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Runs a stream over all that is available into Parquet under the shared folder, and reads it.
+
+    Complete mode keeps the last batch. Update mode keeps, for each of the ``keys``, the row of the last batch that had one; batches are
+    written by number, so one that is tried again replaces itself.
+    """
     spark = stream.sparkSession
     base = f"{shared_dir(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
     if mode == "append":
         q = stream.writeStream.format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).outputMode("append").start()
     else:
         def put(batch: DataFrame, n: int) -> None:
-            batch.write.mode("overwrite").parquet(f"{base}/out")
+            batch.write.mode("overwrite").parquet(f"{base}/out/batch={n}" if mode == "update" else f"{base}/out")
 
         q = stream.writeStream.foreachBatch(put).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).outputMode(mode).start()
     q.awaitTermination()
+    if mode == "update":
+        rows = spark.read.parquet(f"{base}/out")
+        last = rows.groupBy(*keys).agg(F.max_by(F.struct(*stream.columns), "batch").alias("r"))
+        return last.select("r.*")
     return spark.read.schema(stream.schema).parquet(f"{base}/out")
 
 
@@ -76,16 +84,19 @@ def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run(a.join(b, F.expr("u = user_id AND ts >= t0 AND ts < t0 + INTERVAL 6 HOURS")).select("error_id", "login_id"))
 
 
-def auto_trigger(spark: SparkSession, sf_dir: str, teams: tuple[str, ...] = ("error", "login")) -> DataFrame:
-    """Candidates of the enabled teams' reports, by the same code as on tables."""
+def auto_trigger(spark: SparkSession, sf_dir: str, teams: tuple[str, ...] = ("error", "login"), model=None) -> DataFrame:
+    """Candidates of the enabled teams' reports, or a tagger's mentions in them, by the same code as on tables."""
     s = event_stream(spark, sf_dir, None)
     reports = s.select(F.col("event_id").alias("report_id"), F.expr(EVENT_TEXT).alias("description"), F.col("event_type").alias("team"))
-    return run(service.auto(reports, teams))
+    return run(service.auto(reports, teams, model))
+
 
+def life_cycle(spark: SparkSession, sf_dir: str, path: str | None = None, files: int = 1000) -> DataFrame:
+    """Incidents of each user opened by an error and closed by a login, kept as a count and an open flag in state.
 
-def life_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Incidents of each user opened by an error and closed by a login, kept as a count and an open flag in state."""
-    s = event_stream(spark, sf_dir, None).select("user_id", "ts", "event_id", "event_type")
+    Events of one batch are read in order of time; batches are taken to follow each other in time.
+    """
+    s = event_stream(spark, sf_dir, None, path, files).select("user_id", "ts", "event_id", "event_type")
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         is_open, closed = state.get if state.exists else (False, 0)
@@ -98,7 +109,21 @@ def life_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
         yield pd.DataFrame({"user_id": [key[0]], "is_open": [is_open], "closed": [closed]})
 
     out = s.groupBy("user_id").applyInPandasWithState(step, "user_id long, is_open boolean, closed long", "is_open boolean, closed long", "update", "NoTimeout")
-    return run(out, "update")
+    return run(out, "update", ("user_id",))
+
+
+def late_rows(spark: SparkSession, sf_dir: str, path: str | None = None, files: int = 1000) -> DataFrame:
+    """Rows of each type that came in time and that came later than the watermark of an hour allows, by the largest time of the batches before."""
+    s = event_stream(spark, sf_dir, None, path, files).select("event_type", "ts")
+    base = f"{shared_dir(spark).rstrip('/')}/late-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, n: int) -> None:
+        before = spark.read.parquet(f"{base}/out").where(F.col("batch") < n).agg(F.max("top")).first()[0] if n else None
+        late = F.lit(False) if before is None else F.col("ts") < F.lit(before) - F.expr("INTERVAL 1 HOUR")
+        batch.groupBy("event_type", late.alias("late")).agg(F.count("*").alias("n"), F.max("ts").alias("top")).write.mode("overwrite").parquet(f"{base}/out/batch={n}")
+
+    s.writeStream.foreachBatch(put).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{base}/out").groupBy("event_type", "late").agg(F.sum("n").alias("n"))
 
 
 STREAMS: dict[str, tuple[Callable, str | None]] = {
@@ -109,5 +134,9 @@ STREAMS: dict[str, tuple[Callable, str | None]] = {
     "stream_static_join": (static_join, "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey"),
     "stream_interval_join": (interval_join, "SELECT a.event_id AS error_id, b.event_id AS login_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts < a.ts + INTERVAL 6 HOURS WHERE a.event_type = 'error' AND b.event_type = 'login'"),
     "stream_auto_trigger": (auto_trigger, f"WITH l AS (SELECT event_id AS report_id, unnest(string_split({EVENT_TEXT}, chr(10))) AS s, unnest(range(0, 3)) AS sent_no FROM events WHERE event_type IN ('error', 'login')) SELECT report_id, sent_no::INTEGER AS sent_no, split_part(s, ': ', 1) AS name, split_part(s, ': ', 2) AS value, 'key_value' AS pattern FROM l"),
-    "stream_life_cycle": (life_cycle, None),
+    "stream_life_cycle": (life_cycle, """WITH e AS (SELECT user_id, ts, event_id, event_type FROM events WHERE event_type IN ('error', 'login')),
+ s AS (SELECT *, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after FROM e),
+ u AS (SELECT DISTINCT user_id FROM events)
+ SELECT user_id, coalesce(bool_or(after IS NULL AND event_type = 'error'), false) AS is_open, count(*) FILTER (event_type = 'login' AND before = 'error') AS closed FROM u LEFT JOIN s USING (user_id) GROUP BY user_id"""),
+    "stream_late_rows": (late_rows, "SELECT event_type, false AS late, count(*) AS n FROM events GROUP BY event_type"),
 }

@@ -60,8 +60,8 @@ def attention(h: np.ndarray, u: np.ndarray, mode: str = "reweight") -> tuple[np.
     return np.tanh(h.shape[1] * a[:, :, None] * h), a
 
 
-def attention_back(h: np.ndarray, u: np.ndarray, a: np.ndarray, r: np.ndarray, d_r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    d_in = d_r * (1 - r**2) * h.shape[1]
+def attention_back(h: np.ndarray, u: np.ndarray, a: np.ndarray, r: np.ndarray, d_r: np.ndarray, mode: str = "reweight") -> tuple[np.ndarray, np.ndarray]:
+    d_in = (d_r * (1 - r**2))[:, None, :] if mode == "pooled" else d_r * (1 - r**2) * h.shape[1]
     d_h = d_in * a[:, :, None]
     d_a = (d_in * h).sum(2)
     d_s = a * (d_a - (a * d_a).sum(1, keepdims=True))
@@ -79,6 +79,8 @@ class Tagger:
     loss_weights: tuple[float, ...] = (1.0,)
     seed: int = 7
     weights: dict[str, np.ndarray] = field(default_factory=dict)
+    #: Trained word vectors; words that they lack have vectors of their spelling.
+    vectors: dict[str, np.ndarray] | None = None
 
     def __post_init__(self):
         if self.weights:

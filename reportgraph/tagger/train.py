@@ -19,9 +19,22 @@ MAX_SENTENCES = 4000
 MAX_TOKENS = 300
 
 
-def token_matrix(tokens: list[str], dim: int) -> np.ndarray:
-    """Vectors of spelling, digits taken as one sign, so numbers of like shape are alike."""
-    return np.stack([word_vector(re.sub("[0-9]", "0", t), dim) for t in tokens])
+def token_matrix(tokens: list[str], dim: int, table: dict[str, np.ndarray] | None = None) -> np.ndarray:
+    """A token's vector of the table, else of its spelling, digits taken as one sign, so numbers of like shape are alike."""
+    return np.stack([table[t.lower()] if table and t.lower() in table else word_vector(re.sub("[0-9]", "0", t), dim) for t in tokens])
+
+
+def spelled(tokens: list[str], table: dict | None = None) -> tuple[str, ...]:
+    """What a model sees of tokens; sentences that differ in digits alone are one to it, and are decoded once."""
+    return tuple(t.lower() if table and t.lower() in table else re.sub("[0-9]", "0", t).lower() for t in tokens)
+
+
+def in_windows(sequences: DataFrame, max_len: int = MAX_TOKENS, stride: int = 250) -> DataFrame:
+    """Sequences of more than ``max_len`` tokens as windows that overlap, with their tags; others as they are, in window 0."""
+    n = F.size("tokens")
+    last = F.when(n <= max_len, 0).otherwise(F.ceil((n - max_len) / F.lit(stride)).cast("int"))
+    rows = sequences.withColumn("window", F.explode(F.sequence(F.lit(0), last)))
+    return rows.withColumns({c: F.slice(c, F.col("window") * stride + 1, F.lit(max_len)) for c in ("tokens", "entity_tags", "type_tags")})
 
 
 def batches_by_length(pdf: pd.DataFrame, size: int) -> Iterator[pd.DataFrame]:
@@ -38,12 +51,12 @@ def _flat(model: Tagger) -> list[tuple[str, list[int], list[float]]]:
 def fit(sequences: DataFrame, model: Tagger, rounds: int = 3, shards: int = 4, batch: int = 32, rate: float = 0.02, local_epochs: int = 2, max_sentences: int = MAX_SENTENCES) -> tuple[Tagger, list[float]]:
     """The model after ``rounds`` of averaging, and each round's mean loss.
 
-    ``sequences`` has tokens, entity_tags and type_tags. A shard is one task; per round it sends back one set of
+    ``sequences`` has tokens, entity_tags and type_tags; long ones are learned in windows. A shard is one task; per round it sends back one set of
     weights, so the driver holds ``shards`` models. Shards and batches are fixed by hash, so runs agree.
     """
-    rows = sequences.where((F.size("tokens") > 0) & (F.size("tokens") <= MAX_TOKENS)).withColumn("h", F.xxhash64("report_id", "sent_no"))
-    rows = rows.orderBy("h", "report_id", "sent_no").limit(max_sentences)
-    rows = rows.select("h", "report_id", "sent_no", "tokens", "entity_tags", "type_tags", F.pmod("h", F.lit(shards)).cast("int").alias("shard"))
+    rows = in_windows(sequences.where(F.size("tokens") > 0)).withColumn("h", F.xxhash64("report_id", "sent_no", "window"))
+    rows = rows.orderBy("h", "report_id", "sent_no", "window").limit(max_sentences)
+    rows = rows.select("h", "report_id", "sent_no", "window", "tokens", "entity_tags", "type_tags", F.pmod("h", F.lit(shards)).cast("int").alias("shard"))
     fields = ("entity_tags", "type_tags")
     losses = []
     # Each round reads the same bounded sample; it is written once.
@@ -56,10 +69,10 @@ def fit(sequences: DataFrame, model: Tagger, rounds: int = 3, shards: int = 4, b
         def local(pdf: pd.DataFrame) -> pd.DataFrame:
             own = replace(start, weights={k: v.copy() for k, v in start.weights.items()})
             index = [{t: i for i, t in enumerate(tags)} for tags in own.tags]
-            pdf = pdf.sort_values(["h", "report_id", "sent_no"])
+            pdf = pdf.sort_values(["h", "report_id", "sent_no", "window"])
             todo = []
             for part in batches_by_length(pdf, batch):
-                x = np.stack([token_matrix(list(t), own.dim) for t in part["tokens"]])
+                x = np.stack([token_matrix(list(t), own.dim, own.vectors) for t in part["tokens"]])
                 todo.append((x, [np.array([[index[k].get(t, 0) for t in row] for row in part[fields[k]]]) for k in range(len(own.tags))]))
             order, opt, total, n = np.random.default_rng(own.seed + r), Adam(rate / (1 + r)), 0.0, 0
             for _ in range(local_epochs):
@@ -85,8 +98,25 @@ def fit(sequences: DataFrame, model: Tagger, rounds: int = 3, shards: int = 4, b
     return model, losses
 
 
+def attention_shares(sentences: DataFrame, model: Tagger, task: int = 0) -> DataFrame:
+    """``report_id, sent_no, tokens, shares``: how much of a sentence's attention each token gets (none without attention)."""
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in parts:
+            shares = []
+            for tokens in pdf["tokens"]:
+                h = model.encode(token_matrix(list(tokens), model.dim, model.vectors)[None])[0] if len(tokens) else None
+                a = model.emissions(h, task)[2] if h is not None else None
+                shares.append([] if a is None else a[0].tolist())
+            yield pd.DataFrame({"report_id": pdf["report_id"], "sent_no": pdf["sent_no"], "tokens": pdf["tokens"], "shares": shares})
+
+    return sentences.select("report_id", "sent_no", "tokens").mapInPandas(run, "report_id long, sent_no int, tokens array<string>, shares array<double>")
+
+
 def tag(sentences: DataFrame, model: Tagger, batch: int = 256) -> DataFrame:
-    """``report_id, sent_no, tokens, pred``: the best entity tags of every sentence; a map over rows with the model along.
+    """``report_id, sent_no, tokens, starts, pred``: the best entity tags of every sentence; a map over rows with the model along.
+
+    Of the sentences of a batch that look alike to the model one is decoded.
 
     Sentences beyond ``MAX_TOKENS`` tokens are tagged in pieces of that size, so none is cut off.
     """
@@ -94,29 +124,35 @@ def tag(sentences: DataFrame, model: Tagger, batch: int = 256) -> DataFrame:
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = np.array(model.tags[0])
         for pdf in parts:
-            pieces = [(i, k, list(t[k : k + MAX_TOKENS])) for i, t in enumerate(pdf["tokens"]) for k in range(0, max(len(t), 1), MAX_TOKENS)]
-            frame = pd.DataFrame(pieces, columns=["row", "at", "tokens"])
-            found: dict[tuple[int, int], list[str]] = {(i, k): [] for i, k, t in pieces if not t}
-            for part in batches_by_length(frame[frame["tokens"].map(len) > 0], batch):
-                x = np.stack([token_matrix(t, model.dim) for t in part["tokens"]])
-                for i, k, tags in zip(part["row"], part["at"], names[model.decode(x)]):
-                    found[i, k] = tags.tolist()
+            pieces = [(i, k, spelled(t[k : k + MAX_TOKENS], model.vectors)) for i, t in enumerate(pdf["tokens"]) for k in range(0, max(len(t), 1), MAX_TOKENS)]
+            frame = pd.DataFrame({"tokens": [t for t in dict.fromkeys(t for _, _, t in pieces) if t]})
+            found: dict[tuple[str, ...], list[str]] = {(): []}
+            for part in batches_by_length(frame, batch):
+                x = np.stack([token_matrix(t, model.dim, model.vectors) for t in part["tokens"]])
+                found.update((t, tags.tolist()) for t, tags in zip(part["tokens"], names[model.decode(x)]))
             pred = [[] for _ in range(len(pdf))]
-            for (i, k), tags in sorted(found.items()):
-                pred[i].extend(tags)
-            yield pd.DataFrame({"report_id": pdf["report_id"], "sent_no": pdf["sent_no"], "tokens": pdf["tokens"], "pred": pred})
+            for i, _, t in pieces:
+                pred[i].extend(found[t])
+            yield pd.DataFrame({"report_id": pdf["report_id"], "sent_no": pdf["sent_no"], "tokens": pdf["tokens"], "starts": pdf["starts"], "pred": pred})
 
-    return sentences.select("report_id", "sent_no", "tokens").mapInPandas(run, "report_id long, sent_no int, tokens array<string>, pred array<string>")
+    if "starts" not in sentences.columns:
+        sentences = sentences.withColumn("starts", F.transform("tokens", lambda t: F.lit(True)))
+    return sentences.select("report_id", "sent_no", "tokens", "starts").mapInPandas(run, "report_id long, sent_no int, tokens array<string>, starts array<boolean>, pred array<string>")
 
 
 def mentions_of(tagged: DataFrame, tags_col: str = "pred") -> DataFrame:
-    """Spans ``report_id, sent_no, begin, size, entity, value`` of begin/inside tags; an inside tag after another entity begins a span."""
+    """Spans ``report_id, sent_no, begin, size, entity, value`` of begin/inside tags; an inside tag after another entity begins a span.
+
+    With a column ``starts`` values have blanks only where the sentence has them, else between all tokens.
+    """
     tags = F.col(tags_col)
+    blank = F.col("starts") if "starts" in tagged.columns else F.transform("tokens", lambda t: F.lit(True))
     ent = F.transform(tags, lambda t: F.when(t == "O", F.lit(None).cast("string")).otherwise(F.substring(t, F.lit(3), F.length(t))))
-    rows = tagged.select("report_id", "sent_no", "tokens", tags.alias("g"), ent.alias("e"))
+    words = F.zip_with("tokens", blank, lambda t, first: F.when(first, F.concat(F.lit(" "), t)).otherwise(t))
+    rows = tagged.select("report_id", "sent_no", words.alias("tokens"), tags.alias("g"), ent.alias("e"))
     at = F.sequence(F.lit(0), F.size("g") - 1)
     begins = F.filter(at, lambda i: F.get("e", i).isNotNull() & (F.get("g", i).startswith("B-") | (i == 0) | ~F.get("e", i - 1).eqNullSafe(F.get("e", i))))
     rows = rows.where(F.size("g") > 0).withColumn("b", F.explode(begins))
     stops = F.filter(F.sequence(F.col("b") + 1, F.size("g")), lambda i: ~F.get("e", i).eqNullSafe(F.get("e", F.col("b"))) | F.coalesce(F.get("g", i).startswith("B-"), F.lit(True)))
     size = F.array_min(stops) - F.col("b")
-    return rows.select("report_id", "sent_no", F.col("b").alias("begin"), size.alias("size"), F.get("e", F.col("b")).alias("entity"), F.array_join(F.slice("tokens", F.col("b") + 1, size), " ").alias("value"))
+    return rows.select("report_id", "sent_no", F.col("b").alias("begin"), size.alias("size"), F.get("e", F.col("b")).alias("entity"), F.trim(F.array_join(F.slice("tokens", F.col("b") + 1, size), "")).alias("value"))

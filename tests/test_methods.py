@@ -3,6 +3,7 @@
 import collections
 import itertools
 import math
+import os
 import random
 
 import numpy as np
@@ -10,12 +11,13 @@ import pytest
 from pyspark.sql import functions as F
 
 from reportgraph.functions import text as T
-from reportgraph.operators import graph, labeling, metrics, patterns, propagate, relations, titles
+from reportgraph.functions import vectors
+from reportgraph.operators import graph, labeling, metrics, patterns, propagate, relations, titles, triage
 from reportgraph.operators.components import connected_components
 from reportgraph.operators.hot import join_hot
 from reportgraph.operators.ranges import range_edges, range_of
 from reportgraph.plans import mining
-from reportgraph.tagger import crf, model
+from reportgraph.tagger import crf, model, train
 
 
 def test_npmi_examples(spark):
@@ -177,6 +179,128 @@ def test_tagger_gradients(attention, tasks):
             assert g.reshape(-1)[i] == pytest.approx((up - down) / 2e-5, rel=1e-4, abs=1e-7), name
 
 
+def test_pooled_attention_gradient():
+    rng = np.random.default_rng(5)
+    h, u, d_r = rng.normal(size=(2, 4, 3)), rng.normal(size=3), rng.normal(size=(2, 3))
+    value = lambda h, u: float((model.attention(h, u, "pooled")[0] * d_r).sum())
+    r, a = model.attention(h, u, "pooled")
+    d_h, d_u = model.attention_back(h, u, a, r, d_r, "pooled")
+    for x, g in ((h, d_h), (u, d_u)):
+        for i in range(x.size):
+            kept = x.reshape(-1)[i]
+            x.reshape(-1)[i] = kept + 1e-6
+            up = value(h, u)
+            x.reshape(-1)[i] = kept - 1e-6
+            down = value(h, u)
+            x.reshape(-1)[i] = kept
+            assert g.reshape(-1)[i] == pytest.approx((up - down) / 2e-6, rel=1e-4, abs=1e-8)
+
+
+TYPES = "entity string, value_type string"
+
+
+def test_tags_of_tokens(spark):
+    s = spark.createDataFrame([(1, 0, "Source Ip: 10.0.0.1, orderPriority=1-URGENT"), (1, 1, "...")], "report_id long, sent_no int, text string")
+    m = spark.createDataFrame([(1, 0, 2, 1, "ip", "10.0.0.1"), (1, 0, 3, 1, "priority", "x")], "report_id long, sent_no int, begin int, size int, entity string, value string")
+    t = spark.createDataFrame([("ip", "IP"), ("priority", "Other")], TYPES)
+    r = labeling.encode(s, m, t).where("sent_no = 0").first()
+    assert r["tokens"] == ["Source", "Ip", ":", "10.0.0.1", ",", "order", "Priority", "=", "1", "-", "URGENT"]
+    assert r["entity_tags"] == ["O", "O", "O", "B-ip", "I-ip", "B-priority", *["I-priority"] * 5] and r["type_tags"][3] == "B-IP"
+    assert r["starts"] == [True, True, False, True, False, True, *[False] * 5]
+    rows = labeling.encode(s, m, t)
+    assert [(x["begin"], x["size"], x["entity"], x["value"]) for x in train.mentions_of(rows, "entity_tags").orderBy("begin").collect()] == [(3, 2, "ip", "10.0.0.1,"), (5, 6, "priority", "orderPriority=1-URGENT")]
+    assert [x["tokens"] for x in labeling.encode(s, m, t, tokens="no separators").orderBy("sent_no").collect()] == [["Source", "Ip", "10.0.0.1", "order", "Priority", "1", "URGENT"], ["..."]]
+    assert labeling.encode(s, m, t, tokens="blanks").where("sent_no = 0").first()["tokens"] == s.first()["text"].split(" ")
+
+
+def tiny_tagger():
+    return model.joint_tagger(8, 6, ("O", "B-ip", "I-ip"), ("O", "B-IP", "I-IP"))
+
+
+def test_long_sentences_are_learned_and_tagged(spark):
+    n = 700
+    tokens, tags = [f"w{i % 5}" for i in range(n)], ["B-ip" if i % 5 == 0 else "O" for i in range(n)]
+    rows = spark.createDataFrame([(1, 0, tokens, tags, [x.replace("ip", "IP") for x in tags]), (2, 0, ["a"], ["O"], ["O"]), (3, 0, [], [], [])], "report_id long, sent_no int, tokens array<string>, entity_tags array<string>, type_tags array<string>")
+    got = train.in_windows(rows).where("report_id = 1").orderBy("window").collect()
+    assert [len(r["tokens"]) for r in got] == [300, 300, 200] and all(r["entity_tags"] == tags[250 * r["window"] :][:300] for r in got)
+    m, losses = train.fit(rows, tiny_tagger(), rounds=2, shards=2)
+    assert len(losses) == 2 and losses[1] < losses[0]
+    out = {r["report_id"]: r for r in train.tag(rows, m).collect()}
+    assert len(out[1]["pred"]) == n and len(out[2]["pred"]) == 1 and out[3]["pred"] == []
+    shares = train.attention_shares(rows, m).where("report_id = 1").first()["shares"]
+    assert len(shares) == n and sum(shares) == pytest.approx(1)
+
+
+def test_vector_files(tmp_path):
+    (tmp_path / "v.txt").write_text("2 3\nap 1 2 3\nbee 4 5 6.5\nodd 1 2\n")
+    table = vectors.load_vectors(str(tmp_path / "v.txt"), 3)
+    assert set(table) == {"ap", "bee"} and table["bee"].tolist() == [4, 5, 6.5]
+    got = train.token_matrix(["Ap", "zz9"], 3, table)
+    assert got[0].tolist() == [1, 2, 3] and np.array_equal(got[1], vectors.word_vector("zz0", 3))
+
+
+def test_serving_by_a_tagger_on_tables_and_streams(spark, small):
+    from reportgraph.operators import service
+    from reportgraph.sources import corpus
+    from reportgraph.streaming import streams
+
+    m = tiny_tagger()
+    reports = corpus.event_reports(spark, small)
+    want = service.auto(reports.withColumn("description", F.split("description", "\nBatch")[0]), ("error",), m)
+    got = streams.auto_trigger(spark, small, ("error",), m)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    one = service.by_id(reports, None, 7, m)
+    assert one.columns == ["report_id", "entities"] and one.count() <= 1
+
+
+def test_life_cycles_over_batches(spark, small, tmp_path):
+    """Files that come one after another in time give the same as all at once."""
+    from reportgraph.streaming import streams
+
+    events = spark.read.parquet(f"{small}/events.parquet").toPandas().sort_values(["ts", "event_id"])
+    step = -(-len(events) // 4)
+    for k in range(4):
+        events.iloc[k * step : (k + 1) * step].to_parquet(tmp_path / f"{k}.parquet", coerce_timestamps="us")
+        os.utime(tmp_path / f"{k}.parquet", (1_000_000 + k, 1_000_000 + k))
+    users = {u: sum(1 for _ in g) for u, g in itertools.groupby(sorted(events["user_id"]))}
+    want = {}
+    for u, t in zip(events["user_id"], events["event_type"]):
+        is_open, closed = want.get(u, (False, 0))
+        want[u] = (True, closed) if t == "error" else (False, closed + 1) if t == "login" and is_open else (is_open, closed)
+    got = {r["user_id"]: (r["is_open"], r["closed"]) for r in streams.life_cycle(spark, small, str(tmp_path), 1).collect()}
+    assert got == want and len(got) == len(users)
+    late = streams.late_rows(spark, small, str(tmp_path), 1).collect()
+    assert sum(r["n"] for r in late) == len(events) and not any(r["late"] for r in late)
+    os.utime(tmp_path / "0.parquet", (2_000_000, 2_000_000))  # the first hours come last
+    late = streams.late_rows(spark, small, str(tmp_path), 1).collect()
+    assert sum(r["n"] for r in late if r["late"]) == step
+
+
+def test_nearest_by_brute_force(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(300, 5))
+    x[7] = x[3]
+    pts = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vector array<double>")
+    got = {(r["id"], r["rank"]): (r["other"], r["distance"]) for r in titles.nearest(pts, 4, block=64).collect()}
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(-1))
+    np.fill_diagonal(d, np.inf)
+    for i in range(300):
+        for r, j in enumerate(np.lexsort((np.arange(300), d[i]))[:4], 1):
+            assert got[i, r] == (j, pytest.approx(d[i, j]))
+    assert len(got) == 1200 and titles.nearest(pts.limit(0), 3).count() == 0 and titles.nearest(pts.limit(1), 3).count() == 0
+
+
+def test_kernel_features_approach_the_kernel(spark):
+    from pyspark.ml.functions import array_to_vector, vector_to_array
+
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(40, 6))
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "i long, x array<double>").withColumn("features", array_to_vector("x"))
+    z = np.array([r[0] for r in triage.fourier(rows, n=4000, gamma=0.05).orderBy("i").select(vector_to_array("features")).collect()])
+    exact = np.exp(-0.05 * ((x[:, None] - x[None]) ** 2).sum(-1))
+    assert np.abs(z @ z.T - exact).max() < 0.12
+
+
 def test_attention_shares():
     h, u = np.random.default_rng(3).normal(size=(2, 5, 4)), np.ones(4)
     pooled, a = model.attention(h, u, "pooled")
