@@ -680,6 +680,29 @@ def test_toxicity_scores_by_brute_force(spark, docs):
     assert np.array_equal(again.terms, m.terms) and np.array_equal(again.weights, m.weights)
 
 
+def statistics_by_hand(text):
+    text = text or ""
+    words = [w for w in re.split(r"[ \t\n\x0b\f\r]+", text) if w]
+    lines = [x for x in text.split("\n") if x]
+    signs = [c for c in text if c not in " \t\n\x0b\f\r"]
+    import unicodedata
+
+    kind = [unicodedata.category(c) for c in signs]
+    letters, part = sum(k[0] == "L" for k in kind), lambda a, b: a / b if b else 0.0
+    odd = sum(c in "%&$#*!|~^@=<>{}[]\\/_+" for c in text)
+    return (
+        len(words), part(len(signs), len(words)), part(letters, len(signs)), part(kind.count("Lu"), letters), part(sum(c in "0123456789" for c in text), len(signs)), part(odd, len(signs)),
+        part(sum(c in ".,;:?" for c in text), len(words)), part(len(set(words)), len(words)), part(len(set(lines)), len(lines)), part(len(words), len(lines)),
+    )
+
+
+def test_statistics_by_brute_force(spark, docs):
+    texts = [r[1] for r in fixture_rows()] + ["A! b? C;\n\nA! b? C;\n#$%&*", "x" * 300_000 + " Y\n" * 1000, "{[<|>]}\\/_+=~^@ 1234"]
+    df = spark.createDataFrame([(t, "clash") for t in texts], "text string, words string")
+    for t, s in quality.with_statistics(df).select("text", "__stats").collect():
+        assert tuple(s) == pytest.approx(statistics_by_hand(t), abs=1e-12), (t or "")[:50]
+
+
 def test_rules_are_the_columns(spark):
     rng = np.random.default_rng(4)
     x = rng.random((400, len(quality.STATISTICS)))
