@@ -41,6 +41,30 @@ def shared_values(mentions: DataFrame, min_reports: int = 2) -> DataFrame:
     return one.groupBy("entity", "value").agg(F.count("*").alias("reports"), F.min("report_id").alias("first_report")).where(F.col("reports") >= min_reports)
 
 
+def match(edges: DataFrame, pattern: list[tuple[str, str, str]]) -> DataFrame:
+    """Ways to fit a pattern of (variable, kind of edge, variable) into the full graph, one column for each variable.
+
+    Each triple is an equi-join on the variables that those before it have; a triple without such is refused, and different
+    variables stand for different nodes.
+    """
+    found = None
+    for a, kind, b in pattern:
+        one = edges.where(F.col("kind") == kind).select(F.col("src").alias(a), F.col("dst").alias(b)).distinct()
+        if found is None:
+            found = one
+            continue
+        known = [v for v in dict.fromkeys((a, b)) if v in found.columns]
+        if not known:
+            raise ValueError(f"{a} and {b} are not connected with what is before")
+        new = [v for v in (a, b) if v not in known]
+        before = found.columns
+        found = found.join(one, known)
+        for v in new:
+            for w in before:
+                found = found.where(F.col(v) != F.col(w))
+    return found
+
+
 def _both(edges: DataFrame) -> DataFrame:
     return edges.select("src", "dst", "weight").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
 

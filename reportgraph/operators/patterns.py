@@ -52,9 +52,16 @@ def emails(df: DataFrame) -> DataFrame:
     return df.select("report_id", "sent_no", F.lit("email address").alias("name"), found.alias("value"), F.lit("email").alias("pattern"))
 
 
+def secrets(df: DataFrame) -> DataFrame:
+    """Runs of 40 hexadecimal digits, as access tokens have."""
+    found = F.explode(F.regexp_extract_all("text", F.lit(r"\b[0-9a-f]{40}\b"), F.lit(0)))
+    return df.select("report_id", "sent_no", F.lit("secret").alias("name"), found.alias("value"), F.lit("secret").alias("pattern"))
+
+
 register("key_value", key_value)
 register("table", tables)
 register("email", emails)
+register("secret", secrets)
 register("equals", functools.partial(key_value, separators=("=",)))
 
 

@@ -6,11 +6,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark.ml.feature import BucketedRandomProjectionLSH
+from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from reportgraph.functions.vectors import euclidean, mean_vector
 from reportgraph.operators.components import connected_components
+from reportgraph.sources.io import checkpointed
 
 
 def distinct_titles(reports: DataFrame, title_col: str = "title", id_col: str = "report_id") -> DataFrame:
@@ -66,6 +69,14 @@ def neighbour_pairs(points: DataFrame, eps: float, id_col: str = "id", vec_col:
     return blocks.select("lc", "lb", "lp", "rc", "rb", "rp").mapInPandas(compare, "a long, b long, distance double")
 
 
+def neighbour_pairs_hashed(points: DataFrame, eps: float, id_col: str = "id", vec_col: str = "vector", width: float | None = None, tables: int = 6, seed: int = 7) -> DataFrame:
+    """``a, b, distance`` of pairs a < b within ``eps`` that share a bucket of random projections; it may miss some, never adds one."""
+    rows = points.select(F.col(id_col).alias("id"), array_to_vector(F.col(vec_col).cast("array<double>")).alias("features"))
+    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=width or 2 * eps, numHashTables=tables, seed=seed).fit(rows)
+    pairs = model.approxSimilarityJoin(rows, rows, eps * (1 + 1e-12), "distance")
+    return pairs.select(F.col("datasetA.id").alias("a"), F.col("datasetB.id").alias("b"), "distance").where("a < b")
+
+
 def nearest(points: DataFrame, k: int, id_col: str = "id", vec_col: str = "vector", block: int = 4096) -> DataFrame:
     """``id, other, distance, rank`` of the ``k`` nearest other points, exactly (ties: the smaller id).
 
@@ -118,15 +129,15 @@ def elbow(distances: DataFrame) -> DataFrame:
     return off.agg(F.max_by("d", F.col("off")).alias("eps"))
 
 
-def dbscan(points: DataFrame, eps: float, min_pts: int, id_col: str = "id", vec_col: str = "vector", weight_col: str | None = None) -> DataFrame:
+def dbscan(points: DataFrame, eps: float, min_pts: int, id_col: str = "id", vec_col: str = "vector", weight_col: str | None = None, method: str = "blocked") -> DataFrame:
     """``id, cluster_id``: -1 for noise, else the smallest core of the cluster.
 
     A core has points of weight ``min_pts`` within ``eps``, itself included; clusters are components of cores; a border point
-    joins its nearest core's (ties: the smallest id).
+    joins its nearest core's (ties: the smallest id). ``method`` 'hashed' looks for neighbours by random projections.
     """
     w = F.col(weight_col).cast("double") if weight_col else F.lit(1.0)
     pts = points.select(F.col(id_col).alias("id"), w.alias("w"))
-    pairs = neighbour_pairs(points, eps, id_col, vec_col)
+    pairs = checkpointed((neighbour_pairs_hashed if method == "hashed" else neighbour_pairs)(points, eps, id_col, vec_col))
     both = pairs.select("a", "b", "distance").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"), "distance"))
     mass = both.join(pts.withColumnRenamed("id", "b"), "b").groupBy(F.col("a").alias("id")).agg(F.sum("w").alias("near"))
     cores = pts.join(mass, "id", "left").where(F.col("w") + F.coalesce("near", F.lit(0.0)) >= min_pts).select("id")

@@ -9,16 +9,17 @@ import numpy as np
 import pandas as pd
 from pyspark.ml import Pipeline
 from pyspark.ml.classification import LinearSVC, NaiveBayes, OneVsRest, RandomForestClassifier
-from pyspark.ml.feature import HashingTF, StringIndexer, VectorAssembler
+from pyspark.ml.feature import BucketedRandomProjectionLSH, CountVectorizer, StringIndexer, VectorAssembler
 from pyspark.ml.functions import array_to_vector, vector_to_array
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from reportgraph.functions.vectors import mean_vector
 
 FEATURE_SETS = ("text", "entities", "entities+title")
 MODELS = ("forest", "linear_svm", "rbf_svm", "knn", "naive_bayes")
-DIM = 32
+#: Fixed value: published width of word vectors.
+DIM = 100
 
 
 def sample(reports: DataFrame, n_teams: int = 10, percent: int = 20) -> DataFrame:
@@ -38,32 +39,39 @@ def entity_kind(mentions: DataFrame, value_types: DataFrame, max_words: int = 3,
 
 
 def raw_features(reports: DataFrame, mentions: DataFrame, kinds: DataFrame, feature_set: str, dim: int = DIM) -> DataFrame:
-    """``report_id, team, words, entries``: text of which to take mean word vectors, and one-hot entries 'entity=value'."""
+    """``report_id, team, words, described, entries``: texts of which to take mean word vectors (the report's own, and its
+    descriptive values), and one-hot entries 'entity=value'."""
     own = reports.select("report_id", "team", "title", "description")
     if feature_set == "text":
-        return own.select("report_id", "team", F.concat_ws(" ", "title", "description").alias("words"), F.array().cast("array<string>").alias("entries"))
+        return own.select("report_id", "team", F.concat_ws(" ", "title", "description").alias("words"), F.lit("").alias("described"), F.array().cast("array<string>").alias("entries"))
     m = mentions.join(F.broadcast(kinds.select("entity", "kind")), "entity").join(own.select("report_id"), "report_id", "left_semi")
     per = m.groupBy("report_id").agg(
         F.array_sort(F.collect_set(F.when(F.col("kind") == "categorical", F.concat_ws("=", "entity", "value")))).alias("entries"),
         F.array_join(F.array_sort(F.collect_set(F.when(F.col("kind") == "descriptive", F.col("value")))), " ").alias("described"),
     )
     rows = own.join(per, "report_id", "left")
-    words = F.coalesce("described", F.lit(""))
-    if feature_set == "entities+title":
-        words = F.concat_ws(" ", "title", words)
-    return rows.select("report_id", "team", words.alias("words"), F.coalesce("entries", F.array().cast("array<string>")).alias("entries"))
+    words = F.col("title") if feature_set == "entities+title" else F.lit("")
+    return rows.select("report_id", "team", words.alias("words"), F.coalesce("described", F.lit("")).alias("described"), F.coalesce("entries", F.array().cast("array<string>")).alias("entries"))
 
 
-def features(rows: DataFrame, dim: int = DIM, buckets: int = 512) -> DataFrame:
-    """Adds ``features`` (hashed one-hot entries, mean word vector) and ``label``."""
+def features(rows: DataFrame, dim: int = DIM, entries: int = 1024) -> DataFrame:
+    """``report_id, team, label, features``: one-hot entries (the most frequent ones), then mean word vectors of both texts.
+
+    The column's metadata name the source of each input: an entity, 'title' or 'descriptive values'.
+    """
 
     @F.pandas_udf("array<double>")
     def vec(t: pd.Series) -> pd.Series:
         return t.map(lambda x: mean_vector(re.findall(r"[^\W\d_]+", x or ""), dim).tolist())
 
-    rows = rows.withColumn("text_vector", array_to_vector(vec("words")))
-    stages = [HashingTF(inputCol="entries", outputCol="hot", numFeatures=buckets, binary=True), VectorAssembler(inputCols=["hot", "text_vector"], outputCol="features"), StringIndexer(inputCol="team", outputCol="label", handleInvalid="keep", stringOrderType="alphabetAsc")]
-    return Pipeline(stages=stages).fit(rows).transform(rows).select("report_id", "team", "label", "features")
+    rows = rows.withColumns({"text_vector": array_to_vector(vec("words")), "described_vector": array_to_vector(vec("described"))})
+    hot = CountVectorizer(inputCol="entries", outputCol="hot", vocabSize=entries, minDF=2, binary=True)
+    # An entry that every row has keeps the vocabulary from being empty.
+    rows = rows.withColumn("entries", F.concat("entries", F.array(F.lit("any="))))
+    stages = [hot, VectorAssembler(inputCols=["hot", "text_vector", "described_vector"], outputCol="features"), StringIndexer(inputCol="team", outputCol="label", handleInvalid="keep", stringOrderType="alphabetAsc")]
+    model = Pipeline(stages=stages).fit(rows)
+    names = [*(e.split("=", 1)[0] for e in model.stages[0].vocabulary), *["title"] * dim, *["descriptive values"] * dim]
+    return model.transform(rows).select("report_id", "team", "label", F.col("features").alias("features", metadata={"sources": names}))
 
 
 def fourier(rows: DataFrame, n: int = 200, gamma: float = 0.03, seed: int = 7) -> DataFrame:
@@ -112,6 +120,25 @@ class KNearest:
         return rows.select("report_id", "label", vector_to_array("features", "float32").alias("x")).mapInPandas(run, "report_id long, label double, prediction double")
 
 
+class HashedNearest:
+    """k nearest neighbours among those that share a bucket of random projections; a row without such gets the most frequent label."""
+
+    def __init__(self, k: int = 5, width: float = 2.0, tables: int = 4, seed: int = 7):
+        self.k, self.hashes = k, BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=width, numHashTables=tables, seed=seed)
+
+    def fit(self, rows: DataFrame) -> HashedNearest:
+        self.rows, self.model = rows.select("report_id", "label", "features"), self.hashes.fit(rows)
+        self.usual = rows.groupBy("label").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "label").first()["label"]
+        return self
+
+    def transform(self, rows: DataFrame) -> DataFrame:
+        pairs = self.model.approxSimilarityJoin(rows.select("report_id", "features"), self.rows, float("inf"), "distance")
+        pairs = pairs.select(F.col("datasetA.report_id").alias("report_id"), F.col("datasetB.report_id").alias("other"), F.col("datasetB.label").alias("vote"), "distance")
+        near = pairs.withColumn("rank", F.row_number().over(Window.partitionBy("report_id").orderBy("distance", "other"))).where(F.col("rank") <= self.k)
+        votes = near.groupBy("report_id", "vote").agg(F.count("*").alias("n")).groupBy("report_id").agg(F.min(F.struct((-F.col("n")).alias("n"), "vote"))["vote"].alias("vote"))
+        return rows.select("report_id", "label").join(votes, "report_id", "left").select("report_id", "label", F.coalesce("vote", F.lit(self.usual)).alias("prediction"))
+
+
 def fit(rows: DataFrame, model: str, seed: int = 7):
     """A fitted classifier with ``transform``."""
     if model == "forest":
@@ -120,6 +147,8 @@ def fit(rows: DataFrame, model: str, seed: int = 7):
         return OneVsRest(classifier=LinearSVC(maxIter=12, regParam=0.001), parallelism=4).fit(rows)
     if model == "knn":
         return KNearest().fit(rows)
+    if model == "knn_hashed":
+        return HashedNearest().fit(rows)
     if model == "naive_bayes":
         return NaiveBayes(modelType="gaussian").fit(rows)
     raise ValueError(model)
@@ -138,7 +167,11 @@ def cross_validate(rows: DataFrame, model: str, folds: int = 5, only: tuple[int,
 
 
 def importances(rows: DataFrame) -> DataFrame:
-    """``feature, importance`` of the forest's features, by their number."""
-    m = fit(rows, "forest")
-    v = m.featureImportances
-    return rows.sparkSession.createDataFrame([(int(i), float(x)) for i, x in zip(v.indices, v.values)], "feature int, importance double")
+    """``feature, inputs, importance, rank`` of the forest, summed over the inputs of each source feature."""
+    names = rows.schema["features"].metadata["sources"]
+    v = fit(rows, "forest").featureImportances
+    per: dict[str, list[float]] = {}
+    for name, x in zip(names, v.toArray().tolist()):
+        per.setdefault(name, []).append(x)
+    ranked = sorted(((n, len(xs), sum(xs)) for n, xs in per.items()), key=lambda r: (-r[2], r[0]))
+    return rows.sparkSession.createDataFrame([(*r, k) for k, r in enumerate(ranked, 1)], "feature string, inputs int, importance double, rank int")

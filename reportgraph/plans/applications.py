@@ -7,6 +7,7 @@ import functools
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from reportgraph.functions import text as T
 from reportgraph.functions.vectors import train_word2vec, vector_table
 from reportgraph.operators import graph, labeling, metrics, propagate, recommend, relations, service, titles, triage
 from reportgraph.plans.mining import TRUE_PAIRS, mined, rounded, state_of
@@ -196,6 +197,15 @@ def _emb(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("vector"))
 
 
+def page_title_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Clusters of the titles of web pages, which repeat."""
+    title = F.regexp_extract("html", r"(?is)<title[^>]*>(.*?)</title>", 1)
+    pages = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("report_id"), T.strip_markup(title).alias("title"))
+    pts = checkpointed(titles.embed(titles.distinct_titles(pages), dim=100))
+    eps = titles.elbow(titles.k_distances(pts, NEAR)).first()["eps"]
+    return titles.dbscan(pts, max(float(eps or 0), 1e-6), NEAR, weight_col="weight").join(pts.select("id", "weight"), "id")
+
+
 _E = "e AS (SELECT vec_id AS id, embedding::DOUBLE[] AS v FROM embeddings)"
 _PAIRS = f"{_E}, d AS (SELECT a.id AS a, b.id AS b, list_distance(a.v, b.v) AS d FROM e a JOIN e b ON a.id <> b.id)"
 EPS, MIN_PTS = 1.06, 2
@@ -209,6 +219,9 @@ add("dbscan_embeddings", lambda s, d: titles.dbscan(_emb(s, d), EPS, MIN_PTS), f
 #: The templates of the titles are the clusters to be found; a cluster is named by the first report of its first title.
 _OF_TITLE = "topic AS (SELECT k AS report_id, min(k) OVER (PARTITION BY k % 6) AS cluster_id FROM base)"
 add("title_clusters", lambda s, d: title_clusters(s, d), chain("SELECT report_id, cluster_id FROM topic", _OF_TITLE))
+add("eps_neighbours_hashed", lambda s, d: titles.neighbour_pairs_hashed(_emb(s, d), EPS).agg(F.count("*").alias("found")).crossJoin(titles.neighbour_pairs(_emb(s, d), EPS).agg(F.count("*").alias("pairs"))))
+add("dbscan_titles_hashed", lambda s, d: titles.dbscan(title_points(s, d), float(titles.elbow(titles.k_distances(title_points(s, d), NEAR)).first()["eps"]), NEAR, weight_col="weight", method="hashed").groupBy("cluster_id").agg(F.count("*").alias("titles")), chain("SELECT cluster_id, 5::BIGINT AS titles FROM topic GROUP BY cluster_id", _OF_TITLE))
+add("page_title_clusters", lambda s, d: page_title_clusters(s, d).groupBy("cluster_id").agg(F.count("*").alias("titles"), F.sum("weight").alias("pages")))
 add("dbscan_titles", lambda s, d: title_clusters(s, d).groupBy("cluster_id").agg(F.count("*").alias("reports")), chain("SELECT cluster_id, count(*) AS reports FROM topic GROUP BY cluster_id", _OF_TITLE))
 add("dbscan_titles_summary", lambda s, d: rounded(metrics.cluster_summary(title_clusters(s, d).withColumn("topic", F.col("report_id") % 6), "topic")), chain("SELECT count(DISTINCT cluster_id) AS clusters, 0.0::DOUBLE AS noise_share, 1.0::DOUBLE AS purity FROM topic", _OF_TITLE))
 _TOPIC = _OF_TITLE + ", tops AS (SELECT cluster_id, entity, count(*) AS freq, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, entity)::INTEGER AS rank FROM mentions JOIN topic USING (report_id) GROUP BY cluster_id, entity QUALIFY rank <= 5)"
@@ -281,6 +294,27 @@ def triage_accuracy(spark: SparkSession, sf_dir: str, model: str, folds: tuple[i
 for _m in triage.MODELS:
     add(f"triage_{_m}", lambda s, d, m=_m: triage_accuracy(s, d, m, None))
 add("triage_cv", lambda s, d: triage_accuracy(s, d, "knn", None))
+add("triage_knn_hashed", lambda s, d: triage_accuracy(s, d, "knn_hashed", None))
+
+
+@kept
+def quality_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A second task: labelled documents by their quality, from the words alone."""
+    docs = read_table(spark, sf_dir, "documents").join(read_table(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id")
+    rows = docs.select(F.col("doc_id").alias("report_id"), F.col("quality").cast("string").alias("team"), "text")
+    none = F.array().cast("array<string>")
+    return checkpointed(triage.features(rows.select("report_id", "team", F.col("text").alias("words"), F.lit("").alias("described"), none.alias("entries"))))
+
+
+def triage_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Five-fold accuracy of each model on the documents' quality, and that of always naming the usual class."""
+    rows = quality_rows(spark, sf_dir)
+    usual = rows.groupBy("label").agg(F.count("*").alias("n")).agg((F.max("n") / F.sum("n")).alias("accuracy"), F.sum("n").alias("rows")).withColumn("model", F.lit("usual class"))
+    out = [triage.cross_validate(rows, m).agg((F.sum("correct") / F.sum("rows")).alias("accuracy"), F.sum("rows").alias("rows")).withColumn("model", F.lit(m)) for m in triage.MODELS]
+    return rounded(functools.reduce(DataFrame.unionByName, out, usual))
+
+
+add("triage_documents", triage_documents)
 add("triage_importances", lambda s, d: rounded(triage.importances(routing_rows(s, d, "entities+title"))))
 add("knn_exact", lambda s, d: _knn(s, d), f"WITH {_PAIRS}, near AS (SELECT a, b FROM d QUALIFY row_number() OVER (PARTITION BY a ORDER BY d, b) <= 5), v AS (SELECT a AS id, label, count(*) AS c FROM near JOIN embeddings ON b = vec_id GROUP BY ALL) SELECT id, arg_min(label, (-c, label)) AS prediction FROM v GROUP BY id")
 

@@ -73,7 +73,11 @@ def word_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 from reportgraph.plans.oracles import chain  # noqa: E402
 
-QUERIES["ablation_propagation"] = (propagation_ablation, None)
+_ABLATION = "SELECT {label} AS labels, (SELECT count(*) FROM {m}) AS mentions, (SELECT count(DISTINCT entity) FROM {m}) AS entities, (SELECT count(*) FROM {p}) AS pairs, (SELECT count(*) FROM {p} WHERE npmi >= 0) AS kept"
+_SEED_PAIRS = """own AS (SELECT * FROM seeds s WHERE NOT EXISTS (SELECT 1 FROM propagated p WHERE p.report_id = s.report_id AND p.sent_no = s.sent_no)), own_f AS (SELECT entity, count(*) AS f FROM own GROUP BY entity), own_d AS (SELECT DISTINCT report_id, sent_no, entity FROM own),
+ own_p AS (SELECT a.entity AS e1, b.entity AS e2, count(*) AS j FROM own_d a JOIN own_d b ON a.report_id = b.report_id AND a.sent_no = b.sent_no AND a.entity < b.entity GROUP BY ALL),
+ own_s AS (SELECT e1, e2, ln(j * t::DOUBLE / (x.f::DOUBLE * y.f)) / -ln(j / t::DOUBLE) AS npmi FROM own_p JOIN own_f x ON e1 = x.entity JOIN own_f y ON e2 = y.entity, (SELECT sum(f) AS t FROM own_f))"""
+QUERIES["ablation_propagation"] = (propagation_ablation, chain(_ABLATION.format(label="'seeds only'", m="own", p="own_s") + " UNION ALL " + _ABLATION.format(label="'propagated'", m="mentions", p="scored"), _SEED_PAIRS))
 QUERIES["approx_top_k_types"] = (approximate_top_k, None)
 QUERIES["cost_features"] = (feature_cost, None)
 QUERIES["clean_parsed_rows"] = (parsed_markup, chain("SELECT report_id, name, value FROM candidates WHERE pattern = 'table'"))

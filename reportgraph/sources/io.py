@@ -17,11 +17,14 @@ def read_table(spark: SparkSession, sf_dir: str, name: str, ltz: bool = False) -
 def shared_dir(spark: SparkSession) -> str:
     """The folder of ``spark.checkpoint.dir``, which driver and executors share.
 
-    Only where neither the setting nor a checkpoint folder exists (local tests) one is made.
+    Only where neither the setting nor a checkpoint folder exists one is made, and only for a local master (as in tests); on a
+    cluster that is an error, since executors would not share it.
     """
     sc = spark.sparkContext
     given = spark.conf.get("spark.checkpoint.dir", None)
     if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not given and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir is not set, so driver and executors share no folder")
         sc.setCheckpointDir(given or f"/tmp/checkpoints/{sc.applicationId}")
     return given or sc._jsc.sc().getCheckpointDir().get()
 

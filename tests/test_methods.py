@@ -301,6 +301,48 @@ def test_kernel_features_approach_the_kernel(spark):
     assert np.abs(z @ z.T - exact).max() < 0.12
 
 
+def test_a_cluster_must_name_its_shared_folder():
+    from types import SimpleNamespace
+
+    from reportgraph.sources import io
+
+    none = SimpleNamespace(getCheckpointDir=lambda: SimpleNamespace(isEmpty=lambda: True))
+    session = SimpleNamespace(sparkContext=SimpleNamespace(master="spark://host:7077", _jsc=SimpleNamespace(sc=lambda: none)), conf=SimpleNamespace(get=lambda k, d: d))
+    with pytest.raises(ValueError):
+        io.shared_dir(session)
+
+
+def test_graph_match(spark):
+    e = spark.createDataFrame([("r1", "v1", "m"), ("r2", "v1", "m"), ("r2", "v2", "m"), ("r3", "v2", "m"), ("v1", "t", "is"), ("v2", "t", "is"), ("r1", "r9", "x")], "src string, dst string, kind string")
+    two = graph.match(e, [("a", "m", "v"), ("b", "m", "v")])
+    assert {tuple(r) for r in two.select("a", "b", "v").collect()} == {("r1", "r2", "v1"), ("r2", "r1", "v1"), ("r2", "r3", "v2"), ("r3", "r2", "v2")}
+    assert graph.match(e, [("a", "m", "v"), ("v", "is", "t")]).count() == 4
+    with pytest.raises(ValueError):
+        graph.match(e, [("a", "m", "v"), ("c", "is", "t")])
+
+
+def test_hashed_neighbours_are_neighbours(spark):
+    rng = np.random.default_rng(8)
+    x = np.repeat(rng.normal(size=(60, 8)) * 4, 3, axis=0) + rng.normal(size=(180, 8)) * 0.05
+    pts = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vector array<double>")
+    exact = {(r["a"], r["b"]) for r in titles.neighbour_pairs(pts, 1.0).collect()}
+    found = {(r["a"], r["b"]) for r in titles.neighbour_pairs_hashed(pts, 1.0).collect()}
+    assert found <= exact and len(found) >= 0.9 * len(exact) > 100
+    assert {tuple(r) for r in titles.dbscan(pts, 1.0, 3, method="hashed").collect()} == {tuple(r) for r in titles.dbscan(pts, 1.0, 3).collect()}
+
+
+def test_importances_by_source(spark):
+    rng = random.Random(3)
+    rows = [(i, f"t{i % 3}", rng.choice(["red", "blue"]), "", [f"zone={i % 3}", f"noise={rng.randrange(4)}"]) for i in range(240)]
+    f = triage.features(spark.createDataFrame(rows, "report_id long, team string, words string, described string, entries array<string>"), dim=4)
+    got = {r["feature"]: r for r in triage.importances(f).collect()}
+    assert got["zone"]["rank"] == 1 and got["zone"]["inputs"] == 3 and sum(r["importance"] for r in got.values()) == pytest.approx(1)
+    assert {"title", "descriptive values", "noise"} <= set(got)
+    for m in ("knn", "knn_hashed"):
+        r = triage.cross_validate(f, m, folds=3).agg(F.sum("correct").alias("c"), F.sum("rows").alias("n")).first()
+        assert r["n"] == 240 and r["c"] > 200, m
+
+
 def test_attention_shares():
     h, u = np.random.default_rng(3).normal(size=(2, 5, 4)), np.ones(4)
     pooled, a = model.attention(h, u, "pooled")
