@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from reportgraph.operators import service
 from reportgraph.sources.corpus import EVENT_TEXT
@@ -99,12 +100,8 @@ def life_cycle(spark: SparkSession, sf_dir: str, path: str | None = None, files:
     s = event_stream(spark, sf_dir, None, path, files).select("user_id", "ts", "event_id", "event_type")
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        is_open, closed = state.get if state.exists else (False, 0)
-        for t in pd.concat(parts).sort_values(["ts", "event_id"])["event_type"]:
-            if t == "error":
-                is_open = True
-            elif t == "login" and is_open:
-                is_open, closed = False, closed + 1
+        before = state.get if state.exists else (False, 0)
+        is_open, closed = opened_and_closed(*before, pd.concat(parts).sort_values(["ts", "event_id"])["event_type"])
         state.update((is_open, closed))
         yield pd.DataFrame({"user_id": [key[0]], "is_open": [is_open], "closed": [closed]})
 
@@ -112,6 +109,50 @@ def life_cycle(spark: SparkSession, sf_dir: str, path: str | None = None, files:
     return run(out, "update", ("user_id",))
 
 
+def opened_and_closed(is_open: bool, closed: int, types: Iterable[str]) -> tuple[bool, int]:
+    """An error opens an incident, a login closes it."""
+    for t in types:
+        if t == "error":
+            is_open = True
+        elif t == "login" and is_open:
+            is_open, closed = False, closed + 1
+    return is_open, closed
+
+
+class LifeCycle(StatefulProcessor):
+    """The life cycle of a user's incidents as a value in the state store."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.cycle = handle.getValueState("cycle", "is_open boolean, closed long")
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
+        before = self.cycle.get() if self.cycle.exists() else (False, 0)
+        after = opened_and_closed(bool(before[0]), int(before[1]), pd.concat(rows).sort_values(["ts", "event_id"])["event_type"])
+        self.cycle.update(after)
+        yield pd.DataFrame({"user_id": [key[0]], "is_open": [after[0]], "closed": [after[1]]})
+
+    def close(self) -> None:
+        pass
+
+
+STATE_STORE = "spark.sql.streaming.stateStore.providerClass"
+
+
+def life_cycle_processor(spark: SparkSession, sf_dir: str, path: str | None = None, files: int = 1000) -> DataFrame:
+    """The same life cycles by a stateful processor, whose state the store on disk keeps; the session's store is as before when it ends."""
+    s = event_stream(spark, sf_dir, None, path, files).select("user_id", "ts", "event_id", "event_type")
+    out = s.groupBy("user_id").transformWithStateInPandas(LifeCycle(), "user_id long, is_open boolean, closed long", "update", "none")
+    kept = spark.conf.get(STATE_STORE, None)
+    spark.conf.set(STATE_STORE, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        return run(out, "update", ("user_id",))
+    finally:
+        if kept is None:
+            spark.conf.unset(STATE_STORE)
+        else:
+            spark.conf.set(STATE_STORE, kept)
+
+
 def late_rows(spark: SparkSession, sf_dir: str, path: str | None = None, files: int = 1000) -> DataFrame:
     """Rows of each type that came in time and that came later than the watermark of an hour allows, by the largest time of the batches before."""
     s = event_stream(spark, sf_dir, None, path, files).select("event_type", "ts")
@@ -126,6 +167,11 @@ def late_rows(spark: SparkSession, sf_dir: str, path: str | None = None, files:
     return spark.read.parquet(f"{base}/out").groupBy("event_type", "late").agg(F.sum("n").alias("n"))
 
 
+LIFE_CYCLE_SQL = """WITH e AS (SELECT user_id, ts, event_id, event_type FROM events WHERE event_type IN ('error', 'login')),
+ s AS (SELECT *, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after FROM e),
+ u AS (SELECT DISTINCT user_id FROM events)
+ SELECT user_id, coalesce(bool_or(after IS NULL AND event_type = 'error'), false) AS is_open, count(*) FILTER (event_type = 'login' AND before = 'error') AS closed FROM u LEFT JOIN s USING (user_id) GROUP BY user_id"""
+
 STREAMS: dict[str, tuple[Callable, str | None]] = {
     "stream_tumbling": (tumbling, "SELECT date_trunc('day', ts)::TIMESTAMP AS day, event_type, count(*) AS n FROM events GROUP BY ALL"),
     "stream_sliding": (sliding, "SELECT d AS start, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts)::TIMESTAMP, date_trunc('day', ts)::TIMESTAMP - INTERVAL 1 DAY]) AS d FROM events) GROUP BY d"),
@@ -134,9 +180,7 @@ STREAMS: dict[str, tuple[Callable, str | None]] = {
     "stream_static_join": (static_join, "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey"),
     "stream_interval_join": (interval_join, "SELECT a.event_id AS error_id, b.event_id AS login_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts < a.ts + INTERVAL 6 HOURS WHERE a.event_type = 'error' AND b.event_type = 'login'"),
     "stream_auto_trigger": (auto_trigger, f"WITH l AS (SELECT event_id AS report_id, unnest(string_split({EVENT_TEXT}, chr(10))) AS s, unnest(range(0, 3)) AS sent_no FROM events WHERE event_type IN ('error', 'login')) SELECT report_id, sent_no::INTEGER AS sent_no, split_part(s, ': ', 1) AS name, split_part(s, ': ', 2) AS value, 'key_value' AS pattern FROM l"),
-    "stream_life_cycle": (life_cycle, """WITH e AS (SELECT user_id, ts, event_id, event_type FROM events WHERE event_type IN ('error', 'login')),
- s AS (SELECT *, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after FROM e),
- u AS (SELECT DISTINCT user_id FROM events)
- SELECT user_id, coalesce(bool_or(after IS NULL AND event_type = 'error'), false) AS is_open, count(*) FILTER (event_type = 'login' AND before = 'error') AS closed FROM u LEFT JOIN s USING (user_id) GROUP BY user_id"""),
+    "stream_life_cycle": (life_cycle, LIFE_CYCLE_SQL),
+    "stream_life_cycle_processor": (life_cycle_processor, LIFE_CYCLE_SQL),
     "stream_late_rows": (late_rows, "SELECT event_type, false AS late, count(*) AS n FROM events GROUP BY event_type"),
 }

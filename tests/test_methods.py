@@ -269,6 +269,7 @@ def test_life_cycles_over_batches(spark, small, tmp_path):
         want[u] = (True, closed) if t == "error" else (False, closed + 1) if t == "login" and is_open else (is_open, closed)
     got = {r["user_id"]: (r["is_open"], r["closed"]) for r in streams.life_cycle(spark, small, str(tmp_path), 1).collect()}
     assert got == want and len(got) == len(users)
+    assert {r["user_id"]: (r["is_open"], r["closed"]) for r in streams.life_cycle_processor(spark, small, str(tmp_path), 1).collect()} == want
     late = streams.late_rows(spark, small, str(tmp_path), 1).collect()
     assert sum(r["n"] for r in late) == len(events) and not any(r["late"] for r in late)
     os.utime(tmp_path / "0.parquet", (2_000_000, 2_000_000))  # the first hours come last
