@@ -6,6 +6,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 LEAST_HOT = 1000
+#: A table of a few numbers a row may be broadcast if it has no more rows than this, which is some 60 MB.
+BROADCAST_ROWS = 1_000_000
+
+
+def small_or_not(table: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """``table`` marked for broadcast if it has at most ``most`` rows, which are counted; a larger one is joined by a shuffle."""
+    return F.broadcast(table) if table.limit(most + 1).count() <= most else table
 
 
 def join_hot(rows: DataFrame, table: DataFrame, key: str, spread: list[str], how: str = "left", count: str = "n") -> DataFrame:

@@ -11,6 +11,7 @@ from pyspark.ml import Pipeline
 from pyspark.ml.classification import LinearSVC, NaiveBayes, OneVsRest, RandomForestClassifier
 from pyspark.ml.feature import BucketedRandomProjectionLSH, CountVectorizer, StringIndexer, VectorAssembler
 from pyspark.ml.functions import array_to_vector, vector_to_array
+from pyspark.ml.stat import Summarizer
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -74,8 +75,14 @@ def features(rows: DataFrame, dim: int = DIM, entries: int = 1024) -> DataFrame:
     return model.transform(rows).select("report_id", "team", "label", F.col("features").alias("features", metadata={"sources": names}))
 
 
-def fourier(rows: DataFrame, n: int = 200, gamma: float = 0.03, seed: int = 7) -> DataFrame:
-    """Random Fourier features, whose inner products approach the Gaussian kernel exp(-gamma d^2)."""
+def fourier(rows: DataFrame, n: int = 500, gamma: float | None = None, seed: int = 7) -> DataFrame:
+    """Random Fourier features, whose inner products approach the Gaussian kernel exp(-gamma d^2).
+
+    Without a ``gamma`` it is one over the mean squared distance of two rows, which is twice the sum of the inputs' variances.
+    """
+    if gamma is None:
+        spread = rows.select(Summarizer.variance(F.col("features")).alias("v")).first()["v"].toArray().sum()
+        gamma = 1 / max(2 * float(spread), 1e-9)
 
     @F.pandas_udf("array<double>")
     def mapped(x: pd.Series) -> pd.Series:
