@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from reportgraph.operators.components import connected_components
-from reportgraph.operators.hot import join_hot
+from reportgraph.operators.hot import join_hot, small_or_not
 from reportgraph.sources.io import checkpointed
 
 CODE_BITS = 15
@@ -449,6 +449,7 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
 
     def verified(pairs: DataFrame) -> DataFrame:
         wanted = pairs.select(F.col("src").alias("node")).union(pairs.select(F.col("dst"))).distinct().join(nodes.select("node", "first", F.col("least.row").alias("first_row")), "node")
+        wanted = small_or_not(checkpointed(wanted))
         # The text of a node is that of its first document; neither ids nor their lack say which text that is.
         texts = checkpointed(
             rows.join(wanted, rows["doc"].eqNullSafe(wanted["first"]) & (rows["row"] == wanted["first_row"])).groupBy("node").agg(F.min("text").alias("text"))
@@ -474,7 +475,10 @@ def one_of_each_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     First is the smallest id, nulls last, then the smallest digest of the text. Of rows of equal id and text one stays.
     """
     groups = near_duplicate_groups(docs, id_col=id_col, text_col=text_col, **options)
-    kept = groups.where(F.col("doc").eqNullSafe(F.col("kept")) & (F.col("row") == F.col("kept_row"))).select(F.col("doc").alias("__doc"), F.col("row").alias("__kept")).distinct()
+    kept = groups.where(F.col("doc").eqNullSafe(F.col("kept")) & (F.col("row") == F.col("kept_row"))).groupBy(F.col("doc").alias("__doc"), F.col("row").alias("__kept")).agg(F.count("*").alias("__times"))
+    kept = checkpointed(kept)
+    repeated = not kept.where("__times > 1").isEmpty()
     rows = docs.withColumn("__text_digest", F.xxhash64(text_col))
+    kept = small_or_not(kept.drop("__times"))
     rows = rows.join(kept, rows[id_col].eqNullSafe(kept["__doc"]) & (rows["__text_digest"] == kept["__kept"]), "left_semi")
-    return rows.dropDuplicates([id_col, "__text_digest"]).drop("__text_digest")
+    return (rows.dropDuplicates([id_col, "__text_digest"]) if repeated else rows).drop("__text_digest")
