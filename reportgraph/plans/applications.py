@@ -116,14 +116,14 @@ add("attention_shares", lambda s, d: rounded(train.attention_shares(sequences(s,
 
 # --- relations and graph from what the trained tagger finds
 @kept
-def model_mentions(spark: SparkSession, sf_dir: str) -> DataFrame:
+def model_mentions(spark: SparkSession, sf_dir: str, small: bool = False) -> DataFrame:
     """Mentions that the joint tagger finds in all reports, in patterns and in prose alike."""
-    return checkpointed(train.mentions_of(train.tag(sequences(spark, sf_dir), fitted(spark, sf_dir, "joint")[0])))
+    return checkpointed(train.mentions_of(train.tag(sequences(spark, sf_dir), fitted(spark, sf_dir, "joint", "words", 0.5, small)[0])))
 
 
 @kept
-def model_relations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    m = model_mentions(spark, sf_dir)
+def model_relations(spark: SparkSession, sf_dir: str, small: bool = False) -> DataFrame:
+    m = model_mentions(spark, sf_dir, small)
     scored = relations.score(relations.with_frequencies(relations.pairs(m), relations.frequencies(m)))
     return checkpointed(scored.select("e1", "e2", "f1", "f2", "f_joint", "total", "npmi"))
 

@@ -52,12 +52,14 @@ _MINED: dict[tuple, Mined] = {}
 
 
 def state_of(spark: SparkSession, sf_dir: str) -> tuple:
-    """Names, sizes and times of the files that reports are made of, by which a kept result is known to be of these data."""
+    """Time, size and number of files of the tables that reports are made of, by which a kept result is known to be of these data."""
     out = []
     for name in ("orders", "customer", "pages", "benchmark"):
-        files = read_table(spark, sf_dir, name).select("_metadata.file_path", "_metadata.file_size", F.col("_metadata.file_modification_time").cast("string").alias("t"))
-        out.append(files.agg(F.max(F.struct("t", "file_path", "file_size")).cast("string"), F.count("*")).first())
-    return tuple(tuple(r) for r in out)
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/{name}.parquet")
+        fs = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        content = fs.getContentSummary(path)
+        out.append((fs.getFileStatus(path).getModificationTime(), content.getLength(), content.getFileCount()))
+    return tuple(out)
 
 
 def mined(spark: SparkSession, sf_dir: str) -> Mined:

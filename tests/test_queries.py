@@ -14,6 +14,35 @@ def test_same_as_sql(spark, small, name):
     compare(query(spark, small), sql, small)
 
 
+def test_tagger_feeds_relations(spark, small):
+    """A small tagger finds mentions in prose of later reports, and their pairs are those that the rendering puts on one line."""
+    from pyspark.sql import functions as F
+
+    from reportgraph.operators import relations
+    from reportgraph.plans import applications
+    from reportgraph.plans.mining import TRUE_PAIRS
+
+    m = applications.model_mentions(spark, small, True)
+    later = applications.sequences(spark, small).where("part = 'test'").select("report_id", "sent_no")
+    assert m.join(later, ["report_id", "sent_no"]).where("entity = 'customer name'").count() > 50
+    r = applications.model_relations(spark, small, True)
+    top = {(x["e1"], x["e2"]) for x in r.orderBy(F.desc("f_joint")).limit(4).collect()}
+    assert len(top & set(TRUE_PAIRS)) >= 3 and relations.keep(r).count() >= 3
+
+
+def test_kept_results_follow_the_files(spark, tmp_path):
+    import shutil
+
+    from reportgraph.plans.mining import state_of
+
+    for name in ("orders", "customer", "pages", "benchmark"):
+        shutil.copy(f"/root/testdata/sf0.001/{name}.parquet", tmp_path)
+    before = state_of(spark, str(tmp_path))
+    assert state_of(spark, str(tmp_path)) == before
+    shutil.copy("/root/testdata/sf0.01/orders.parquet", tmp_path)
+    assert state_of(spark, str(tmp_path)) != before
+
+
 def test_routing_is_judged_on_all_folds(spark, small, monkeypatch):
     from reportgraph.plans import applications
 
