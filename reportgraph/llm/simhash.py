@@ -314,22 +314,25 @@ def shingle_keys(words: list[bytes], size: int) -> np.ndarray:
     return np.unique(key)
 
 
-def prefix(keys: np.ndarray, common: np.ndarray, rank: np.ndarray, least: float) -> np.ndarray:
-    """The keys of which two sets with a similarity of ``least`` must share one.
+def prefix(keys: np.ndarray, common: np.ndarray, rank: np.ndarray, least: float) -> tuple[np.ndarray, int]:
+    """The keys of which two sets with a similarity of ``least`` must share one, and how many of them are ``common``.
 
     All sets are read in one order: keys that are not ``common`` ascending, then the common ones by ``rank``.
     """
     if not len(keys):
-        return keys
+        return keys, 0
+    plain = len(keys)
     if len(common):
         at = np.minimum(np.searchsorted(common, keys), len(common) - 1)
         hot = common[at] == keys
+        plain -= int(hot.sum())
         keys = np.concatenate([keys[~hot], keys[hot][np.argsort(rank[at[hot]])]])
-    return keys[: len(keys) - math.ceil(least * len(keys) - 1e-9) + 1]
+    size = len(keys) - math.ceil(least * len(keys) - 1e-9) + 1
+    return keys[:size], max(0, size - plain)
 
 
-def common_keys(rows: DataFrame, size: int, sample: int = 10_000, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
-    """Keys found in several texts of a sample, and their order from rare to common.
+def common_keys(rows: DataFrame, size: int, share: int = 5, most: int = 1_000_000) -> tuple[np.ndarray, np.ndarray]:
+    """Keys found in several texts of a sample, one in ``share``, and their order from rare to common; the ``most`` common ones of them.
 
     They only shorten the lists of ``prefix_pairs``; with any other set of keys its result is the same.
     """
@@ -339,8 +342,7 @@ def common_keys(rows: DataFrame, size: int, sample: int = 10_000, most: int = 20
             for t in b.column(0).to_pylist():
                 yield pa.RecordBatch.from_arrays([pa.array(shingle_keys(tokens(t), size).view(np.int64))], names=["key"])
 
-    every = max(1, rows.count() // sample)
-    some = rows.where(F.pmod("row", F.lit(every)) == 0).select("text").mapInArrow(run, "key long")
+    some = rows.where(F.pmod("row", F.lit(share)) == 0).select("text").mapInArrow(run, "key long")
     top = some.groupBy("key").agg(F.count("*").alias("n")).where("n > 3").orderBy(F.desc("n"), "key").limit(most).toPandas()
     keys = top["key"].to_numpy(np.int64).view(np.uint64)
     order = np.argsort(keys)
@@ -350,9 +352,11 @@ def common_keys(rows: DataFrame, size: int, sample: int = 10_000, most: int = 20
 def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
     """``(src, dst)`` nodes of different groups (``own``) that may have a similarity of ``least``; none that has is left out.
 
-    ``sets`` has a distinct ``node``, ``own``, the number of its keys ``n`` and the keys of its ``prefix`` as bytes.
+    ``sets`` has a distinct ``node``, ``own``, the number of its keys ``n``, the keys of its ``prefix`` as bytes, and the number
+    of those that are ``common``, which are the last.
     The keys that two prefixes share are counted. Up to where the first of two prefixes ends these are all keys that the sets
-    share, and after it they share no more than that set has left; so a pair is kept only if both together may be enough.
+    share, and after it they share no more than that set has left; so a pair is kept only if both together may be enough. At a
+    common key only pairs are seen that may share it first; so as many as both have may be missing from the count.
     """
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -363,19 +367,21 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
                 count = np.array([len(x) for x in keys], np.int64)
                 at = np.repeat(np.arange(len(keys)), count)
                 left = np.concatenate([int(n) - np.arange(len(x)) for n, x in zip(b.column(2).to_pylist(), keys)])
-                node, own, n = (b.column(i).to_numpy(zero_copy_only=False)[at] for i in range(3))
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(node), pa.array(own), pa.array(n), pa.array(left.astype(np.int32))], names=["key", "node", "own", "n", "left"])
+                node, own, n, late = (b.column(i).to_numpy(zero_copy_only=False)[at] for i in (0, 1, 2, 4))
+                before = np.concatenate([np.arange(len(x)) for x in keys])
+                last = before >= count[at] - late
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(node), pa.array(own), pa.array(n), pa.array(left.astype(np.int32)), pa.array(late.astype(np.int32)), pa.array(last)], names=["key", "node", "own", "n", "left", "late", "last"])
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        columns = ([b.column(i).to_numpy(zero_copy_only=False) for i in range(5)] for b in batches)
+        columns = ([b.column(i).to_numpy(zero_copy_only=False) for i in range(7)] for b in batches)
         out: list[tuple[np.ndarray, ...]] = []
         size = 0
 
         def batch() -> pa.RecordBatch:
-            parts = [np.concatenate([x[i] for x in out] or [np.zeros(0, np.int64)]) for i in range(4)]
-            return pa.RecordBatch.from_arrays([pa.array(parts[0]), pa.array(parts[1]), pa.array(parts[2].astype(np.int32)), pa.array(parts[3].astype(np.int32))], names=["src", "dst", "n1", "n2"])
+            parts = [np.concatenate([x[i] for x in out] or [np.zeros(0, np.int64)]) for i in range(5)]
+            return pa.RecordBatch.from_arrays([pa.array(parts[0]), pa.array(parts[1]), *[pa.array(x.astype(np.int32)) for x in parts[2:]]], names=["src", "dst", "n1", "n2", "unseen"])
 
-        for (_, node, own, n, left), bounds in _whole_runs(columns):
+        for (_, node, own, n, left, late, last), bounds in _whole_runs(columns):
             starts = np.concatenate([[0], bounds])
             ends = np.append(bounds, len(node))
             mixed = np.flatnonzero(np.minimum.reduceat(own, starts) != np.maximum.reduceat(own, starts))
@@ -389,12 +395,14 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
                     e = int(min(after[k], k + max(1, (1 << 20) // max(1, z - a - after[k]))))  # rows of one group
                     rest = slice(int(after[k]), z - a)
                     # At most as many keys are shared as come before in both and, from here on, as are left in both.
-                    most = np.minimum((m - r)[k:e, None], (m - r)[rest]) + np.minimum(r[k:e, None], r[rest])
+                    most = np.minimum(r[k:e, None], r[rest])
+                    if not last[a]:  # of a common key, only pairs that may share none before it
+                        most = most + np.minimum((m - r)[k:e, None], (m - r)[rest])
                     i, j = np.nonzero(most * (1 + least) >= least * (m[k:e, None] + m[rest]) - 1e-6)
                     if len(i):
                         x, y = order[k + i], order[int(after[k]) + j]
                         x, y = np.where(node[x] < node[y], x, y), np.where(node[x] < node[y], y, x)
-                        out.append((node[x], node[y], n[x], n[y]))
+                        out.append((node[x], node[y], n[x], n[y], np.minimum(late[x], late[y])))
                         size += len(i)
                     if size > 100_000:
                         yield batch()
@@ -402,13 +410,13 @@ def prefix_pairs(sets: DataFrame, least: float) -> DataFrame:
                     k = e
         yield batch()
 
-    rows = sets.select("node", "own", "n", "prefix").where("n > 0").mapInArrow(spread, "key long, node long, own long, n int, left int")
+    rows = sets.select("node", "own", "n", "prefix", "common").where("n > 0").mapInArrow(spread, "key long, node long, own long, n int, left int, late int, last boolean")
     parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    pairs = rows.repartition(parts, "key").sortWithinPartitions("key").mapInArrow(compare, "src long, dst long, n1 int, n2 int")
-    pairs = pairs.groupBy("src", "dst", "n1", "n2").agg(F.count("*").alias("shared"))
+    pairs = rows.repartition(parts, "key").sortWithinPartitions("key").mapInArrow(compare, "src long, dst long, n1 int, n2 int, unseen int")
+    pairs = pairs.groupBy("src", "dst", "n1", "n2", "unseen").agg(F.count("*").alias("shared"))
     after = lambda n: F.ceil(least * F.col(n) - 1e-9) - 1  # noqa: E731 - keys after a prefix
     enough = least / (1 + least) * (F.col("n1") + F.col("n2")) - 1e-6
-    return pairs.where(F.col("shared") + F.greatest(after("n1"), after("n2")) >= enough).select("src", "dst")
+    return pairs.where(F.col("shared") + F.col("unseen") + F.greatest(after("n1"), after("n2")) >= enough).select("src", "dst")
 
 
 def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -421,22 +429,24 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            node, prints, n, keys = [], [], [], []
+            node, prints, n, keys, late = [], [], [], [], []
             for t in b.column(2).to_pylist():
                 w = tokens(t)
                 node.append(xxhash.xxh3_64_intdigest(b" ".join(w)))
                 prints.append(wide_print(w))
                 k = shingle_keys(w, size)
                 n.append(len(k))
-                keys.append(prefix(k, common, rank, similarity_least).tobytes())
+                first, hot = prefix(k, common, rank, similarity_least)
+                keys.append(first.tobytes())
+                late.append(hot)
             fp = np.array(prints, np.uint64).reshape(-1, WIDE_WORDS).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)], pa.array(n, pa.int32()), pa.array(keys, pa.binary())], names=["doc", "row", "node", *words, "n", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.array(node, np.uint64).view(np.int64)), *[pa.array(fp[:, i].copy()) for i in range(WIDE_WORDS)], pa.array(n, pa.int32()), pa.array(keys, pa.binary()), pa.array(late, pa.int32())], names=["doc", "row", "node", *words, "n", "prefix", "common"])
 
     words = [f"w{i}" for i in range(WIDE_WORDS)]
     kind = dict(docs.dtypes)[id_col]
     rows = docs.select(F.col(id_col).alias("doc"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("row"))
     common, rank = common_keys(rows, size)
-    prints = checkpointed(rows.select("doc", "row", "text").mapInArrow(run, f"doc {kind}, row long, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary"))
+    prints = checkpointed(rows.select("doc", "row", "text").mapInArrow(run, f"doc {kind}, row long, node long, " + ", ".join(f"{w} long" for w in words) + ", n int, prefix binary, common int"))
     rank_of = F.struct(F.col("doc").isNull().alias("last"), "doc", "row")
     nodes = prints.groupBy("node").agg(F.min(rank_of).alias("least"), F.count("*").alias("n"), *[F.first(w).alias(w) for w in words]).withColumn("first", F.col("least.doc"))
     number = F.col("first") if kind in ("bigint", "int", "smallint", "tinyint") else F.xxhash64("first")
@@ -458,7 +468,7 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
         return both.where(likeness("ta", "tb") >= similarity_least).select("src", "dst")
 
     parts = checkpointed(connected_components(verified(links)))
-    sets = prints.groupBy("node").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix")).join(parts, "node", "left")
+    sets = prints.groupBy("node").agg(F.first("n").alias("n"), F.first("prefix").alias("prefix"), F.first("common").alias("common")).join(parts, "node", "left")
     more = checkpointed(prefix_pairs(sets.withColumn("own", F.coalesce("component", "node")), similarity_least))
     parts = connected_components(verified(more).unionByName(parts.select(F.col("node").alias("src"), F.col("component").alias("dst"))))
     linked = nodes.select("node", "least", "n").join(parts, "node")

@@ -544,8 +544,10 @@ def test_prefix_pairs_miss_nothing(spark):
         sets[2 * k + 1] = set(own[: max(1, len(own) * 9 // 10)]) | ({rng.randrange(50)} if k % 3 else set())
     common = np.array(sorted({x for v in list(sets.values())[:20] for x in v}), np.uint64)
     rank = np.random.default_rng(2).permutation(len(common))
-    rows = [(i, i, len(v), simhash.prefix(np.array(sorted(v), np.uint64), common, rank, 0.8).tobytes()) for i, v in sets.items()]
-    df = spark.createDataFrame(rows, "node long, own long, n int, prefix binary")
+    first = {i: simhash.prefix(np.array(sorted(v), np.uint64), common, rank, 0.8) for i, v in sets.items()}
+    assert any(hot for _, hot in first.values()) and not all(hot for _, hot in first.values())
+    rows = [(i, i, len(v), first[i][0].tobytes(), first[i][1]) for i, v in sets.items()]
+    df = spark.createDataFrame(rows, "node long, own long, n int, prefix binary, common int")
     got = {tuple(r) for r in simhash.prefix_pairs(df, 0.8).collect()}
     want = {(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])}
     assert len(want) > 20 and want <= got and len(got) < 200
