@@ -370,3 +370,98 @@ def test_plans_stay_native(spark, small):
 
     plan = patterns.extract_all(T.sentences(corpus.order_reports(spark, small)))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "CartesianProduct" not in plan
+
+
+def test_kept_options_with_and_without_their_defaults(spark, small):
+    from reportgraph.plans import applications
+
+    runs = []
+
+    @applications.kept
+    def numbered_for_test(spark, sf_dir, kind="a", size=1):
+        runs.append((kind, size))
+        return len(runs)
+
+    assert numbered_for_test(spark, small) == numbered_for_test(spark, small, "a") == numbered_for_test(spark, small, "a", 1) == 1
+    assert numbered_for_test(spark, small, "b") == 2 and len(runs) == 2
+
+
+def test_sentences_of_one_form_are_decoded_once(spark, monkeypatch):
+    table = [(i, 0, ["Ip", f"10.0.0.{i % 10}", "Down" if i % 2 else "down"]) for i in range(300)]
+    rows = spark.createDataFrame(table, "report_id long, sent_no int, tokens array<string>")
+    seen = spark.sparkContext.accumulator(0)
+    decoded = train._decoded
+
+    def counted(forms, *more):
+        seen.add(forms.count())
+        return decoded(forms, *more)
+
+    monkeypatch.setattr(train, "_decoded", counted)
+    vectors = {"ip": np.ones(8), "10.0.0.1": np.full(8, 2.0)}
+    for m in (tiny_tagger(), model.joint_tagger(8, 6, ("O", "B-ip", "I-ip"), ("O", "B-IP", "I-IP"), vectors=vectors)):
+        start = seen.value
+        got = {r["report_id"]: r for r in train.tag(rows, m).collect()}
+        assert len(got) == 300 and seen.value - start <= 4
+        for i in (0, 1, 2, 7):
+            x = train.token_matrix(list(train.spelled(table[i][2], m.vectors)), m.dim, m.vectors)[None]
+            assert got[i]["tokens"] == table[i][2] and got[i]["pred"] == [m.tags[0][k] for k in m.decode(x)[0]]
+    monkeypatch.setattr(train, "BROADCAST_FORMS", 0)
+    assert {r["report_id"]: r for r in train.tag(rows, m).collect()} == got
+
+
+def test_nearest_of_all_training_rows(spark, monkeypatch):
+    from pyspark.ml.functions import array_to_vector
+
+    monkeypatch.setattr(triage, "PACK", 37)
+    rng = np.random.default_rng(5)
+    x = np.concatenate([np.round(rng.normal(size=(300, 3)) * 2), np.full((300, 1), 9.0)], 1)
+    y = rng.integers(0, 3, 300).astype(float)
+    rows = spark.createDataFrame([(i, float(y[i]), v.tolist()) for i, v in enumerate(x)], "report_id long, label double, x array<double>").withColumn("features", array_to_vector("x"))
+    learn, ask = rows.where("report_id % 3 <> 0"), rows.where("report_id % 3 = 0")
+    got = {r["report_id"]: r["prediction"] for r in triage.KNearest().fit(learn).transform(ask).collect()}
+    ids = np.array([i for i in range(300) if i % 3])
+    for i in range(0, 300, 3):
+        near = ids[np.lexsort((ids, ((x[ids] - x[i]) ** 2).sum(1)))[:5]]
+        votes = [(-(y[near] == c).sum(), c) for c in (0.0, 1.0, 2.0)]
+        assert got[i] == min(votes)[1]
+    hashed = triage.HashedNearest(width=1.0, tables=2).fit(learn)
+    pairs = hashed.model.approxSimilarityJoin(ask.select("report_id", "features"), learn.select("report_id", "features"), float("inf"), "d")
+    met = {}
+    for r in pairs.select("datasetA.report_id", "datasetB.report_id").toDF("a", "b").collect():
+        met.setdefault(r["a"], set()).add(r["b"])
+    found = {}
+    for r in hashed.neighbours(hashed._hashed(ask)).collect():
+        found.setdefault(r["report_id"], {})[r["rank"]] = r["other"]
+    for i in range(0, 300, 3):
+        own = np.array(sorted(met.get(i, ())), int)
+        near = own[np.lexsort((own, ((x[own] - x[i]) ** 2).sum(1)))[:5]].tolist()
+        assert [found.get(i, {})[k] for k in sorted(found.get(i, {}))] == near
+
+
+def test_classes_are_fitted_with_own_properties(spark):
+    from pyspark.ml.classification import LinearSVC, OneVsRest
+    from pyspark.ml.functions import array_to_vector
+
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(400, 2))
+    y = (x[:, 0] > 0).astype(int) + 2 * (x[:, 1] > 0)
+    rows = spark.createDataFrame([(i, float(y[i]), v.tolist()) for i, v in enumerate(x)], "report_id long, label double, x array<double>").withColumn("features", array_to_vector("x")).persist()
+    svm = LinearSVC(maxIter=12, regParam=0.001)
+    owners = []
+
+    class Probe:
+        labelCol = svm.labelCol
+
+        def copy(self, extra):
+            return self
+
+        def fit(self, binary):
+            owners.append(spark._jvm.System.identityHashCode(spark.sparkContext._jsc.sc().getLocalProperties()))
+            return svm.copy({svm.labelCol: "own"}).fit(binary)
+
+    triage.one_against_rest(rows, Probe())
+    assert len(owners) == len(set(owners)) == 4
+    got = triage.one_against_rest(rows, svm)
+    same = OneVsRest(classifier=svm, parallelism=1).fit(rows)
+    assert all(np.allclose(a.coefficients.toArray(), b.coefficients.toArray()) for a, b in zip(got.models, same.models)) and len(got.models) == 4
+    assert [r["prediction"] for r in got.transform(rows).orderBy("report_id").collect()] == [r["prediction"] for r in same.transform(rows).orderBy("report_id").collect()]
