@@ -465,3 +465,45 @@ def test_classes_are_fitted_with_own_properties(spark):
     same = OneVsRest(classifier=svm, parallelism=1).fit(rows)
     assert all(np.allclose(a.coefficients.toArray(), b.coefficients.toArray()) for a, b in zip(got.models, same.models)) and len(got.models) == 4
     assert [r["prediction"] for r in got.transform(rows).orderBy("report_id").collect()] == [r["prediction"] for r in same.transform(rows).orderBy("report_id").collect()]
+
+
+def test_hashed_pairs_of_a_crowded_bucket(spark):
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(400, 4)) * 0.6
+    pts = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vector array<double>")
+    rows = pts.select("id", array_to_vector("vector").alias("features"))
+    lsh = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=1.0, numHashTables=6, seed=7).fit(rows)
+    pairs = lsh.approxSimilarityJoin(rows, rows, 0.5, "d").select(F.col("datasetA.id").alias("a"), F.col("datasetB.id").alias("b")).where("a < b")
+    got = titles.neighbour_pairs_hashed(pts, 0.5, block=64)
+    assert sorted((r["a"], r["b"]) for r in got.collect()) == sorted(tuple(r) for r in pairs.collect())
+    assert "MapInPandas" in got._jdf.queryExecution().toString()
+
+
+def test_nearest_shuffles_no_point_twice(spark):
+    rng = np.random.default_rng(10)
+    x = np.round(rng.normal(size=(500, 2)), 1)
+    pts = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vector array<double>")
+    got = titles.nearest(pts, 3, block=60)
+    found = {(r["id"], r["rank"]): r["other"] for r in got.collect()}
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(-1))
+    np.fill_diagonal(d, np.inf)
+    ids = np.arange(500)
+    assert all(found[i, r + 1] == ids[np.lexsort((ids, d[i]))][r] for i in range(500) for r in range(3))
+    assert "applyInPandas" not in str(got._jdf.queryExecution().optimizedPlan()) and "FlatMapGroupsInPandas" not in str(got._jdf.queryExecution().optimizedPlan())
+
+
+def test_word_vectors_are_learned_in_many_tasks(spark):
+    rows = spark.createDataFrame([(["a", "b", "c", f"w{i % 7}"],) for i in range(200)], "tokens array<string>")
+    got = vectors.train_word2vec(rows, dim=4, min_count=3)
+    assert got.getNumPartitions() == spark.sparkContext.defaultParallelism > 1 and got.getVectors().count() == 10
+
+
+def test_kinds_of_entities_keep_no_values_in_buffers(spark):
+    rows = [("note", f"a b c d e {i}") for i in range(6)] + [("note", "x")] * 6 + [("code", "1")] * 5 + [("code", "1 2")] * 3
+    m = spark.createDataFrame(rows, "entity string, value string")
+    kinds = triage.entity_kind(m, spark.createDataFrame([("note", "Alphabetical"), ("code", "Other")], "entity string, value_type string"))
+    assert {tuple(r) for r in kinds.collect()} == {("note", 1, 0.583333, "descriptive"), ("code", 1, 0.25, "categorical")}
+    assert "percentile" not in kinds._jdf.queryExecution().optimizedPlan().toString()
