@@ -507,3 +507,10 @@ def test_kinds_of_entities_keep_no_values_in_buffers(spark):
     kinds = triage.entity_kind(m, spark.createDataFrame([("note", "Alphabetical"), ("code", "Other")], "entity string, value_type string"))
     assert {tuple(r) for r in kinds.collect()} == {("note", 1, 0.583333, "descriptive"), ("code", 1, 0.25, "categorical")}
     assert "percentile" not in kinds._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_differences_come_from_orders(spark, small):
+    from reportgraph.plans.registry import QUERIES
+
+    plan = QUERIES["delta_pct"][0](spark, small)
+    assert any("orders.parquet" in f for f in plan.inputFiles()) and plan.count() == 5
