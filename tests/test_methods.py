@@ -514,3 +514,21 @@ def test_differences_come_from_orders(spark, small):
 
     plan = QUERIES["delta_pct"][0](spark, small)
     assert any("orders.parquet" in f for f in plan.inputFiles()) and plan.count() == 5
+
+
+def test_reports_are_dealt_to_all_tasks(spark, small):
+    """The table of orders is one small file, whose reports one task would make."""
+    from reportgraph.sources import corpus
+
+    assert corpus.order_reports(spark, small).rdd.getNumPartitions() >= 4
+
+
+def test_sentences_to_learn_from_are_told_before_they_are_cut(spark):
+    long = " ".join(["w"] * 400)
+    s = spark.createDataFrame([(i, i % 3, long if i in (5, 77) else f"Source Ip: 10.0.0.{i}") for i in range(120)], "report_id long, sent_no int, text string")
+    none = spark.createDataFrame([], "report_id long, sent_no int, begin int, size int, entity string, value string")
+    types = spark.createDataFrame([("ip", "IP")], TYPES)
+    some = train.fit_sentences(s, 20)
+    assert 20 <= some.count() <= 22 and {5, 77} <= {r["report_id"] for r in some.collect()}
+    whole, part = (train.fit(labeling.encode(x, none, types), tiny_tagger(), rounds=1, max_sentences=20)[0].weights for x in (s, some))
+    assert all(np.allclose(whole[k], part[k]) for k in whole)
