@@ -532,3 +532,22 @@ def test_sentences_to_learn_from_are_told_before_they_are_cut(spark):
     assert 20 <= some.count() <= 22 and {5, 77} <= {r["report_id"] for r in some.collect()}
     whole, part = (train.fit(labeling.encode(x, none, types), tiny_tagger(), rounds=1, max_sentences=20)[0].weights for x in (s, some))
     assert all(np.allclose(whole[k], part[k]) for k in whole)
+
+
+def test_values_from_texts_are_those_from_tokens(spark, monkeypatch):
+    """Texts that differ in digits are cut and decoded once, and values are the same as from each sentence's own tokens."""
+    texts = [f"Source Ip: 10.0.{i}.7, orderPriority=1-URGENT\tA{i}b  Ärger😀{i} x@y{i}.org" for i in range(40)] + ["...", "", "http://a.b/1 tab\tt 12", "\u0663 7\x0b8 \x0c 9", "HTTPServer v2 😀 00", "null 5 😀😀 6-7"]
+    s = spark.createDataFrame([(i, 0, t) for i, t in enumerate(texts)] + [(99, 0, None)], "report_id long, sent_no int, text string")
+    for seed in (2,):
+        m = model.joint_tagger(8, 6, ("O", "B-ip", "I-ip", "B-x", "I-x"), ("O", "B-IP", "I-IP"), seed=seed)
+        for tokens in ("words", "no separators", "blanks"):
+            want = train.mentions_of(train.tag(labeling.token_rows(s.where("text IS NOT NULL"), tokens), m).drop("spans"))
+            assert sorted(map(tuple, train.text_mentions(s, m, tokens).collect())) == sorted(map(tuple, want.collect()))
+    cut, seen = train.token_rows, spark.sparkContext.accumulator(0)
+
+    def counted(rows, *more):
+        seen.add(rows.count())
+        return cut(rows, *more)
+
+    monkeypatch.setattr(train, "token_rows", counted)
+    assert train.text_mentions(s, m).select("report_id").distinct().count() > 40 and seen.value <= 10
