@@ -5,6 +5,7 @@ import itertools
 import math
 import os
 import random
+import re
 
 import numpy as np
 import pytest
@@ -551,3 +552,58 @@ def test_values_from_texts_are_those_from_tokens(spark, monkeypatch):
 
     monkeypatch.setattr(train, "token_rows", counted)
     assert train.text_mentions(s, m).select("report_id").distinct().count() > 40 and seen.value <= 10
+
+
+def test_the_edge_in_time_is_exact_and_no_sketch(spark, monkeypatch):
+    monkeypatch.setattr(labeling.F, "percentile_approx", None)
+    for days in ([3] * 7 + [1] * 2 + [9, 4, None], [5], [2, 1], list(range(1, 29)) * 40):
+        rows = spark.createDataFrame([(i, d and f"2020-01-{d:02d}") for i, d in enumerate(days)], "report_id long, day string").withColumn("at", labeling.F.to_timestamp("day"))
+        known = sorted(d for d in days if d)
+        edge = known[max(1, math.ceil(0.8 * len(known))) - 1]
+        got = {r["report_id"]: r["part"] for r in labeling.temporal_split(rows, "at").collect()}
+        assert got == {i: "test" if d and d > edge else "train" for i, d in enumerate(days)}
+    assert {r["part"] for r in labeling.temporal_split(rows.where("at IS NULL"), "at").collect()} <= {"train"}
+
+
+@pytest.mark.parametrize("few", [True, False])
+def test_windows_by_brute_force(spark, monkeypatch, few):
+    """Each word is a window by itself, so sentences are not gathered again by a shuffle to cut out longer ones."""
+    if not few:
+        monkeypatch.setattr(propagate, "BROADCAST_VALUES", 0)
+    values = [("new york", 2, "city"), ("york", 1, "town"), ("new york city hall", 4, "place"), ("rome.", 1, "x"), ("10.0.0.1", 1, "ip"), ("...", 1, "dots")]
+    texts = ["we saw new york, york. new\tyork city hall!", "rome. rome new york", "at 10.0.0.1!? new", "... new york city", ""]
+    s = spark.createDataFrame([(1, i, t) for i, t in enumerate(texts)], "report_id long, sent_no int, text string")
+    d = spark.createDataFrame([(v, n, e, 1) for v, n, e in values], "value string, tokens int, entity string, support long")
+    found = propagate.occurrences(s, d)
+    want = set()
+    for i, t in enumerate(texts):
+        w = re.split("[ \t]+", t)
+        want |= {(i, b, n, x) for b in range(len(w)) for n in range(1, 5) if b + n <= len(w) and (x := re.sub("[,.;!?]+$", "", " ".join(w[b : b + n]))) in dict((v, e) for v, _, e in values)}
+    got = [(r["sent_no"], r["begin"], r["size"], r["value"]) for r in found.join(d.select("value"), "value").collect()]
+    assert set(got) == want and len(got) == len(want)
+    assert ("hashpartitioning(report_id" in found._jdf.queryExecution().executedPlan().toString()) != few
+
+
+def test_sentences_to_learn_from_of_some_reports(spark):
+    long = " ".join(["w"] * 400)
+    s = spark.createDataFrame([(i, k, long if i in (5, 77) else f"Source Ip: 10.0.0.{i}") for i in range(120) for k in range(2)], "report_id long, sent_no int, text string")
+    for share in (2, 60):  # of the first sentences there are enough, or too few, of those reports
+        reports = spark.createDataFrame([(i, "train") for i in range(120) if i % share == 1 or i in (5, 78)], "report_id long, part string")
+        want = train.fit_sentences(s.join(reports, "report_id"), 20)
+        got = train.fit_sentences(s, 20, reports)
+        key = lambda df: sorted((r["report_id"], r["sent_no"], r["part"], r["text"]) for r in df.collect())
+        assert key(got) == key(want)
+
+
+def test_few_forms_are_decoded_by_few_tasks(spark, monkeypatch):
+    """A task decodes sentences of one length together; two hundred tasks for some thousand forms would take a few at a time."""
+    forms = spark.range(5000).selectExpr("array(cast(id as string)) AS form", "1L AS n")
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        spark.conf.set("spark.sql.shuffle.partitions", "50")
+        assert train._dealt(forms).rdd.getNumPartitions() == 4
+        monkeypatch.setattr(train, "TASK_FORMS", 100)
+        dealt = train._dealt(forms)
+        assert dealt.rdd.getNumPartitions() == 50 and dealt.count() == 5000
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
