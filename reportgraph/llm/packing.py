@@ -11,6 +11,7 @@ from __future__ import annotations
 import zlib
 from collections import deque
 from collections.abc import Iterator
+from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
@@ -56,7 +57,8 @@ class WordIds:
         self.border = self.tokenizer.token_to_id(BORDER)
 
     def encode(self, text: str) -> bytes:
-        return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        # The same ids as from the library's `encode`, which would also follow each token's place in the text.
+        return np.asarray(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4").tobytes()
 
     def _learn_words(self, words: list[str]) -> None:
         if not words:
@@ -87,11 +89,11 @@ class WordIds:
 
     def learn(self, pieces: list[str]) -> None:
         """Adds pieces to those known."""
+        odd = [p for p in pieces if not p.isascii() and max(p) >= "\u0130"]
+        if odd:  # some may have to be composed, or their lower case is more than one letter
+            self._learn_pieces(odd)
+            pieces = list(set(pieces).difference(odd))
         blob = "\n".join(pieces)
-        if max(blob, default="") >= "\u0130":  # some may have to be composed, or their lower case is more than one letter
-            self._learn_pieces([p for p in pieces if max(p) >= "\u0130"])
-            pieces = [p for p in pieces if max(p) < "\u0130"]
-            blob = "\n".join(pieces)
         lows = blob.lower().split("\n") if pieces else []
         cores = [x.rstrip(SIGNS) for x in lows]
         words = self.words
@@ -116,7 +118,7 @@ class WordIds:
             self.pieces, self.words = {"": b""}, {}
         self.learn(list(set().union(*cut).difference(self.pieces)))
         known = self.pieces
-        return [b"".join(map(known.__getitem__, c)) for c in cut]
+        return [b"".join(itemgetter(*c)(known)) if len(c) > 1 else known[c[0]] for c in cut]
 
 
 _READY: dict[str, WordIds] = {}

@@ -726,3 +726,24 @@ def test_pipeline(spark, small):
             assert sorted(out.columns) == sorted(docs.columns)
             docs = spark.createDataFrame(out.toPandas(), docs.schema)
     assert out.count() > 0
+
+
+def test_ids_without_places_are_the_librarys():
+    """The call that follows each token's place in the text is not made, and the ids are the same."""
+    import numpy as np
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from reportgraph.llm.packing import WordIds
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library = Tokenizer.from_file(path)
+
+    class Fast:
+        encode_batch_fast = library.encode_batch_fast
+
+    words = WordIds(path)
+    words.tokenizer = Fast()
+    texts = ["", "a", " ", "Plain words, and  more.", "İstanbul 中文 café café Ärger! <|endoftext|> x1-2", "中文\n中文", "ẞ straße Σσς"]
+    for _ in range(2):
+        assert words.documents(texts) == [np.asarray(library.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
