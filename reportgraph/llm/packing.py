@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from reportgraph.llm.worker import held, slices
 from reportgraph.operators.ranges import range_edges, range_of
 
 WINDOW = 4096
@@ -121,14 +122,9 @@ class WordIds:
         return [b"".join(itemgetter(*c)(known)) if len(c) > 1 else known[c[0]] for c in cut]
 
 
-_READY: dict[str, WordIds] = {}
-
-
 def word_ids(path: str) -> WordIds:
     """This process's ids."""
-    if path not in _READY:
-        _READY[path] = WordIds(path)
-    return _READY[path]
+    return held("packing", path, lambda: WordIds(path))
 
 
 def by_size(rows: Iterator[tuple], chars: int = 1 << 19) -> Iterator[list[tuple]]:
@@ -288,7 +284,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = word_ids(tokenizer_path)
         packer, out = None, []
-        for part in by_size(row for b in batches for row in zip(*(b.column(k).to_pylist() for k in range(3)))):
+        for part in by_size(row for b in slices(batches) for row in zip(*(b.column(k).to_pylist() for k in range(3)))):
             for (doc_id, _, r), ids in zip(part, words.documents([x[1] for x in part])):
                 if packer is None:
                     packer = _Packer((r + 1) << 40, words.sentence_end, window)

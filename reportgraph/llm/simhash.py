@@ -21,6 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from reportgraph.llm.worker import slices, turn
 from reportgraph.operators.components import connected_components
 from reportgraph.operators.hot import join_hot, small_or_not
 from reportgraph.sources.io import checkpointed
@@ -112,7 +113,8 @@ def fingerprints(docs: DataFrame, size: int = 4, id_col: str = "doc_id", text_co
     kind = dict(docs.dtypes)[id_col]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        turn("simhash")
+        for b in slices(batches):
             fp = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], names=["doc_id", "fp"])
 
@@ -338,7 +340,8 @@ def common_keys(rows: DataFrame, size: int, share: int = 5, most: int = 1_000_00
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        turn("simhash")
+        for b in slices(batches):
             for t in b.column(0).to_pylist():
                 yield pa.RecordBatch.from_arrays([pa.array(shingle_keys(tokens(t), size).view(np.int64))], names=["key"])
 
@@ -428,7 +431,8 @@ def near_duplicate_groups(docs: DataFrame, similarity_least: float = SIMILARITY,
     dense groups; all pairs that these leave in different groups are then looked for by ``prefix_pairs``.
     """
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        turn("simhash")
+        for b in slices(batches):
             node, prints, n, keys, late = [], [], [], [], []
             for t in b.column(2).to_pylist():
                 w = tokens(t)

@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from reportgraph.llm.worker import slices, turn
 from reportgraph.operators.hot import join_hot
 from reportgraph.sources.io import checkpointed
 
@@ -30,7 +31,7 @@ UNIT_END = re.compile(r"[.!?]+[\"')\]]*(?=\s|$)[^\S\n]*|\n+")
 WORD = re.compile(r"[^\W_]+")
 #: Sentences of more words than this are cut, after one word in ``CUT_SHARE``, or after as many words again without such.
 LONG_SENTENCE, CUT_SHARE = 24, 10
-MEMO = 300_000
+MEMO = 100_000
 SPANS = "array<struct<start:int,end:int>>"
 
 
@@ -79,15 +80,17 @@ def unit_table(docs: DataFrame) -> DataFrame:
     names = ["row", "doc", "unit", "start", "end", "words", "digest"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        turn("substring dedup")
+        for b in slices(batches):
             out: list[tuple] = []
             for r, i, text in zip(*(b.column(k).to_pylist() for k in range(3))):
                 out.extend((r, i, n, *u) for n, u in enumerate(units(text)))
-                if len(out) > 50_000:
+                if len(out) > 20_000:
                     yield pack(out)
                     out = []
             if out:
                 yield pack(out)
+        _CUTS.clear()
 
     def pack(out: list[tuple]) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names=names)

@@ -747,3 +747,35 @@ def test_ids_without_places_are_the_librarys():
     texts = ["", "a", " ", "Plain words, and  more.", "İstanbul 中文 café café Ärger! <|endoftext|> x1-2", "中文\n中文", "ẞ straße Σσς"]
     for _ in range(2):
         assert words.documents(texts) == [np.asarray(library.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+
+
+def test_workers_keep_nothing_of_earlier_operators():
+    """A worker that has packed holds none of it when passages are sought in it, nor the words of these when they are done."""
+    import public_tokenizers
+    import pyarrow as pa
+    from pyspark.sql.types import LongType, StringType, StructField, StructType
+
+    from reportgraph.llm import worker
+
+    class Rows:
+        dtypes = [("__row", "bigint"), ("__doc", "bigint"), ("__text", "string")]
+        schema = StructType([StructField("__row", LongType()), StructField("__doc", LongType()), StructField("__text", StringType())])
+
+        def select(self, *names):
+            return self
+
+        def mapInArrow(self, run, schema):
+            return run
+
+    packing.word_ids(str(public_tokenizers.path("word_bpe_49k.json")))
+    assert list(worker._HELD)
+    text = " ".join(f"w{i}" for i in range(60)) + "."
+    ids = list(range(worker.SLICE_ROWS * 2 + 1))
+    batch = pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(ids, pa.int64()), pa.array([text] * len(ids))], names=["row", "doc", "text"])
+    got = [b for b in substring_dedup.unit_table(Rows())(iter([batch]))]
+    assert len(got) == 3 and sum(b.num_rows for b in got) == len(ids) * len(substring_dedup.units(text))
+    assert list(dict.fromkeys(x for b in got for x in b.column(1).to_pylist())) == ids
+    assert not worker._HELD
+    substring_dedup._CUTS.clear()
+    list(substring_dedup.unit_table(Rows())(iter([batch])))
+    assert not substring_dedup._CUTS
