@@ -607,3 +607,38 @@ def test_few_forms_are_decoded_by_few_tasks(spark, monkeypatch):
         assert dealt.rdd.getNumPartitions() == 50 and dealt.count() == 5000
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def test_machines_of_all_folds_side_by_side(spark):
+    """Machines fitted in common passes come as low as the library in as many steps, and the passes do not grow with classes and folds."""
+    from pyspark.ml.classification import LinearSVC
+    from pyspark.ml.functions import array_to_vector
+
+    from reportgraph.operators import triage
+
+    rng = np.random.default_rng(5)
+    centres = rng.normal(0, 1, (6, 8)) * [1, 2, 0.1, 5, 1, 1, 1, 0]
+    y = np.arange(600) % 6
+    x = centres[y] + rng.normal(0, 0.8, (600, 8)) * [1, 1, 0.05, 3, 1, 1, 1, 0] + 3
+    rows = spark.createDataFrame([(i, float(k), v.tolist()) for i, (k, v) in enumerate(zip(y, x))], "report_id long, label double, x array<double>")
+    rows = rows.select("report_id", "label", array_to_vector("x").alias("features")).persist()
+    folded = rows.withColumn("fold", F.pmod(F.xxhash64("report_id"), F.lit(3)).cast("int"))
+    got = triage.MarginsOfFolds(folded, 3, steps=12, penalty=0.01)
+    assert set(got.weights) == {(k, c) for k in range(3) for c in range(6)}
+    binary = folded.where("fold <> 1").withColumn("own", (F.col("label") == 4).cast("double"))
+    same = LinearSVC(maxIter=12, regParam=0.01, labelCol="own").fit(binary)
+    part = binary.toPandas()
+    m, sign = np.stack([v.toArray() for v in part["features"]]), np.where(part["own"] > 0, 1, -1)
+
+    def loss(w, b):
+        return np.maximum(0, 1 - sign * (m @ w + b)).mean() + 0.005 * ((w * m.std(0, ddof=1)) ** 2).sum()
+
+    ours, theirs = loss(got.weights[1, 4][:-1], got.weights[1, 4][-1]), loss(same.coefficients.toArray(), same.intercept)
+    assert got.weights[1, 4][7] == 0 and ours <= theirs * 1.02, (ours, theirs)
+
+    spark.sparkContext.setJobGroup("machines", "machines")
+    out = triage.cross_validate(rows, "linear_svm", folds=3).collect()
+    jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup("machines"))
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert sum(r["rows"] for r in out) == 600 and sum(r["correct"] for r in out) > 300 and [r["fold"] for r in out] == [0, 1, 2]
+    assert jobs < 120, jobs
