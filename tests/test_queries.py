@@ -50,3 +50,25 @@ def test_routing_is_judged_on_all_folds(spark, small, monkeypatch):
     assert {r["rows"] for r in QUERIES["triage_naive_bayes"][0](spark, small).collect()} == {sample}
     monkeypatch.setattr(applications, "triage_accuracy", lambda spark, sf_dir, model, folds: (model, folds))
     assert all(QUERIES[f"triage_{m}"][0](spark, small) == (m, None) for m in applications.triage.MODELS)
+
+
+def test_recall_reads_no_sentences_again(spark, small, monkeypatch):
+    """Recall over the later reports, without another copy of all sentences; as counted by hand from the mentions that are given."""
+    from reportgraph.plans import applications
+    from reportgraph.plans.mining import mined
+    from reportgraph.sources import corpus
+
+    def never(*args):
+        raise AssertionError("all sentences are joined and written")
+
+    monkeypatch.setattr(applications, "split_sentences", never)
+    monkeypatch.setattr(applications, "model_mentions", lambda spark, sf_dir: mined(spark, sf_dir).seeds)
+    got = {r["place"]: (r["gold"], r["found"]) for r in QUERIES["model_recall"][0](spark, small).collect()}
+    test = {r["report_id"] for r in applications.report_parts(spark, small).where("part = 'test'").collect()}
+    found = {(r["report_id"], r["entity"], r["value"]) for r in mined(spark, small).seeds.collect()}
+    want: dict[str, tuple[int, int]] = {}
+    for r in corpus.order_reports_gold(spark, small).collect():
+        if r["report_id"] in test:
+            n, f = want.get(r["place"], (0, 0))
+            want[r["place"]] = n + 1, f + ((r["report_id"], r["entity"], r["value"]) in found)
+    assert got == want and len(want) == 3
