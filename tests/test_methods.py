@@ -642,3 +642,34 @@ def test_machines_of_all_folds_side_by_side(spark):
     spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert sum(r["rows"] for r in out) == 600 and sum(r["correct"] for r in out) > 300 and [r["fold"] for r in out] == [0, 1, 2]
     assert jobs < 120, jobs
+
+
+def test_equal_sentences_are_learned_as_one_with_their_number(spark):
+    """Each sentence counts once in the batches of an epoch, and a row of ``n`` sentences is the same as ``n`` rows."""
+    import pandas as pd
+
+    rng = np.random.default_rng(8)
+    for top, few in ((1, 5), (900, 5), (900, 1000)):
+        pdf = pd.DataFrame({"tokens": [["x"] * k for k in rng.integers(1, 4, 300)], "n": rng.integers(1, top + 1, 300)})
+        got = [(part, n) for part, n in train.weighted_batches(pdf, few)]
+        counted = pd.concat([pd.Series(n, index=part.index) for part, n in got]).groupby(level=0).sum()
+        assert np.allclose(counted.sort_index(), pdf["n"]) and all((n > 0).all() and part["tokens"].map(len).nunique() == 1 for part, n in got)
+    m = tiny_tagger()
+    x, ys = rng.normal(size=(3, 4, 8)), [rng.integers(0, 3, (3, 4)) for _ in range(2)]
+    often = np.repeat(np.arange(3), [1, 4, 2])
+    one, all_ = m.loss_grad(x, ys, np.array([1, 4, 2])), m.loss_grad(x[often], [y[often] for y in ys])
+    assert one[0] == pytest.approx(all_[0]) and all(np.allclose(one[1][k], all_[1][k]) for k in m.weights)
+    kinds = [(["Ip", f"1{i}"] + ["x"] * (i % 3), ["O", "B-ip"] + ["O"] * (i % 3), ["O", "B-IP"] + ["O"] * (i % 3)) for i in range(9)]
+    schema = "report_id long, sent_no int, tokens array<string>, entity_tags array<string>, type_tags array<string>"
+    rows = spark.createDataFrame([(i, 0, *kinds[i % 9]) for i in range(5000)], schema)
+    few = spark.createDataFrame([(i, 0, *kinds[i], sum(j % 3 == i for j in (k % 9 for k in range(5000)))) for i in range(3)], schema + ", n long")
+    a, b = (train.fit(r, tiny_tagger(), rounds=1) for r in (rows, few))
+    assert train.examples(rows, m).agg(F.count("*"), F.sum("n")).first() == (3, 5000) and a[1] == b[1]
+    assert all(np.allclose(a[0].weights[k], b[0].weights[k]) for k in m.weights)
+
+
+def test_weights_of_many_shards_are_added_in_tasks(spark, monkeypatch):
+    rows = spark.createDataFrame([(k, f"w{j}", [2], 1.0 + k, 0.5, np.array([k, j], "<f8").tobytes()) for k in range(150) for j in range(2)], "part long, name string, shape array<int>, n double, loss double, flat binary")
+    got = train._added(rows, 150)
+    assert len(got) <= 2 * train.ADDED and sum(r["n"] for r in got) == 2 * sum(range(1, 151))
+    assert sum(np.frombuffer(r["flat"], "<f8") for r in got if r["name"] == "w1").tolist() == [sum(range(150)), 150]

@@ -72,3 +72,21 @@ def test_recall_reads_no_sentences_again(spark, small, monkeypatch):
             n, f = want.get(r["place"], (0, 0))
             want[r["place"]] = n + 1, f + ((r["report_id"], r["entity"], r["value"]) in found)
     assert got == want and len(want) == 3
+
+
+def test_taggers_learn_from_all_earlier_sentences(spark, small, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from reportgraph.plans import applications
+    from reportgraph.plans.mining import mined
+
+    given = []
+    monkeypatch.setattr(applications.train, "fit", lambda rows, *more, **options: given.append((rows, options)))
+    earlier = mined(spark, small).sentences.join(applications.report_parts(spark, small).where("part = 'train'"), "report_id", "left_semi")
+    for tokens in ("words", "no separators", "blanks"):
+        applications.fitted.__wrapped__(spark, small, "joint", tokens, 0.5, True)
+        rows, options = given.pop()
+        assert "max_sentences" not in options and rows.agg(F.sum("n")).first()[0] == earlier.count()
+    rows = rows.withColumn("z", F.explode(F.arrays_zip("entity_tags"))).groupBy("z.entity_tags").agg(F.sum("n").alias("n"))
+    want = applications.sequences(spark, small, "blanks", "train").select(F.explode("entity_tags").alias("t")).groupBy("t").count()
+    assert sorted(map(tuple, rows.collect())) == sorted(map(tuple, want.collect()))
