@@ -90,3 +90,19 @@ def test_taggers_learn_from_all_earlier_sentences(spark, small, monkeypatch):
     rows = rows.withColumn("z", F.explode(F.arrays_zip("entity_tags"))).groupBy("z.entity_tags").agg(F.sum("n").alias("n"))
     want = applications.sequences(spark, small, "blanks", "train").select(F.explode("entity_tags").alias("t")).groupBy("t").count()
     assert sorted(map(tuple, rows.collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_attention_of_all_later_sentences(spark, small, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from reportgraph.operators import labeling
+    from reportgraph.plans import applications
+    from reportgraph.tagger import model
+
+    tagger = model.attention_tagger(4, 3, ("O", "B-x", "I-x"))
+    monkeypatch.setattr(applications, "fitted", lambda *options: (tagger, []))
+    got = QUERIES["attention_shares"][0](spark, small)
+    later = labeling.token_rows(applications.split_sentences(spark, small).where("part = 'test'"))
+    key = lambda df: sorted(map(tuple, df.groupBy("report_id", "sent_no").agg(F.array_join(F.array_sort(F.collect_list("token")), "|")).collect()))
+    assert key(got) == key(later.select("report_id", "sent_no", F.explode("tokens").alias("token")))
+    assert got.groupBy("report_id", "sent_no").agg(F.sum("share").alias("s")).where("abs(s - 1) > 1e-4").count() == 0
