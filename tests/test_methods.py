@@ -673,3 +673,26 @@ def test_weights_of_many_shards_are_added_in_tasks(spark, monkeypatch):
     got = train._added(rows, 150)
     assert len(got) <= 2 * train.ADDED and sum(r["n"] for r in got) == 2 * sum(range(1, 151))
     assert sum(np.frombuffer(r["flat"], "<f8") for r in got if r["name"] == "w1").tolist() == [sum(range(150)), 150]
+
+
+def test_dbscan_by_brute_force_without_pairs(spark, monkeypatch):
+    """Crowded, chained, lonely and border points in blocks of a few; no pairs of points are listed."""
+    monkeypatch.setattr(titles, "neighbour_pairs", None)
+    rng = np.random.default_rng(12)
+    x = np.concatenate([rng.normal(0, 0.05, (60, 2)), np.stack([np.arange(1, 6, 0.25), np.zeros(20)], 1), rng.uniform(-8, 8, (60, 2)), np.full((9, 2), 3.0)])
+    w = rng.integers(1, 3, len(x))
+    pts = spark.createDataFrame([(i * 3, v.tolist(), int(n)) for i, (v, n) in enumerate(zip(x, w))], "id long, vector array<double>, weight long")
+    for crowd, eps, least in ((7, 0.25, 4), (7, 0.9, 5), (2048, 0.25, 4), (5, 1e-6, 4)):
+        monkeypatch.setattr(titles, "CROWD", crowd)
+        d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(-1))
+        near = d <= eps
+        core = near @ w >= least
+        label = np.where(core, np.arange(len(x)), -1)
+        for _ in range(len(x)):
+            label = np.array([min(label[near[i] & core]) if core[i] else -1 for i in range(len(x))])
+        for i in np.flatnonzero(~core & (near & core).any(1)):
+            ok = np.flatnonzero(near[i] & core)
+            label[i] = label[ok[np.lexsort((ok, d[i, ok]))[0]]]
+        got = {r["id"] // 3: r["cluster_id"] for r in titles.dbscan(pts, eps, least, weight_col="weight").collect()}
+        assert got == {i: 3 * c if c >= 0 else -1 for i, c in enumerate(label.tolist())} and len(set(label)) >= 2
+    assert titles.dbscan(pts.limit(0), 0.5, 2).count() == 0 and [tuple(r) for r in titles.dbscan(pts.where("id = 6"), 0.5, 2).collect()] == [(6, -1)]
