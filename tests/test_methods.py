@@ -696,3 +696,41 @@ def test_dbscan_by_brute_force_without_pairs(spark, monkeypatch):
         got = {r["id"] // 3: r["cluster_id"] for r in titles.dbscan(pts, eps, least, weight_col="weight").collect()}
         assert got == {i: 3 * c if c >= 0 else -1 for i, c in enumerate(label.tolist())} and len(set(label)) >= 2
     assert titles.dbscan(pts.limit(0), 0.5, 2).count() == 0 and [tuple(r) for r in titles.dbscan(pts.where("id = 6"), 0.5, 2).collect()] == [(6, -1)]
+
+
+def test_word_vectors_keep_their_vocabulary_off_the_driver(spark, monkeypatch):
+    """Words of like contexts are near, counts are those of the whole corpus, and no vocabulary or vector is collected."""
+    rng = np.random.default_rng(4)
+    table = [([f"{g}{rng.integers(5)}", f"{g}x", f"{g}{rng.integers(5)}", f"{g}y"],) for g in "ab" for _ in range(1500)] + [(["rare", "rare", None],), (["rare"],), (["Once"],), ([],), (None,)]
+    rows = spark.createDataFrame(table, "tokens array<string>")
+    monkeypatch.setattr(vectors, "PART_TOKENS", 2000)
+    collect, sizes = type(rows).collect, []
+
+    def counted(df):
+        out = collect(df)
+        sizes.append(len(out))
+        return out
+
+    monkeypatch.setattr(type(rows), "collect", counted)
+    got = vectors.train_word2vec(rows, dim=8, iterations=10, min_count=3)
+    assert got.getNumPartitions() == 7 and max(sizes) == 1
+    monkeypatch.undo()
+    v = {r["word"]: r["vector"].toArray() for r in got.getVectors().collect()}
+    assert set(v) == {f"{g}{i}" for g in "ab" for i in (*range(5), "x", "y")} | {"rare"} and all(np.isfinite(x).all() and len(x) == 8 for x in v.values())
+    cos = lambda a, b: v[a] @ v[b] / np.linalg.norm(v[a]) / np.linalg.norm(v[b])
+    inside = [cos(f"{g}{i}", f"{g}{j}") for g in "ab" for i in range(5) for j in range(i)]
+    assert min(inside) > max(cos(f"a{i}", f"b{j}") for i in range(5) for j in range(5))
+
+
+def test_vector_files_hold_all_words(spark):
+    import pickle
+
+    from pyspark.ml.linalg import Vectors
+
+    words = {f"Word{i}": np.random.default_rng(i).normal(size=6) for i in range(400)} | {"word7": np.ones(6)}
+    rows = spark.createDataFrame([(w, Vectors.dense(v)) for w, v in words.items()], ["word", "vector"])
+    t = vectors.vector_table(vectors.WordVectors(rows, 1))
+    want = {f"word{i}": words[f"Word{i}"] for i in range(400)} | {"word7": words["word7"]}
+    size = np.mean([np.sqrt((v**2).mean()) for v in want.values()])
+    assert len(t) == 400 and all(w in t and np.allclose(t[w], v / size) for w, v in want.items()) and "Word1" not in t and "nothing" not in t
+    assert len(pickle.dumps(t)) < 1000 and np.allclose(train.token_matrix(["WORD3"], 6, t)[0], t["word3"])
